@@ -4,12 +4,25 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from slicegrad.llm import mixing, quality, urls
+from slicegrad.llm import bpe, mixing, quality, simhash, urls
 from slicegrad.llm.common import table
 
 SQL: dict[str, str] = {}
 
 
+def op1_byte_bpe(spark, sf_dir):
+    import public_tokenizers
+
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    coded = bpe.bpe_encode(docs, public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN, carry=["doc_id"])
+    return coded.select("doc_id", F.size("ids").cast("long").alias("n_tokens"), F.sha2(F.array_join("ids", ","), 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
+
+
+def op3_simhash_near_dedup(spark, sf_dir):
+    groups = simhash.simhash_groups(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return groups.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+
+
 def op4_quality_rules(spark, sf_dir):
     scored = quality.quality_scores(table(spark, sf_dir, "documents").select("doc_id", "text"))
     return scored.select("doc_id", *quality.BASE, "base_failed", "kept", F.round("good", 6).alias("good"))
