@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from slicegrad.llm import bpe, mixing, quality, simhash, urls
+from slicegrad.llm import bpe, language, licenses, mixing, quality, simhash, urls
 from slicegrad.llm.common import table
 
 SQL: dict[str, str] = {}
@@ -18,6 +18,10 @@ def op1_byte_bpe(spark, sf_dir):
     return coded.select("doc_id", F.size("ids").cast("long").alias("n_tokens"), F.sha2(F.array_join("ids", ","), 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 
+def op2_license_scan(spark, sf_dir):
+    return licenses.license_scan(table(spark, sf_dir, "documents").select("doc_id", "text"), carry=["doc_id"])
+
+
 def op3_simhash_near_dedup(spark, sf_dir):
     groups = simhash.simhash_groups(table(spark, sf_dir, "documents").select("doc_id", "text"))
     return groups.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
@@ -28,6 +32,13 @@ def op4_quality_rules(spark, sf_dir):
     return scored.select("doc_id", *quality.BASE, "base_failed", "kept", F.round("good", 6).alias("good"))
 
 
+def op7_language_id(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    dictionaries = language.learn_dictionaries(docs.filter(language.fold(F.col("doc_id"), 5) != 0))
+    rows = docs.select("doc_id", (language.fold(F.col("doc_id"), 5) == 0).alias("held_out"), "text")
+    return language.predict_language(rows, dictionaries, carry=["doc_id", "held_out"])
+
+
 def op9_url_filters(spark, sf_dir):
     return urls.judge_urls(table(spark, sf_dir, "pages").select("page_id", "url")).select("page_id", "host", "path", "rule", "verdict")
 
