@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from slicegrad.llm import bpe, language, licenses, mixing, quality, simhash, urls
+from slicegrad.llm import bpe, language, licenses, mixing, quality, secrets, simhash, urls
 from slicegrad.llm.common import table
 
 SQL: dict[str, str] = {}
@@ -39,6 +39,14 @@ def op7_language_id(spark, sf_dir):
     return language.predict_language(rows, dictionaries, carry=["doc_id", "held_out"])
 
 
+def op8_secret_scan(spark, sf_dir):
+    found = secrets.secret_scan(table(spark, sf_dir, "documents").select("doc_id", "text", "source"))
+    base = F.filter("spans", lambda s: s["kind"] < len(secrets.BASE_KINDS))
+    kinds = F.transform("spans", lambda s: s["kind"])
+    counts = [(F.size("spans") - F.size(F.array_remove(kinds, k))).cast("long").alias(f"n_{kind[0]}") for k, kind in enumerate(secrets.BASE_KINDS)]
+    return found.select("doc_id", *counts, F.sha2(secrets.listed(base), 256).alias("base_sha256"), secrets.listed(F.col("spans")).alias("spans"), "n_live")
+
+
 def op9_url_filters(spark, sf_dir):
     return urls.judge_urls(table(spark, sf_dir, "pages").select("page_id", "url")).select("page_id", "host", "path", "rule", "verdict")
 
