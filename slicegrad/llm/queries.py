@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from slicegrad.llm import bpe, language, licenses, mixing, quality, secrets, simhash, urls
+from slicegrad.llm import bpe, language, licenses, mixing, quality, secrets, simhash, urls, vectors
 from slicegrad.llm.common import table
 
 SQL: dict[str, str] = {}
@@ -32,6 +32,10 @@ def op4_quality_rules(spark, sf_dir):
     return scored.select("doc_id", *quality.BASE, "base_failed", "kept", F.round("good", 6).alias("good"))
 
 
+def op6_embedding_near_dedup(spark, sf_dir):
+    return vectors.near_vectors(table(spark, sf_dir, "embeddings"))
+
+
 def op7_language_id(spark, sf_dir):
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
     dictionaries = language.learn_dictionaries(docs.filter(language.fold(F.col("doc_id"), 5) != 0))
