@@ -50,6 +50,7 @@ def measured(rows: DataFrame) -> DataFrame:
         F.size("words").cast("long").alias("n_words"),
         F.size(F.array_distinct("words")).alias("n_distinct"),
         F.size(F.filter("words", lambda w: (F.length(w) > 1) & (F.upper(w) == w) & (F.lower(w) != w))).alias("n_shouted"),
+        F.size(F.filter("words", lambda w: w.rlike("[#*$%&|<>]"))).alias("n_marked"),
         F.when(F.size("words") >= 5, five).otherwise(F.expr("cast(array() as array<bigint>)")).alias("windows"),
     )
     pairs = F.transform("windows", lambda h, i: F.struct(h.alias("h"), i.alias("i")))
@@ -81,6 +82,8 @@ def rules() -> dict[str, Column]:
         "long_enough": vote(F.col("n_words") < 10, F.col("n_words") >= 30),
         "word_length": vote((length < 2) | (length > 14), length.between(3, 11)),
         "symbols": vote(symbols > 0.2, symbols < 0.05),
+        "symbol_share": vote(F.col("n_symbols") > 0.04 * F.col("word_chars"), F.col("n_symbols") < 0.01 * F.col("word_chars")),
+        "marked_words": vote(F.col("n_marked") > 0.15 * n, F.col("n_marked") < 0.05 * n),
         "lines": vote(doubled > 0.5, doubled < 0.2),
         "repeats": vote(repeats > 0.2, repeats < 0.1),
         "shouting": vote(shouted > 0.5, shouted < 0.2),
