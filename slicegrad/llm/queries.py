@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from slicegrad.llm import bpe, language, licenses, mixing, quality, secrets, simhash, urls, vectors
+from slicegrad.llm import bpe, language, licenses, mixing, quality, secrets, simhash, toxicity, urls, vectors
 from slicegrad.llm.common import table
 
 SQL: dict[str, str] = {}
@@ -32,6 +32,14 @@ def op4_quality_rules(spark, sf_dir):
     return scored.select("doc_id", *quality.BASE, "base_failed", "kept", F.round("good", 6).alias("good"))
 
 
+def op5_toxicity(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    labels = table(spark, sf_dir, "labels").select("doc_id", "toxic")
+    model = toxicity.learn_toxicity(docs, labels.filter(language.fold(F.col("doc_id"), 4) != 2))
+    rows = docs.select("doc_id", (language.fold(F.col("doc_id"), 4) == 2).alias("held_out"), "text")
+    return toxicity.score_toxicity(rows, model, carry=["doc_id", "held_out"])
+
+
 def op6_embedding_near_dedup(spark, sf_dir):
     return vectors.near_vectors(table(spark, sf_dir, "embeddings"))
 
