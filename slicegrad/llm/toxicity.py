@@ -33,13 +33,15 @@ ship_by_value(__name__)
 
 SAMPLE = 2_500
 TRAIN_CHARS = 8_000
-LANDMARKS = 96
+LANDMARKS = 160
 SIZES = (4, 10)
 DECAY = 0.8
 ORDER = 3
 FLOOR = 0.4
 WINDOW = 24
 CACHED = 400_000
+#: Stands before every unit, so that landmarks can hold to a unit's start.
+START = "^"
 EDGES = ".,;:!?\"'()[]{}|%&$#*<>=/\\-_+~`^@"
 
 
@@ -55,11 +57,12 @@ def units(text: str | None) -> set[str]:
             if len(run) > 2:
                 out.add("".join(run))
             run = []
+    out.discard("")
+    out = {START + w for w in out}
     long = [w for w in out if len(w) > WINDOW]
     for w in long:
         out.discard(w)
         out.update(w[k : k + WINDOW] for k in range(0, len(w) - WINDOW // 2, WINDOW // 2))
-    out.discard("")
     return out
 
 
@@ -146,7 +149,7 @@ class Matcher:
 
 
 def pick_landmarks(toxic: list[set[str]], clean: list[set[str]], most: int = LANDMARKS) -> list[str]:
-    """Strings by how many toxic texts they add to those that earlier ones cover, less thrice the clean ones they are in."""
+    """Strings by how many toxic texts they add to those that earlier ones cover, less the clean ones they are in; a text counts until five cover it."""
     def parts(word: str):
         n = len(word)
         return {word[i : i + k] for k in range(SIZES[0], min(SIZES[1], n) + 1) for i in range(n - k + 1)}
@@ -161,24 +164,24 @@ def pick_landmarks(toxic: list[set[str]], clean: list[set[str]], most: int = LAN
     for w, docs in where.items():
         for s in parts(w):
             seen[s] |= docs
-    least = max(2, len(toxic) // 300)
+    least = max(3, len(toxic) // 400)
     counts = {s: len(d) for s, d in seen.items() if len(d) >= least}
     against: Counter = Counter()
     for w, n in clean_words.items():
         for s in parts(w):
             if s in counts:
                 against[s] += n
-    ranked = sorted(counts, key=lambda s: (-(counts[s] - 3 * against[s]), -len(s), s))[:4000]
-    ranked = [s for s in ranked if counts[s] > 3 * against[s]]
+    ranked = sorted(counts, key=lambda s: (-(counts[s] - against[s]), -len(s), s))[:4000]
+    ranked = [s for s in ranked if counts[s] > 1.5 * against[s]]
     covered = np.zeros(len(toxic))
     out: list[str] = []
     while ranked and len(out) < most:
-        gain = {s: (2 - covered[list(seen[s])]).clip(0).sum() - 3 * against[s] + 0.25 * len(s) for s in ranked}
+        gain = {s: (5 - covered[list(seen[s])]).clip(0).sum() - 1.5 * against[s] + 0.25 * len(s) for s in ranked}
         best = max(ranked, key=lambda s: (gain[s], s))
         if gain[best] <= least:
             break
         # the longest string that stands nearly wherever it does says more
-        whole = max((s for s in ranked if best in s and counts[s] >= 0.8 * counts[best]), key=lambda s: (len(s), s))
+        whole = max((s for s in ranked if best in s and counts[s] >= 0.9 * counts[best]), key=lambda s: (len(s), s))
         out.append(whole)
         covered[list(seen[best])] += 1
         ranked = [s for s in ranked if s not in whole and gain[s] > 0]
@@ -190,7 +193,7 @@ def broken_up(texts: list[str], landmarks: list[str], every: int = 4) -> list[st
     out = []
     for i, t in enumerate(texts[::every]):
         found = [w for w in sorted(units(t)) if any(s in w for s in landmarks)]
-        cut = [w[: len(w) // 2] + ".-*"[i % 3] + w[len(w) // 2 :] if i % 2 else ".".join(w) for w in found]
+        cut = [w[: len(w) // 2] + ".-*"[i % 3] + w[len(w) // 2 :] if i % 2 else ".".join(w) for w in (x.removeprefix(START) for x in found)]
         if cut:
             out.append(" ".join(cut))
     return out
