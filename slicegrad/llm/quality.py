@@ -115,7 +115,10 @@ def fit_votes(votes: DataFrame) -> DataFrame:
 def judged(rows: DataFrame, fitted: DataFrame, least: float = 0.5) -> DataFrame:
     """``rows`` with ``votes``, and ``good``, ``base_failed`` and ``kept``; patterns are at most 3 ** rules rows, so they are broadcast."""
     failed = (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words"))
-    return rows.join(F.broadcast(fitted), "votes", "left").withColumn("base_failed", failed).withColumn("kept", ~failed & (F.coalesce(F.col("good"), F.lit(0.0)) >= least))
+    # one expression over both sides of the join: a filter on it stays above, where the counts are columns already,
+    # and is not pushed below the projections that would have to compute them again inside their lambdas
+    kept = F.coalesce(F.when(~failed, F.col("good")), F.lit(0.0)) >= least
+    return rows.join(F.broadcast(fitted), "votes", "left").withColumn("base_failed", failed).withColumn("kept", kept)
 
 
 def with_votes(rows: DataFrame) -> DataFrame:
