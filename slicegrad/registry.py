@@ -4,7 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-_MODULES: list = []
+from slicegrad.plans import core
+
+_MODULES: list = [core]
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
