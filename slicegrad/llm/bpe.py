@@ -1,9 +1,9 @@
 """Byte-level BPE encoding and decoding with given ranks.
 
 A text is split by the vocabulary's pattern; each match is encoded by itself. A segment tree over the match's byte
-positions holds at each leaf the rank of the pair that starts there, and at each inner node the least below it, so
-the leftmost pair of least rank is found from the root; a merge updates the leaves of the live neighbours. A
-match of n bytes costs n log n, however long it is. A match that is a token itself is that token.
+positions holds at each leaf the rank and place of the pair that starts there, and at each inner node the least below
+it, so the root is the leftmost pair of least rank; a merge updates the leaves of the live neighbours and the nodes
+above them. A match of n bytes costs n log n, however long it is. A match that is a token itself is that token.
 
 The split follows the Unicode version of the regular-expression library; code points assigned since an older
 version may be split differently there.
@@ -16,6 +16,7 @@ themselves.
 from __future__ import annotations
 
 import base64
+from itertools import chain
 from pathlib import Path
 
 import numpy as np
@@ -28,8 +29,12 @@ from slicegrad.llm.common import process_cache, ship_by_value
 
 ship_by_value(__name__)
 
-NEVER = 1 << 60
-CACHED = 300_000
+NEVER = 1 << 32
+LAST = 1 << 200
+#: Children of a tree node: a node's minimum over so many is one call, and most matches are one node.
+FAN = 32
+#: Matches remembered by a worker, in two halves: a full younger half becomes the older one.
+CACHED = 600_000
 BATCH_BYTES = 4 << 20
 
 
@@ -38,48 +43,52 @@ def read_ranks(path: str) -> dict[bytes, int]:
 
 
 def merge_bytes(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
-    """The ids of one match."""
+    """The ids of one match. Keys are rank and position in one number, so the least is the leftmost of least rank."""
     if piece in ranks:
         return [ranks[piece]]
     n = len(piece)
-    if n < 2:
-        return [ranks[piece]] if n else []
+    if not n:
+        return []
     get = ranks.get
-    width = 1 << (n - 1).bit_length()
-    tree = [NEVER] * (2 * width)
-    for i in range(n - 1):
-        tree[width + i] = get(piece[i : i + 2], NEVER)
-    for k in range(width - 1, 0, -1):
-        left, right = tree[2 * k], tree[2 * k + 1]
-        tree[k] = left if left <= right else right
+    shift = n.bit_length()
+    leaves = [get(piece[i : i + 2], NEVER) << shift | i for i in range(n - 1)]
+    leaves.append(LAST)
+    levels = [leaves]
+    while len(levels[-1]) > FAN:
+        below = levels[-1]
+        levels.append([min(below[k : k + FAN]) for k in range(0, len(below), FAN)])
+    top, flat = levels[-1], len(levels) == 1
     end = list(range(1, n + 1))  # where the token that starts here ends, and so where the next one starts
     before = list(range(-1, n))
-
-    def put(leaf: int, rank: int) -> None:
-        k = width + leaf
-        tree[k] = rank
-        while k > 1:
-            k >>= 1
-            left, right = tree[2 * k], tree[2 * k + 1]
-            least = left if left <= right else right
-            if tree[k] == least:
+    bound, low = NEVER << shift, (1 << shift) - 1
+
+    def put(at: int, key: int) -> None:
+        leaves[at] = key
+        for k in range(1, len(levels)):
+            own = at // FAN
+            least = min(levels[k - 1][own * FAN : own * FAN + FAN])
+            if levels[k][own] == least:
                 return
-            tree[k] = least
-
-    while (least := tree[1]) != NEVER:
-        k = 1
-        while k < width:
-            k *= 2
-            if tree[k] != least:
-                k += 1
-        i = k - width
+            levels[k][own] = least
+            at = own
+
+    while (least := min(top)) < bound:
+        i = least & low
         j = end[i]
         stop = end[i] = end[j]
         before[stop] = i
-        put(j, NEVER)
-        put(i, get(piece[i : end[stop]], NEVER) if stop < n else NEVER)
-        if (h := before[i]) >= 0:
-            put(h, get(piece[h:stop], NEVER))
+        here = get(piece[i : end[stop]], NEVER) << shift | i if stop < n else LAST
+        h = before[i]
+        if flat:
+            leaves[j] = LAST
+            leaves[i] = here
+            if h >= 0:
+                leaves[h] = get(piece[h:stop], NEVER) << shift | h
+        else:
+            put(j, LAST)
+            put(i, here)
+            if h >= 0:
+                put(h, get(piece[h:stop], NEVER) << shift | h)
     out, i = [], 0
     while i < n:
         out.append(ranks[piece[i : end[i]]])
@@ -95,20 +104,23 @@ class Codec:
         # \s of the split is Unicode white space; this library's own class also has U+001C to U+001F
         self.split = regex.compile(pattern.replace(r"[^\s", r"[^\p{White_Space}").replace(r"\S", r"\P{White_Space}").replace(r"\s", r"\p{White_Space}")).findall
         self.tokens = {rank: token for token, rank in self.ranks.items()}
-        self.known: dict[str, list[int]] = {}
+        self.young: dict[str, list[int]] = {}
+        self.old: dict[str, list[int]] = {}
+
+    def _missed(self, piece: str) -> list[int]:
+        ids = self.old.get(piece)
+        if ids is None:
+            ids = merge_bytes(piece.encode("utf-8"), self.ranks)
+        if len(piece) <= 64:  # only short matches recur
+            if len(self.young) >= CACHED // 2:
+                self.old, self.young = self.young, {}
+            self.young[piece] = ids
+        return ids
 
     def encode(self, text: str | None) -> list[int]:
         out: list[int] = []
-        known = self.known
         for piece in self.split(text or ""):
-            ids = known.get(piece)
-            if ids is None:
-                ids = merge_bytes(piece.encode("utf-8"), self.ranks)
-                if len(piece) <= 64:  # only short matches recur
-                    if len(known) >= CACHED:
-                        known.clear()
-                    known[piece] = ids
-            out += ids
+            out += self.young.get(piece) or self._missed(piece)
         return out
 
     def decode(self, ids) -> bytes:
@@ -126,7 +138,7 @@ def codec(path: str, pattern: str) -> Codec:
 def _lists(rows: list[list[int]]) -> pa.Array:
     offsets = np.zeros(len(rows) + 1, dtype=np.int32)
     np.cumsum([len(r) for r in rows], out=offsets[1:])
-    flat = np.fromiter((x for r in rows for x in r), dtype=np.int32, count=int(offsets[-1]))
+    flat = np.fromiter(chain.from_iterable(rows), dtype=np.int32, count=int(offsets[-1]))
     return pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat))
 
 
