@@ -4,9 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from slicegrad.plans import core
+from slicegrad.plans import core, relational
 
-_MODULES: list = [core]
+_MODULES: list = [core, relational]
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
