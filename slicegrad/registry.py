@@ -4,9 +4,10 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from slicegrad.plans import core, relational
+from slicegrad.plans import apps, core, relational
+from slicegrad.streaming import queries as streams
 
-_MODULES: list = [core, relational]
+_MODULES: list = [core, relational, apps, streams]
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
