@@ -100,14 +100,14 @@ def fit_votes(votes: DataFrame) -> DataFrame:
     gathered = patterns.agg(F.collect_list(F.struct("votes", "c", F.expr(start).alias("q"))).alias("p"))
     weight = "aggregate(p, cast(0 as double), (a, x) -> a + x.c * {0})"
     # counts by rule and vote, with a hundredth of the weight as prior belief that rules are right 9 times in 10
-    table = """transform(sequence(0, size(p[0].votes) - 1), j -> transform(array(-1, 0, 1), v -> named_struct(
+    table = """transform(sequence(0, coalesce(size(get(p, 0).votes), 1) - 1), j -> transform(array(-1, 0, 1), v -> named_struct(
         'g', aggregate(p, 0.01D * w * case v when 1 then 0.6D when 0 then 0.3D else 0.1D end, (a, x) -> a + if(x.votes[j] = v, x.c * x.q, 0D)),
         'b', aggregate(p, 0.01D * w * case v when 1 then 0.1D when 0 then 0.3D else 0.6D end, (a, x) -> a + if(x.votes[j] = v, x.c * (1 - x.q), 0D)))))"""
     odds = "transform(t, r -> transform(r, y -> ln(y.g / (r[0].g + r[1].g + r[2].g)) - ln(y.b / (r[0].b + r[1].b + r[2].b))))"
     # one-element arrays bind a value once, else every use in a lambda would compute it again
     step = f"""aggregate(array({table}), p, (q0, t) -> aggregate(array({odds}), q0, (q1, o) -> transform(q1, x -> named_struct('votes', x.votes, 'c', x.c,
         'q', 1 / (1 + exp(-(pr + aggregate(sequence(0, size(x.votes) - 1), 0D, (a, j) -> a + o[j][x.votes[j] + 1]))))))))"""
-    bound = f"aggregate(array(named_struct('w', {weight.format('1')}, 'g', {weight.format('x.q')})), p, (p0, k) -> {step.replace('0.01D * w', '0.01D * k.w').replace('pr +', 'ln((k.g + 1) / (k.w - k.g + 1)) +')})"
+    bound = f"aggregate(array(named_struct('w', {weight.format('1')}, 'g', {weight.format('x.q')})), p, (p0, k) -> {step.replace('0.01D * w', '0.01D * greatest(k.w, 1D)').replace('pr +', 'ln((k.g + 1) / (k.w - k.g + 1)) +')})"
     fitted = gathered.filter("size(p) > 0").selectExpr(f"aggregate(sequence(1, {ROUNDS}), p, (p, i) -> {bound}) as p")
     return fitted.select(F.explode("p").alias("x")).select(F.col("x.votes").alias("votes"), F.col("x.q").alias("good"))
 

@@ -36,11 +36,14 @@ MORE_KINDS = [
 ]
 KINDS = [k[0] for k in BASE_KINDS] + [k[0] for k in MORE_KINDS]
 SPAN = "struct<start:int,kind:int,end:int,value:string>"
-NONE = F.expr(f"cast(array() as array<{SPAN}>)")
 COMMON_REPOS = 3
 COMMON_OWNERS = 3
 
 
+def none() -> Column:
+    return F.expr(f"cast(array() as array<{SPAN}>)")
+
+
 def spans_of(text: Column, kind: int, pattern: str, group: int, least: int) -> Column:
     """The kind's spans: what stands between matches gives their places."""
     zipped = F.arrays_zip(F.split(text, pattern, -1).alias("gap"), F.regexp_extract_all(text, F.lit(pattern), F.lit(0)).alias("hit"), F.regexp_extract_all(text, F.lit(pattern), F.lit(group)).alias("value"))
@@ -53,15 +56,15 @@ def spans_of(text: Column, kind: int, pattern: str, group: int, least: int) -> C
         return F.when(x["hit"].isNull(), acc).otherwise(F.struct(end.alias("at"), added.alias("out")))
 
     named = zipped.cast("array<struct<gap:string,hit:string,value:string>>")
-    return F.aggregate(named, F.struct(F.lit(0).alias("at"), NONE.alias("out")), step, lambda acc: acc["out"])
+    return F.aggregate(named, F.struct(F.lit(0).alias("at"), none().alias("out")), step, lambda acc: acc["out"])
 
 
 def with_spans(rows: DataFrame) -> DataFrame:
     """``_text`` becomes never null; ``spans`` holds all spans by start, then kind."""
     ready = rows.withColumn("_text", text_or_empty(F.col("_text")))
     text = F.col("_text")
-    found = [F.when(text.rlike(p), spans_of(text, k, p, g, n)).otherwise(NONE) for k, (_, p, g, n) in enumerate(BASE_KINDS)]
-    found += [F.when(text.contains(mark) & text.rlike(p), spans_of(text, len(BASE_KINDS) + k, p, g, n)).otherwise(NONE) for k, (_, p, g, n, mark) in enumerate(MORE_KINDS)]
+    found = [F.when(text.rlike(p), spans_of(text, k, p, g, n)).otherwise(none()) for k, (_, p, g, n) in enumerate(BASE_KINDS)]
+    found += [F.when(text.contains(mark) & text.rlike(p), spans_of(text, len(BASE_KINDS) + k, p, g, n)).otherwise(none()) for k, (_, p, g, n, mark) in enumerate(MORE_KINDS)]
     return ready.withColumn("spans", F.array_sort(F.concat(*found)))
 
 
@@ -106,7 +109,7 @@ def redact_secrets(docs: DataFrame, text: str = "text", repo: str = "source", ow
     copied = cut(copied_values(some, **limits))
     keyed = cut(some.select(F.xxhash64("_row").alias("_tie"), F.explode("spans").alias("s")).distinct())
     live = keyed.withColumn("hash", value_hash(F.col("s.value"))).join(copied, "hash", "left_anti").groupBy("_tie").agg(F.array_sort(F.collect_list("s")).alias("live"))
-    joined = some.withColumn("_tie", F.xxhash64("_row")).join(live, "_tie", "left").withColumn("live", F.coalesce("live", NONE))
+    joined = some.withColumn("_tie", F.xxhash64("_row")).join(live, "_tie", "left").withColumn("live", F.coalesce("live", none()))
 
     def step(acc: Column, s: Column) -> Column:
         gap = F.substring(F.col("_text"), acc["at"] + 1, s["start"] - acc["at"])
