@@ -11,7 +11,10 @@ from slicegrad.sources.tables import INTERACTIONS_SQL, interactions, load
 
 B = Book()
 QUERIES, ORACLES = B.queries, B.oracles
-N1 = F.count(F.lit(1))
+
+
+def n1():
+    return F.count(F.lit(1))
 
 
 @B.add("p_filter_project", """SELECT l_orderkey, l_partkey, l_suppkey, l_linenumber, round(l_extendedprice * (1 - l_discount), 4) AS net FROM lineitem
@@ -24,13 +27,13 @@ def p_filter_project(spark, d):
 @B.add("p_case_bucket", """SELECT CASE WHEN p_size <= 10 THEN 'small' WHEN p_size <= 30 THEN 'medium' ELSE 'large' END AS band, count(*) AS n, min(p_retailprice) AS low, max(p_retailprice) AS high FROM part GROUP BY 1""")
 def p_case_bucket(spark, d):
     band = F.when(F.col("p_size") <= 10, "small").when(F.col("p_size") <= 30, "medium").otherwise("large")
-    return load(spark, d, "part").groupBy(band.alias("band")).agg(N1.alias("n"), F.min("p_retailprice").alias("low"), F.max("p_retailprice").alias("high"))
+    return load(spark, d, "part").groupBy(band.alias("band")).agg(n1().alias("n"), F.min("p_retailprice").alias("low"), F.max("p_retailprice").alias("high"))
 
 
 @B.add("j_docs_labels", "SELECT lang, count(l.doc_id) AS labelled, count(*) - count(l.doc_id) AS unlabelled FROM documents d LEFT JOIN labels l USING (doc_id) GROUP BY 1")
 def j_docs_labels(spark, d):
     l = load(spark, d, "labels").select("doc_id", F.lit(1).alias("has"))
-    return load(spark, d, "documents").select("doc_id", "lang").join(l, "doc_id", "left").groupBy("lang").agg(F.count("has").alias("labelled"), (N1 - F.count("has")).alias("unlabelled"))
+    return load(spark, d, "documents").select("doc_id", "lang").join(l, "doc_id", "left").groupBy("lang").agg(F.count("has").alias("labelled"), (n1() - F.count("has")).alias("unlabelled"))
 
 
 @B.add("j_interactions", f"WITH {INTERACTIONS_SQL} SELECT u, i, ts, n FROM inter")
@@ -51,7 +54,7 @@ def j_star(spark, d):
 
 @B.add("j_broadcast_nation", "SELECT n_name, count(*) AS n, round(sum(s_acctbal), 2) AS balance FROM supplier JOIN nation ON s_nationkey = n_nationkey GROUP BY 1")
 def j_broadcast_nation(spark, d):
-    return load(spark, d, "supplier").join(F.broadcast(load(spark, d, "nation")), F.col("s_nationkey") == F.col("n_nationkey")).groupBy("n_name").agg(N1.alias("n"), F.round(F.sum("s_acctbal"), 2).alias("balance"))
+    return load(spark, d, "supplier").join(F.broadcast(load(spark, d, "nation")), F.col("s_nationkey") == F.col("n_nationkey")).groupBy("n_name").agg(n1().alias("n"), F.round(F.sum("s_acctbal"), 2).alias("balance"))
 
 
 @B.add("j_unlabelled_anti", "SELECT doc_id, lang FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels)")
@@ -74,7 +77,7 @@ HOURS_SQL = "SELECT unnest(generate_series(TIMESTAMP '2024-01-01', TIMESTAMP '20
   SELECT date_diff('hour', TIMESTAMP '2024-01-01', h.h)::BIGINT AS hour, c.cell, coalesce(n, 0)::BIGINT AS n FROM h CROSS JOIN c LEFT JOIN e ON e.h = h.h AND e.cell = c.cell""")
 def j_left_zero_fill(spark, d):
     grid = spark.range(720).withColumnRenamed("id", "hour").crossJoin(spark.range(64).withColumnRenamed("id", "cell"))
-    e = load(spark, d, "events").select(hour_of().alias("hour"), (F.col("user_id") % 64).alias("cell")).groupBy("hour", "cell").agg(N1.alias("n"))
+    e = load(spark, d, "events").select(hour_of().alias("hour"), (F.col("user_id") % 64).alias("cell")).groupBy("hour", "cell").agg(n1().alias("n"))
     return grid.join(e, ["hour", "cell"], "left").fillna(0, ["n"])
 
 
@@ -123,19 +126,19 @@ def j_asof_version(spark, d):
 def j_copurchase(spark, d):
     l = load(spark, d, "lineitem").select("l_orderkey", "l_partkey").distinct()
     a, b = l.withColumnRenamed("l_partkey", "a"), l.withColumnRenamed("l_partkey", "b")
-    return a.join(b, "l_orderkey").filter("a < b").groupBy("a", "b").agg(N1.alias("n")).filter("n >= 2")
+    return a.join(b, "l_orderkey").filter("a < b").groupBy("a", "b").agg(n1().alias("n")).filter("n >= 2")
 
 
 @B.add("a_feature_stats", "SELECT j::BIGINT AS dim, count(*) AS n, round(avg(embedding[j + 1]::DOUBLE), 6) AS mean, round(stddev(embedding[j + 1]::DOUBLE), 6) AS sd, round(min(embedding[j + 1]::DOUBLE), 6) AS low, round(max(embedding[j + 1]::DOUBLE), 6) AS high FROM embeddings, (SELECT unnest(range(0, 8)) AS j) GROUP BY 1")
 def a_feature_stats(spark, d):
     e = load(spark, d, "embeddings").select(F.posexplode(F.slice("embedding", 1, 8)).alias("dim", "v")).select(F.col("dim").cast("long").alias("dim"), F.col("v").cast("double").alias("v"))
-    return e.groupBy("dim").agg(N1.alias("n"), F.round(F.avg("v"), 6).alias("mean"), F.round(F.stddev("v"), 6).alias("sd"), F.round(F.min("v"), 6).alias("low"), F.round(F.max("v"), 6).alias("high"))
+    return e.groupBy("dim").agg(n1().alias("n"), F.round(F.avg("v"), 6).alias("mean"), F.round(F.stddev("v"), 6).alias("sd"), F.round(F.min("v"), 6).alias("low"), F.round(F.max("v"), 6).alias("high"))
 
 
 @B.add("a_returnflag", "SELECT l_returnflag, l_linestatus, round(sum(l_quantity), 2) AS qty, round(sum(l_extendedprice), 2) AS gross, round(sum(l_extendedprice * (1 - l_discount)), 2) AS net, round(avg(l_discount), 6) AS discount, count(*) AS n FROM lineitem WHERE l_shipdate <= TIMESTAMP '1998-09-02' GROUP BY 1, 2")
 def a_returnflag(spark, d):
     l = load(spark, d, "lineitem").filter("l_shipdate <= timestamp_ntz'1998-09-02'")
-    return l.groupBy("l_returnflag", "l_linestatus").agg(F.round(F.sum("l_quantity"), 2).alias("qty"), F.round(F.sum("l_extendedprice"), 2).alias("gross"), F.round(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))), 2).alias("net"), F.round(F.avg("l_discount"), 6).alias("discount"), N1.alias("n"))
+    return l.groupBy("l_returnflag", "l_linestatus").agg(F.round(F.sum("l_quantity"), 2).alias("qty"), F.round(F.sum("l_extendedprice"), 2).alias("gross"), F.round(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))), 2).alias("net"), F.round(F.avg("l_discount"), 6).alias("discount"), n1().alias("n"))
 
 
 @B.add("a_distinct_items", "SELECT c_mktsegment, count(DISTINCT l_partkey) AS items FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey GROUP BY 1")
@@ -151,12 +154,12 @@ def a_approx_users(spark, d):
 
 @B.add("a_rollup_lang_source", "SELECT lang, source, grouping(lang)::BIGINT AS gl, grouping(source)::BIGINT AS gs, count(*) AS n, sum(n_chars)::BIGINT AS chars FROM documents GROUP BY ROLLUP (lang, source)")
 def a_rollup_lang_source(spark, d):
-    return load(spark, d, "documents").rollup("lang", "source").agg(F.grouping("lang").cast("long").alias("gl"), F.grouping("source").cast("long").alias("gs"), N1.alias("n"), F.sum("n_chars").alias("chars"))
+    return load(spark, d, "documents").rollup("lang", "source").agg(F.grouping("lang").cast("long").alias("gl"), F.grouping("source").cast("long").alias("gs"), n1().alias("n"), F.sum("n_chars").alias("chars"))
 
 
 @B.add("a_cube_flags", "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)")
 def a_cube_flags(spark, d):
-    return load(spark, d, "lineitem").cube("l_returnflag", "l_linestatus").agg(N1.alias("n"))
+    return load(spark, d, "lineitem").cube("l_returnflag", "l_linestatus").agg(n1().alias("n"))
 
 
 @B.add("a_unpivot_features", "SELECT vec_id, 'd' || j AS dim, round(embedding[j + 1]::DOUBLE, 6) AS v FROM embeddings, (SELECT unnest(range(0, 8)) AS j)")
@@ -169,7 +172,7 @@ def _vec(op, key, sql):
     @B.add(key, sql)
     def run(spark, d):
         e = load(spark, d, "embeddings").select("label", F.transform("embedding", lambda v: v.cast("double")).alias("x"))
-        total = e.groupBy("label").agg(sums(F.col("x"), 64).alias("s"), N1.alias("n"))
+        total = e.groupBy("label").agg(sums(F.col("x"), 64).alias("s"), n1().alias("n"))
         value = F.col("v") if op == "sum" else F.col("v") / F.col("n")
         return total.select("label", "n", F.posexplode("s").alias("pos", "v")).select("label", F.col("pos").cast("long").alias("pos"), F.round(value, 5).alias("v"))
 
@@ -195,7 +198,7 @@ def x_udaf_vec_mean(spark, d):
 
 @B.add("a_hash_split", "SELECT lang, doc_id % 5 = 0 AS test, count(*) AS n FROM documents GROUP BY 1, 2")
 def a_hash_split(spark, d):
-    return load(spark, d, "documents").groupBy("lang", (F.col("doc_id") % 5 == 0).alias("test")).agg(N1.alias("n"))
+    return load(spark, d, "documents").groupBy("lang", (F.col("doc_id") % 5 == 0).alias("test")).agg(n1().alias("n"))
 
 
 @B.add("wdw_rank_items", """WITH r AS (SELECT c_mktsegment, l_partkey, round(sum(l_extendedprice), 2) AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey GROUP BY 1, 2)
@@ -250,7 +253,7 @@ def o_best_by(spark, d):
 @B.add("u_train_test_disjoint", "SELECT count(*) AS n FROM (SELECT doc_id FROM documents WHERE doc_id % 5 = 0 INTERSECT SELECT doc_id FROM documents WHERE doc_id % 5 <> 0)")
 def u_train_test_disjoint(spark, d):
     x = load(spark, d, "documents").select("doc_id")
-    return x.filter("doc_id % 5 = 0").intersect(x.filter("doc_id % 5 != 0")).agg(N1.alias("n"))
+    return x.filter("doc_id % 5 = 0").intersect(x.filter("doc_id % 5 != 0")).agg(n1().alias("n"))
 
 
 @B.add("u_union_streams", "SELECT user_id AS u FROM events UNION SELECT o_custkey FROM orders")
@@ -266,7 +269,7 @@ def u_except_unlabelled(spark, d):
 @B.add("f_tokenise", "SELECT w, count(*) AS n FROM (SELECT lower(unnest(regexp_extract_all(text, '[A-Za-z]+'))) AS w FROM documents) GROUP BY 1 ORDER BY n DESC, w LIMIT 50")
 def f_tokenise(spark, d):
     w = load(spark, d, "documents").select(F.explode(F.regexp_extract_all("text", F.lit("[A-Za-z]+"), F.lit(0))).alias("w")).select(F.lower("w").alias("w"))
-    return w.groupBy("w").agg(N1.alias("n")).orderBy(F.desc("n"), "w").limit(50)
+    return w.groupBy("w").agg(n1().alias("n")).orderBy(F.desc("n"), "w").limit(50)
 
 
 @B.add("f_ngrams", """WITH t AS (SELECT item_id, regexp_extract_all(lower(text), '[a-z]+') AS w FROM benchmark)
@@ -274,7 +277,7 @@ def f_tokenise(spark, d):
 def f_ngrams(spark, d):
     t = load(spark, d, "benchmark").select("item_id", F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0)).alias("w")).filter(F.size("w") > 1)
     grams = F.zip_with(F.slice("w", 1, F.size("w") - 1), F.slice("w", 2, F.size("w") - 1), lambda a, b: F.concat_ws(" ", a, b))
-    return t.select("item_id", F.explode(grams).alias("gram")).groupBy("item_id", "gram").agg(N1.alias("n"))
+    return t.select("item_id", F.explode(grams).alias("gram")).groupBy("item_id", "gram").agg(n1().alias("n"))
 
 
 @B.add("f_html_title", "SELECT page_id, regexp_extract(html, '<title>([^<]*)</title>', 1) AS title FROM pages")
@@ -290,7 +293,7 @@ def f_url_parts(spark, d):
 
 @B.add("f_hash_bucket", "SELECT ('0x' || substr(md5(source), 1, 8))::BIGINT % 512 AS bucket, count(*) AS n FROM documents GROUP BY 1")
 def f_hash_bucket(spark, d):
-    return load(spark, d, "documents").groupBy(text_bucket(F.col("source"), 512).alias("bucket")).agg(N1.alias("n"))
+    return load(spark, d, "documents").groupBy(text_bucket(F.col("source"), 512).alias("bucket")).agg(n1().alias("n"))
 
 
 @B.add("f_date_features", "SELECT o_orderkey, extract(year FROM o_orderdate)::BIGINT AS y, extract(month FROM o_orderdate)::BIGINT AS m, extract(isodow FROM o_orderdate)::BIGINT AS dow, round(sin(2 * pi() * extract(month FROM o_orderdate) / 12), 6) + 0.0 AS s, round(cos(2 * pi() * extract(month FROM o_orderdate) / 12), 6) + 0.0 AS c FROM orders")
