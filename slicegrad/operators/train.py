@@ -80,12 +80,17 @@ def update(cut: DataFrame, weights: DataFrame, optim: Optimizer, it: int, n: int
     slots = list(optim.slots)
     left = cut.select("slice", F.col("n").alias("_n"), F.col("loss").alias("_loss"), "g", *[F.lit(None).cast("array<double>").alias(c) for c in ("w", *slots)])
     right = weights.select("slice", F.lit(None).cast("double").alias("_n"), F.lit(None).cast("double").alias("_loss"), F.lit(None).cast("array<double>").alias("g"), "w", *slots)
-    owned = left.unionByName(right).repartitionById(n, "slice").groupBy("slice").agg(
+    return _owned(left.unionByName(right), optim, it, n, reduce)
+
+
+def _owned(rows: DataFrame, optim: Optimizer, it: int, n: int, reduce: str) -> DataFrame:
+    """What the owner of a slice does with all its rows."""
+    slots = list(optim.slots)
+    owned = rows.repartitionById(n, "slice").groupBy("slice").agg(
         F.sum("_n").alias("_n"), F.sum("_loss").alias("_loss"), folded(F.collect_list("g")).alias("g"), *[F.max(c).alias(c) for c in ("w", *slots)])
     by = F.col("_n") if reduce == "mean" else F.lit(1.0)
     owned = owned.withColumn("g", F.transform(F.coalesce("g", F.transform("w", lambda v: v * 0.0)), lambda v: v / F.coalesce(by, F.lit(1.0))))
-    zipped = F.arrays_zip("w", "g", *slots)
-    moved = owned.withColumn("p", F.transform(zipped, lambda p: optim.step(p, it)))
+    moved = owned.withColumn("p", F.transform(F.arrays_zip("w", "g", *slots), lambda p: optim.step(p, it)))
     return moved.select("slice", "_n", "_loss", *[F.col(f"p.{c}").alias(c) for c in ("w", *slots)])
 
 
@@ -129,23 +134,31 @@ def train(samples: DataFrame, model: Glm, optim: Optimizer, rounds: int, n: int
 def unrolled(samples: DataFrame, model: Glm, optim: Optimizer, rounds: int, n: int = 4, reduce: str = "mean", start: list[float] | None = None) -> DataFrame:
     """Several rounds in one plan: weights go from stage to stage and never to the driver.
 
-    The one row that tasks read is the assembled vector, broadcast: k numbers, bounded by the model.
+    The one row that tasks read is the assembled state, broadcast: k numbers and their slots, bounded by the model.
+    Gradient rows carry their slice of it on, so a round reads the one before once and the plan grows in line.
     """
     spark = samples.sparkSession
     layout = slices.ParamLayout(model.k, n)
-    w = start or [0.0] * model.k
-    weights = weight_rows(spark, layout, w, {s: [0.0] * model.k for s in optim.slots})
+    names = ["w", *optim.slots]
+    weights = weight_rows(spark, layout, start or [0.0] * model.k, {s: [0.0] * model.k for s in optim.slots})
+    edges = F.array(*[F.lit(e) for e in layout.edges])
+    low, high = F.get(edges, F.col("slice")), F.get(edges, F.col("slice") + 1)
     for it in range(1, rounds + 1):
-        whole = assemble(weights)
-        batch = samples.crossJoin(F.broadcast(whole))
-        cut = layout.cut(model.gradients(batch, F.col("_whole")))
-        weights = update(cut, weights, optim, it, n, reduce)
+        batch = samples.crossJoin(F.broadcast(assemble(weights, names)))
+        p = model.predict(F.col("_w"), F.col("x"))
+        e = batch.withColumn("_e", (p - F.col("y")) * F.col("wt"))
+        g = F.array(*[F.sum(F.col("_e") * F.get("x", j)) for j in range(model.k)])
+        grads = e.groupBy(F.col("part").alias("producer")).agg(F.sum("wt").alias("_n"), F.sum(F.col("_e") * F.col("_e") / 2).alias("_loss"), g.alias("g"), *[F.first(f"_{c}").alias(c) for c in names])
+        cut = grads.withColumn("slice", F.explode(F.sequence(F.lit(0), F.lit(n - 1)))).select("slice", "_n", "_loss", *[F.slice(c, low + 1, high - low).alias(c) for c in ("g", *names)])
+        weights = _owned(cut, optim, it, n, reduce)
     return weights
 
 
-def assemble(weights: DataFrame) -> DataFrame:
-    """The whole vector from its slices, in order, as one row ``_whole``."""
-    return weights.agg(F.flatten(F.transform(F.array_sort(F.collect_list(F.struct("slice", "w"))), lambda p: p["w"])).alias("_whole"))
+def assemble(weights: DataFrame, names=("w",)) -> DataFrame:
+    """The whole vectors from their slices, in order, as one row: ``_whole``, or ``_`` and the name for several."""
+    rows = F.array_sort(F.collect_list(F.struct("slice", *names)))
+    whole = lambda c: F.flatten(F.transform(rows, lambda p: p[c]))
+    return weights.agg(whole("w").alias("_whole")) if names == ("w",) else weights.agg(*[whole(c).alias(f"_{c}") for c in names])
 
 
 def train_stale(samples: DataFrame, model: Glm, lr: float, rounds: int, lag) -> list[float]:

@@ -356,3 +356,26 @@ def w13_transfer_head(spark, d):
     return weights_frame(spark, w, 4).withColumn("w", F.round("w", 5))
 
 
+
+
+@B.add("m_model_roundtrip", "SELECT j::BIGINT AS j, ((j * 37 + 11) % 101 - 50) / 100.0::DOUBLE AS w FROM (SELECT unnest(range(0, 30)) AS j)")
+def m_model_roundtrip(spark, d):
+    """A network saved in slices and loaded again."""
+    from slicegrad.operators.persist import load as load_model
+    from slicegrad.operators.persist import save
+
+    where = WeightStore.temporary(spark).folder
+    net = models.Mlp(3, 4, 2)
+    theta = [((j * 37 + 11) % 101 - 50) / 100 for j in range(net.k)]
+    save(spark, net, theta, where, d=3, hidden=4, classes=2)
+    _, back = load_model(spark, where)
+    return spark.createDataFrame([(j, float(v)) for j, v in enumerate(back)] + [(j, ((j * 37 + 11) % 101 - 50) / 100) for j in range(len(back), 30)], "j long, w double")
+
+
+@B.add("w15_connector", """SELECT vec_id AS id, round(list_sum(list_transform(range(1, 65), lambda j: embedding[j]::DOUBLE * (((j - 1) * 37 + 11) % 101 - 50) / 100.0)), 6) AS score FROM embeddings""")
+def w15_connector(spark, d):
+    """Export, a process without Spark, import: the same scores as in the plan."""
+    from slicegrad.sources.connector import score_outside
+
+    df = load(spark, d, "embeddings").select(F.col("vec_id").alias("id"), F.transform("embedding", lambda v: v.cast("double")).alias("x"))
+    return score_outside(df, WeightStore.temporary(spark).folder, 64).select("id", F.round("score", 6).alias("score"))

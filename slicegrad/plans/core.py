@@ -81,8 +81,7 @@ def m_minibatch_train(spark, sf_dir):
 def m_group_rounds(spark, sf_dir):
     """Three rounds in one plan and one action."""
     whole = assemble(unrolled(to_samples(vec8(spark, sf_dir), P), Glm(K), optim.Sgd(0.1), 3, N))
-    edges = slices.ParamLayout(K, N)
-    return whole.select(F.posexplode("_whole").alias("j", "w")).select(F.floor(F.col("j") * N / K).cast("long").alias("slice"), F.col("j").cast("long").alias("j"), F.round("w", 6).alias("w")) if edges else None
+    return whole.select(F.posexplode("_whole").alias("j", "w")).select(F.floor(F.col("j") * N / K).cast("long").alias("slice"), F.col("j").cast("long").alias("j"), F.round("w", 6).alias("w"))
 
 
 @B.add("w6_group_equals_single", "SELECT 0::BIGINT AS differing")
