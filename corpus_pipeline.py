@@ -23,8 +23,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def simhash_near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group stays, by fingerprints of 5-word shingles."""
-    return simhash.simhash_dedup(docs, shingle=5)
+    """One document of each group stays: 5-word shingles, a similarity of 0.8 or more."""
+    return simhash.near_dedup(docs, shingle=5, similarity=0.8)
 
 
 def secret_scans(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

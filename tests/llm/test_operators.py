@@ -390,3 +390,22 @@ def test_words_and_hashes(spark):
     got = [r["n"] for r in spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "i int, t string").orderBy("i").select(count_words(F.col("t")).alias("n")).collect()]
     assert got == [len(WORD.findall(t or "")) for t in texts]
     assert hashlib.sha256(b"").hexdigest() == spark.range(1).select(F.sha2(F.lit(""), 256)).first()[0]
+
+
+def test_near_groups(spark, prose, odd, monkeypatch):
+    rng = random.Random(8)
+    base = [" ".join("".join(rng.choice("abcdefghijklm") for _ in range(5)) for _ in range(200)) for _ in range(20)]
+    rows = [(i, t, "en", "s", 1) for i, t in enumerate(base)]
+    for i, t in enumerate(base):
+        words = t.split()
+        for k in rng.sample(range(200), 3):
+            words[k] = "changed"
+        rows.append((100 + i, " ".join(words), "en", "s", 1))
+        rows.append((200 + i, " ".join(words[:100]), "en", "s", 1))  # half of it: similarity 0.5
+    df = spark.createDataFrame(rows, SCHEMA)
+    for most in (20_000, 3):
+        monkeypatch.setattr(simhash, "FILE_MOST", most)
+        got = {r["doc_id"]: r["component_id"] for r in simhash.near_groups(df).collect()}
+        assert sum(got[100 + i] == i for i in range(20)) >= 18 and all(got[i] == i for i in range(20)) and all(got[200 + i] == 200 + i for i in range(20))
+    kept = simhash.near_dedup(clashing(odd))
+    assert kept.columns == clashing(odd).columns and kept.count() == 7  # null, empty and blank are one group; the repeated rows another
