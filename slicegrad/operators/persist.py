@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -54,8 +55,6 @@ def read_npz(spark: SparkSession, net, path: str) -> np.ndarray:
 
 def to_half(rows: DataFrame, column: str = "g") -> DataFrame:
     """Slices as two-byte floats for the wire: half the bytes, three digits."""
-    import pandas as pd
-
     @F.pandas_udf("binary")
     def pack(v: pd.Series) -> pd.Series:
         return v.map(lambda x: np.asarray(x, dtype=np.float16).tobytes())
@@ -64,8 +63,6 @@ def to_half(rows: DataFrame, column: str = "g") -> DataFrame:
 
 
 def from_half(rows: DataFrame, column: str = "g") -> DataFrame:
-    import pandas as pd
-
     @F.pandas_udf("array<double>")
     def unpack(v: pd.Series) -> pd.Series:
         return v.map(lambda x: np.frombuffer(x, dtype=np.float16).astype(np.float64))

@@ -242,12 +242,12 @@ def w10_persistence(spark, d):
 
 
 @B.add("w10_linear_ar_train", f"""WITH {FRAME_SQL}, l AS (SELECT cell, v::DOUBLE / 10000 AS x, lead(v) OVER (PARTITION BY cell ORDER BY hour)::DOUBLE / 10000 AS y FROM frames)
-  SELECT cell, round(regr_slope(y, x), 4) AS slope, round(regr_intercept(y, x), 2) AS intercept FROM l WHERE y IS NOT NULL GROUP BY 1""")
+  SELECT cell, round(regr_slope(y, x), 4) AS slope, round(regr_intercept(y, x), 2) AS intercept FROM l WHERE y IS NOT NULL GROUP BY 1 HAVING regr_sxx(y, x) > 0""")
 def w10_linear_ar_train(spark, d):
     """One autoregression a cell, by its normal equations in one aggregate."""
     w = Window.partitionBy("cell").orderBy("hour")
     l = frames(spark, d).select("cell", (F.col("v") / 10000).alias("x"), (F.lead("v").over(w) / 10000).alias("y")).filter("y is not null")
-    return l.groupBy("cell").agg(F.round(F.regr_slope("y", "x"), 4).alias("slope"), F.round(F.regr_intercept("y", "x"), 2).alias("intercept"))
+    return l.groupBy("cell").agg(F.round(F.regr_slope("y", "x"), 4).alias("slope"), F.round(F.regr_intercept("y", "x"), 2).alias("intercept"), F.regr_sxx("y", "x").alias("sxx")).filter("sxx > 0").drop("sxx")
 
 
 @B.add("m_nowcast_csi", f"""WITH {FRAME_SQL}, l AS (SELECT v, lead(v) OVER (PARTITION BY cell ORDER BY hour) AS later FROM frames), t AS (SELECT (SELECT quantile_disc(v, 0.9) FROM frames) AS t)
