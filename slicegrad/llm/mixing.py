@@ -53,13 +53,17 @@ def mix_copies(docs: DataFrame, text: str = "text", source: str = "source", doc_
     """``_row`` (if ``keep``), ``doc_id``, ``size``, ``source_size``, ``target``, ``copies`` for every row."""
     rows = whole_rows(docs, text, source=source, doc_id=doc_id)
     sized = rows.select(*(["_row"] if keep else []), "doc_id", "source", count_words(F.col("_text")).alias("size"), F.xxhash64("_text").alias("tie"))
-    per_source = sized.groupBy("source").agg(F.sum("size").alias("source_size"), F.count(F.lit(1)).alias("n_rows"))
+    narrow = cut(sized.select("doc_id", "source", "size", "tie"))  # words are counted once for all that follows
+    per_source = narrow.groupBy("source").agg(F.sum("size").alias("source_size"), F.count(F.lit(1)).alias("n_rows"))
     targets = small(cut(source_targets(per_source, weights, share, cap).withColumn("chunks", F.ceil(F.col("n_rows") / CHUNK_ROWS))))
     targets = targets.withColumnRenamed("source", "_of")
     chunk = F.pmod(F.xxhash64(F.lit(seed), "doc_id", "tie"), F.col("chunks"))
-    dealt = sized.join(targets, sized.source.eqNullSafe(targets["_of"]), "left").drop("_of").withColumn("chunk", chunk)
-    placed = dealt.withColumn("place", F.row_number().over(Window.partitionBy("source", "chunk").orderBy("size", F.col("doc_id").asc_nulls_last(), "tie")))
-    counts = dealt.groupBy("source", "chunk").agg(F.count(F.lit(1)).alias("n"))
+
+    def deal(rows: DataFrame) -> DataFrame:
+        return rows.join(targets, rows["source"].eqNullSafe(targets["_of"]), "left").drop("_of").withColumn("chunk", chunk)
+
+    placed = deal(sized if keep else narrow).withColumn("place", F.row_number().over(Window.partitionBy("source", "chunk").orderBy("size", F.col("doc_id").asc_nulls_last(), "tie")))
+    counts = deal(narrow).groupBy("source", "chunk").agg(F.count(F.lit(1)).alias("n"))
     starts = small(cut(counts.select(F.col("source").alias("_s"), F.col("chunk").alias("_c"), (F.sum("n").over(Window.partitionBy("source").orderBy("chunk")) - F.col("n")).alias("start"))))
     k = F.col("start") + F.col("place")
     ratio = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
