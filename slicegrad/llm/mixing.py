@@ -28,6 +28,11 @@ def small(table: DataFrame) -> DataFrame:
     return F.broadcast(table) if table.count() <= BROADCAST_ROWS else table
 
 
+def spread(text):
+    """0 to 2 ** 32 - 1, from the first digits of the MD5, which other engines have too."""
+    return F.conv(F.substring(F.md5(text.cast("binary")), 1, 8), 16, 10).cast("long")
+
+
 def source_targets(sizes: DataFrame, weights=(3, 1, 2), share: float = 1.5, cap: float = 2.0) -> DataFrame:
     """(source, source_size, n_rows) to the same with ``target``.
 
@@ -57,7 +62,7 @@ def mix_copies(docs: DataFrame, text: str = "text", source: str = "source", doc_
     per_source = narrow.groupBy("source").agg(F.sum("size").alias("source_size"), F.count(F.lit(1)).alias("n_rows"))
     targets = small(cut(source_targets(per_source, weights, share, cap).withColumn("chunks", F.ceil(F.col("n_rows") / CHUNK_ROWS))))
     targets = targets.withColumnRenamed("source", "_of")
-    chunk = F.pmod(F.xxhash64(F.lit(seed), "doc_id", "tie"), F.col("chunks"))
+    chunk = F.pmod(spread(F.concat_ws(":", F.lit(str(seed)), F.col("doc_id").cast("string"), F.col("size").cast("string"))), F.col("chunks"))
 
     def deal(rows: DataFrame) -> DataFrame:
         return rows.join(targets, rows["source"].eqNullSafe(targets["_of"]), "left").drop("_of").withColumn("chunk", chunk)
@@ -67,7 +72,7 @@ def mix_copies(docs: DataFrame, text: str = "text", source: str = "source", doc_
     starts = small(cut(counts.select(F.col("source").alias("_s"), F.col("chunk").alias("_c"), (F.sum("n").over(Window.partitionBy("source").orderBy("chunk")) - F.col("n")).alias("start"))))
     k = F.col("start") + F.col("place")
     ratio = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
-    offset = F.pmod(F.xxhash64(F.lit(seed), F.coalesce("source", F.lit("\0null"))), F.lit(1 << 30)) / F.lit(float(1 << 30))
+    offset = spread(F.concat(F.lit(f"{seed}:"), F.coalesce("source", F.lit("\0null")))) / F.lit(float(1 << 32))
     crossed = F.floor(offset + ratio * k) - F.floor(offset + ratio * (k - 1))
     out = placed.join(starts, placed.source.eqNullSafe(starts._s) & (placed.chunk == starts._c), "left")
     return out.select(*(["_row"] if keep else []), "doc_id", "size", "source_size", "target", crossed.cast("long").alias("copies"))

@@ -10,6 +10,42 @@ from slicegrad.llm.common import table
 SQL: dict[str, str] = {}
 
 
+def _shrunk(name: str, source: str, keep: str) -> str:
+    """The step of urls.shrunk as two common table expressions."""
+    return f"""{name}_s AS (SELECT least(greatest(sum(prior * (1 - prior) * n) / sum(n) / greatest((sum(n * (bad / n - prior) * (bad / n - prior)) - sum(prior * (1 - prior))) / sum(n), 1e-4) - 1, 1), 200) AS strength FROM {source}),
+  {name} AS (SELECT {keep}, (bad + strength * prior) / (n + strength) AS rate, n + strength AS weight FROM {source}, {name}_s)"""
+
+
+_RULES = ", ".join(f"('{v}', '{h}', '{p}')" for v, h, p in urls.RULES)
+SQL["op9_url_filters"] = f"""WITH u AS (SELECT page_id, CASE WHEN instr(url, '://') > 0 THEN substr(url, instr(url, '://') + 3) ELSE '' END AS rest FROM pages),
+  h AS (SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM u),
+  rules(verdict, rh, rp) AS (VALUES {_RULES}),
+  fit AS (SELECT page_id, rh || rp AS rule, verdict FROM h JOIN rules ON (host = rh OR ends_with(host, '.' || rh)) AND starts_with(path, rp) QUALIFY row_number() OVER (PARTITION BY page_id ORDER BY len(rh || rp) DESC) = 1),
+  p AS (SELECT h.*, rule, verdict, regexp_extract(host, '([^.]+\\.[^.]+)$|^([^.]*)$') AS domain, regexp_extract(host, '([^.]*)$', 1) AS suffix FROM h LEFT JOIN fit USING (page_id)),
+  hosts AS (SELECT host, domain, suffix, count(*)::DOUBLE AS n, sum(CASE WHEN verdict = 'block' THEN 1 ELSE 0 END)::DOUBLE AS bad FROM p WHERE verdict IS NOT NULL GROUP BY 1, 2, 3),
+  l2 AS (SELECT suffix, sum(n) AS n, sum(bad) AS bad, (SELECT (coalesce(sum(bad), 0) + 1) / (coalesce(sum(n), 0) + 2) FROM hosts) AS prior FROM hosts GROUP BY 1), {_shrunk("s2", "l2", "suffix")},
+  l1 AS (SELECT domain, suffix, sum(n) AS n, sum(bad) AS bad, any_value(s2.rate) AS prior FROM hosts JOIN s2 USING (suffix) GROUP BY 1, 2), {_shrunk("s1", "l1", "domain")},
+  l0 AS (SELECT host, domain, suffix, n, bad, s1.rate AS prior FROM hosts JOIN s1 USING (domain)), {_shrunk("s0", "l0", "host, domain, suffix")},
+  d AS (SELECT domain, sum(rate * weight) / sum(weight) AS r1 FROM s0 GROUP BY 1), x AS (SELECT suffix, sum(rate * weight) / sum(weight) AS r2 FROM s0 GROUP BY 1), w AS (SELECT coalesce(sum(rate * weight) / sum(weight), 0) AS r3 FROM s0),
+  r AS (SELECT p.page_id, p.host, path, rule, verdict, coalesce(s0.rate, r1, r2, r3) AS rate, coalesce(s0.weight, 1) AS weight FROM p LEFT JOIN s0 ON s0.host = p.host LEFT JOIN d ON d.domain = p.domain LEFT JOIN x ON x.suffix = p.suffix, w)
+  SELECT page_id, host, path, rule, coalesce(verdict, CASE WHEN greatest(rate - 1.645 * sqrt(rate * (1 - rate) / (weight + 1)), 0) > 0.5 THEN 'block' ELSE 'allow' END) AS verdict FROM r"""
+SQL["op10_mix_sources"] = f"""WITH d AS (SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+'))::BIGINT AS size FROM documents),
+  s AS (SELECT source, sum(size)::BIGINT AS source_size, count(*) AS n_rows FROM d GROUP BY 1),
+  w AS (SELECT *, [3.0, 1.0, 2.0][1 + (row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3]::DOUBLE AS weight, source_size * 2.0::DOUBLE AS most FROM s),
+  l AS (SELECT *, ((sum(source_size) OVER ())::DOUBLE * 1.5 - coalesce(sum(most) OVER (ORDER BY most / weight, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)) / sum(weight) OVER (ORDER BY most / weight, source NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level FROM w),
+  t AS (SELECT source, source_size, ceil(n_rows / {float(mixing.CHUNK_ROWS)})::BIGINT AS chunks, CASE WHEN level * weight >= most THEN most ELSE (SELECT max(level) FROM l WHERE level * weight < most) * weight END AS target FROM l),
+  c AS (SELECT d.doc_id, d.source, size, source_size, target, ('0x' || substr(md5(concat_ws(':', '17', d.doc_id::VARCHAR, size::VARCHAR)), 1, 8))::BIGINT % chunks AS chunk FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source),
+  k AS (SELECT *, row_number() OVER (PARTITION BY source ORDER BY chunk, size, doc_id NULLS LAST) AS k FROM c),
+  x AS (SELECT *, ('0x' || substr(md5('17:' || coalesce(source, chr(0) || 'null')), 1, 8))::BIGINT / 4294967296.0::DOUBLE AS o, CASE WHEN source_size > 0 THEN target / source_size ELSE 0 END AS r FROM k)
+  SELECT doc_id, size, source_size, target, (size * (floor(o + r * k) - floor(o + r * (k - 1))))::BIGINT AS taken FROM x"""
+SQL["op6_embedding_near_dedup"] = """WITH RECURSIVE e AS (SELECT vec_id, label, list_transform(embedding, lambda v: v::DOUBLE) AS x FROM embeddings),
+  good AS (SELECT vec_id, label, x FROM e WHERE label IS NOT NULL AND len(x) > 0 AND len(list_filter(x, lambda v: v IS NULL OR NOT isfinite(v))) = 0 AND len(list_filter(x, lambda v: v <> 0)) > 0),
+  links AS MATERIALIZED (SELECT a.vec_id AS a, b.vec_id AS b FROM good a JOIN good b ON a.label = b.label AND len(a.x) = len(b.x) AND a.vec_id <> b.vec_id WHERE list_cosine_similarity(a.x, b.x) >= 0.93),
+  reach AS (SELECT vec_id AS a, vec_id AS b FROM e UNION SELECT r.a, l.b FROM reach r JOIN links l ON r.b = l.a),
+  c AS (SELECT a, min(b) AS component_id FROM reach GROUP BY 1)
+  SELECT vec_id, (SELECT count(*) FROM links WHERE links.a = vec_id) AS n_links, component_id, vec_id = component_id AS kept FROM e JOIN c ON c.a = vec_id"""
+
+
 def op1_byte_bpe(spark, sf_dir):
     import public_tokenizers
 
