@@ -34,7 +34,7 @@ LAST = 1 << 200
 #: Children of a tree node: a node's minimum over so many is one call, and most matches are one node.
 FAN = 32
 #: Matches remembered by a worker, in two halves: a full younger half becomes the older one.
-CACHED = 600_000
+CACHED = 1_000_000
 BATCH_BYTES = 4 << 20
 
 

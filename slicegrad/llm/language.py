@@ -36,14 +36,20 @@ FIELDS = {"lang_pred": "string", "score": "double", "rejected": "boolean"}
 
 
 def learn_dictionaries(docs: DataFrame, text: str = "text", lang: str = "lang", sample: int = SAMPLE_TEXTS, size: int = DICTIONARY_BYTES) -> dict[str, bytes]:
-    """Language to dictionary, from ``docs`` with both columns known. The sample is bounded before it is collected.
+    """Language to dictionary, from ``docs`` with both columns known.
 
-    Rows are ranked inside hash shards first, so that no task orders a whole language.
+    A threshold on the texts' hashes, by the number of rows of each language, lets about twice the sample pass before
+    anything moves; copies of a text have one hash and are one row from the first aggregate on.
     """
-    shards = 64
-    rows = docs.filter(F.col(f"`{text}`").isNotNull() & F.col(f"`{lang}`").isNotNull()).select(F.col(f"`{lang}`").alias("lang"), F.substring(F.col(f"`{text}`"), 1, TEXT_CHARS).alias("text"), F.xxhash64(f"`{text}`").alias("h"))
-    per_shard = Window.partitionBy("lang", F.pmod("h", F.lit(shards))).orderBy("h", "text")
-    few = rows.withColumn("n", F.row_number().over(per_shard)).filter(F.col("n") <= sample)
+    known = docs.filter(F.col(f"`{text}`").isNotNull() & F.col(f"`{lang}`").isNotNull()).select(F.col(f"`{lang}`").alias("lang"), F.col(f"`{text}`").alias("text"))
+    sizes = known.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()  # a row a language
+    if not sizes:
+        return {}
+    steps = 1 << 24
+    share = F.lit(steps)
+    for r in sizes:
+        share = F.when(F.col("lang") == r["lang"], max(1, min(steps, 2 * sample * steps // r["n"]))).otherwise(share)
+    few = known.withColumn("h", F.xxhash64("text")).filter(F.pmod("h", F.lit(steps)) < share).groupBy("lang", "h").agg(F.min(F.substring("text", 1, TEXT_CHARS)).alias("text"))
     per_lang = Window.partitionBy("lang").orderBy("h", "text")
     picked = few.withColumn("n", F.row_number().over(per_lang)).filter(F.col("n") <= sample).drop("n").collect()
     out: dict[str, list[str]] = {}

@@ -46,6 +46,28 @@ SQL["op6_embedding_near_dedup"] = """WITH RECURSIVE e AS (SELECT vec_id, label,
   SELECT vec_id, (SELECT count(*) FROM links WHERE links.a = vec_id) AS n_links, component_id, vec_id = component_id AS kept FROM e JOIN c ON c.a = vec_id"""
 
 
+def _spans_sql() -> str:
+    """For each kind, matches with their places: the lengths of what stands before, added up."""
+    parts = []
+    for k, (_, pattern, group, least, *_) in enumerate([*secrets.BASE_KINDS, *secrets.MORE_KINDS]):
+        p = "'" + pattern.replace("'", "''") + "'"
+        parts.append(f"""SELECT doc_id, source, {k} AS kind, unnest(regexp_extract_all(text, {p}, 0)) AS hit, unnest(regexp_extract_all(text, {p}, {group})) AS value, unnest(string_split_regex(text, {p})[1:len(string_split_regex(text, {p})) - 1]) AS gap,
+      unnest(range(1, len(regexp_extract_all(text, {p}, 0)) + 1)) AS nth, {least} AS least FROM d WHERE regexp_matches(text, {p})""")
+    return " UNION ALL ".join(parts)
+
+
+_KINDS = "[" + ", ".join(f"'{k}'" for k in secrets.KINDS) + "]"
+_LISTED = "coalesce(string_agg({k}[kind + 1] || ':' || start || ':' || stop, ',' ORDER BY start, kind) {f}, '')"
+SQL["op8_secret_scan"] = f"""WITH d AS (SELECT doc_id, source, coalesce(text, '') AS text FROM documents), m AS ({_spans_sql()}),
+  e AS (SELECT *, sum(len(gap) + len(hit)) OVER (PARTITION BY doc_id, kind ORDER BY nth) AS stop FROM m),
+  s AS (SELECT doc_id, source, kind, value, (stop - len(hit))::BIGINT AS start, stop::BIGINT AS stop FROM e WHERE len(value) >= least),
+  o AS (SELECT value FROM s GROUP BY 1 HAVING count(DISTINCT source) + max((source IS NULL)::INTEGER) >= {secrets.COMMON_REPOS})
+  SELECT d.doc_id, count(kind) FILTER (kind = 0) AS n_assign, count(kind) FILTER (kind = 1) AS n_access, count(kind) FILTER (kind = 2) AS n_hex,
+    sha256({_LISTED.format(k=_KINDS, f="FILTER (WHERE kind < 3)")}) AS base_sha256, {_LISTED.format(k=_KINDS, f="FILTER (WHERE kind IS NOT NULL)")} AS spans,
+    count(kind) FILTER (value NOT IN (SELECT value FROM o)) AS n_live
+  FROM d LEFT JOIN s USING (doc_id) GROUP BY 1"""
+
+
 def op1_byte_bpe(spark, sf_dir):
     import public_tokenizers
 

@@ -32,7 +32,7 @@ from slicegrad.llm.common import process_cache, ship_by_value
 ship_by_value(__name__)
 
 SAMPLE = 2_500
-TRAIN_CHARS = 8_000
+TRAIN_CHARS = 4_000
 LANDMARKS = 160
 SIZES = (4, 10)
 DECAY = 0.8
@@ -149,30 +149,43 @@ class Matcher:
 
 
 def pick_landmarks(toxic: list[set[str]], clean: list[set[str]], most: int = LANDMARKS) -> list[str]:
-    """Strings by how many toxic texts they add to those that earlier ones cover, less the clean ones they are in; a text counts until five cover it."""
-    def parts(word: str):
-        n = len(word)
-        return {word[i : i + k] for k in range(SIZES[0], min(SIZES[1], n) + 1) for i in range(n - k + 1)}
+    """Strings by how many toxic texts they add to those that earlier ones cover, less the clean ones they are in; a text counts until five cover it.
 
+    Frequent strings are grown a character at a time: a longer one is counted only if both shorter ones in it were
+    frequent, so what is held grows with the frequent ones.
+    """
     clean_words = Counter(w for t in clean for w in t)
-    seen: dict[str, set[int]] = defaultdict(set)
     where: dict[str, set[int]] = defaultdict(set)
     for i, t in enumerate(toxic):
         for w in t:
             if clean_words[w] <= len(clean) // 1000:
                 where[w].add(i)
-    for w, docs in where.items():
-        for s in parts(w):
-            seen[s] |= docs
     least = max(3, len(toxic) // 400)
-    counts = {s: len(d) for s, d in seen.items() if len(d) >= least}
+    counts: dict[str, int] = {}
+    last: dict[str, int] | None = None
+    for k in range(SIZES[0], SIZES[1] + 1):
+        found: Counter = Counter()
+        for w, docs in where.items():
+            for s in {w[i : i + k] for i in range(len(w) - k + 1)}:
+                if last is None or (s[:-1] in last and s[1:] in last):
+                    found[s] += len(docs)
+        last = {s: n for s, n in found.items() if n >= least}
+        counts |= last
     against: Counter = Counter()
     for w, n in clean_words.items():
-        for s in parts(w):
-            if s in counts:
-                against[s] += n
-    ranked = sorted(counts, key=lambda s: (-(counts[s] - against[s]), -len(s), s))[:4000]
-    ranked = [s for s in ranked if counts[s] > 1.5 * against[s]]
+        for k in range(SIZES[0], min(SIZES[1], len(w)) + 1):
+            for s in {w[i : i + k] for i in range(len(w) - k + 1)}:
+                if s in counts:
+                    against[s] += n
+    ranked = sorted((s for s in counts if counts[s] > 1.5 * against[s]), key=lambda s: (-(counts[s] - 3 * against[s]), -len(s), s))[:4000]
+    seen: dict[str, set[int]] = {s: set() for s in ranked}
+    for w, docs in where.items():
+        for k in range(SIZES[0], min(SIZES[1], len(w)) + 1):
+            for i in range(len(w) - k + 1):
+                if w[i : i + k] in seen:
+                    seen[w[i : i + k]] |= docs
+    counts = {s: len(d) for s, d in seen.items()}
+    ranked = [s for s in ranked if counts[s] >= least]
     covered = np.zeros(len(toxic))
     out: list[str] = []
     while ranked and len(out) < most:
