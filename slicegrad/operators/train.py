@@ -102,12 +102,24 @@ class TrainResult:
     ledger: list[dict] = field(default_factory=list)
 
 
-def train(samples: DataFrame, model: Glm, optim: Optimizer, rounds: int, n: int = 4, buckets: int = 1, mode: str = "bucket", reduce: str = "mean", split_jobs: bool = False, init: TrainResult | None = None, stop=None) -> TrainResult:
+def train(samples: DataFrame, model: Glm, optim: Optimizer, rounds: int, n: int = 4, buckets: int = 1, mode: str = "bucket", reduce: str = "mean", split_jobs: bool = False, init: TrainResult | None = None, stop=None, cache: bool = True) -> TrainResult:
     """Rounds until ``rounds`` or until ``stop(weights)``.
 
     ``split_jobs`` runs the two jobs of a round as two actions; otherwise they are two stages of one. ``init``
-    continues from an earlier result, slots and round count included.
+    continues from an earlier result, slots and round count included. Samples are kept in memory or on disk for the
+    rounds (``cache``); a store that is bucketed by mini-batch is read bucket by bucket instead and needs no keeping.
     """
+    own = cache and not samples.is_cached
+    if own:
+        samples = samples.persist()
+    try:
+        return _rounds(samples, model, optim, rounds, n, buckets, mode, reduce, split_jobs, init, stop)
+    finally:
+        if own:
+            samples.unpersist()
+
+
+def _rounds(samples, model, optim, rounds, n, buckets, mode, reduce, split_jobs, init, stop) -> TrainResult:
     spark = samples.sparkSession
     layout = slices.ParamLayout(model.k, n)
     state = init or TrainResult([0.0] * model.k, {s: [0.0] * model.k for s in optim.slots}, 0)
