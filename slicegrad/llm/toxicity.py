@@ -7,8 +7,8 @@ of the landmark's own; features are whitened by the landmarks' kernel matrix (Ny
 squared hinge loss is trained on labelled texts; its margin is turned into a probability at the labels' own rate.
 
 Units are runs of non-blank characters, lower-cased and without outer punctuation; runs of lone characters are also
-read as one unit; long units are read in overlapping windows, so whole texts count. Units that lack more than one of
-a landmark's characters, and kernels under ``FLOOR``, count as zero.
+read as one unit; long units are read in overlapping windows, so whole texts count. Units that lack
+a character of a landmark, and kernels under ``FLOOR``, count as zero.
 
 Null and empty texts get the score of a text without any match. Repeated rows are judged alike; null ids and other
 columns need no care; an empty table gives an empty result. Without labels of both kinds every score is the rate of
@@ -19,6 +19,7 @@ toxic labels (0 without labels). Training takes a bounded sample: ``SAMPLE`` lab
 from __future__ import annotations
 
 import hashlib
+import re
 from collections import Counter, defaultdict
 
 import numpy as np
@@ -39,18 +40,21 @@ DECAY = 0.8
 ORDER = 3
 FLOOR = 0.4
 WINDOW = 24
-CACHED = 400_000
+CACHED = 800_000
 #: Stands before every unit, so that landmarks can hold to a unit's start.
 START = "^"
 EDGES = ".,;:!?\"'()[]{}|%&$#*<>=/\\-_+~`^@"
 
 
+_SPACED_OUT = re.compile(r"(?<!\S)\S\s+\S\s+\S(?!\S)")
+
+
 def units(text: str | None) -> set[str]:
     """The distinct units of a text."""
     words = (text or "").lower().split()
     out = {w.strip(EDGES) for w in set(words)}
     run: list[str] = []
-    for w in (*words, ""):
+    for w in (*words, "") if _SPACED_OUT.search(text or "") else ():
         if len(w) == 1:
             run.append(w)
         elif run:
@@ -97,22 +101,40 @@ def masks(c: np.ndarray) -> np.ndarray:
     return np.bitwise_or.reduce(np.where(c > 0, np.uint64(1) << (c % 64).astype(np.uint64), np.uint64(0)), axis=1)
 
 
+def pair_masks(c: np.ndarray, reach: int) -> np.ndarray:
+    """Bits of the ordered pairs of characters at most ``reach`` apart."""
+    out = np.zeros(len(c), dtype=np.uint64)
+    for gap in range(1, reach + 1):
+        a, b = c[:, :-gap].astype(np.uint64), c[:, gap:].astype(np.uint64)
+        bit = np.uint64(1) << ((a * np.uint64(31) + b) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(58))
+        out |= np.bitwise_or.reduce(np.where(b > 0, bit, np.uint64(0)), axis=1)
+    return out
+
+
 class Matcher:
-    """Units against landmarks."""
+    """Units against landmarks.
+
+    Only units with every character of a landmark, and with half of its neighbouring pairs at most three apart, are
+    set against it: inserting characters takes none away.
+    """
 
     def __init__(self, landmarks: list[str]):
         self.codes = codes(landmarks, SIZES[1])
         self.own = kernels(self.codes, self.codes)
         self.masks = masks(self.codes)
-        self.need = np.bitwise_count(self.masks) - 1
+        self.pairs = pair_masks(self.codes, 1)
+        self.need_pairs = (np.bitwise_count(self.pairs) + 1) // 2
         self.young: dict[str, tuple | None] = {}
         self.old: dict[str, tuple | None] = {}
 
     def learn(self, words: list[str]) -> None:
+        words = sorted(words, key=len)  # the kernel's steps end with the longest unit of a part
         for at in range(0, len(words), 4096):
             part = words[at : at + 4096]
-            c = codes(part, WINDOW)
-            w, k = np.nonzero(np.bitwise_count(masks(c)[:, None] & self.masks) >= self.need)
+            c = codes(part, len(part[-1]))
+            w, k = np.nonzero((masks(c)[:, None] & self.masks) == self.masks)
+            near = np.bitwise_count(pair_masks(c, 3)[w] & self.pairs[k]) >= self.need_pairs[k]
+            w, k = w[near], k[near]
             value = kernels(c[w], self.codes[k]) / self.own[k] if len(w) else np.zeros(0)
             keep = value >= FLOOR
             found = defaultdict(list)
