@@ -409,3 +409,38 @@ def test_near_groups(spark, prose, odd, monkeypatch):
         assert sum(got[100 + i] == i for i in range(20)) >= 18 and all(got[i] == i for i in range(20)) and all(got[200 + i] == 200 + i for i in range(20))
     kept = simhash.near_dedup(clashing(odd))
     assert kept.columns == clashing(odd).columns and kept.count() == 7  # null, empty and blank are one group; the repeated rows another
+
+
+def test_near_groups_find_as_much_among_many(spark, monkeypatch):
+    """Recall must not sink when the documents are many: 12 million, as counted, link the pairs that few do."""
+    rng = random.Random(9)
+    rows = []
+    for i in range(120):
+        words = ["".join(rng.choice("abcdefghijklm") for _ in range(5)) for _ in range(300)]
+        rows.append((i, " ".join(words)))
+        for k in range(5):  # apart, so that each changes five shingles: a similarity of 0.84
+            words[30 + 60 * k] = "changed"
+        rows.append((1000 + i, " ".join(words)))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    linked = []
+    count = type(df).count
+    for n in (0, 12_000_000):
+        monkeypatch.setattr(type(df), "count", lambda self, n=n: n or count(self))
+        got = {r["doc_id"]: r["component_id"] for r in simhash.near_groups(df).collect()}
+        linked.append(sum(got[1000 + i] == i for i in range(120)))
+    assert linked[0] == linked[1] >= 110
+    same = 1 - np.arccos(1.6 / 1.8) / np.pi
+    for n in (1000, 12_000_000, 1 << 28, 1 << 36):
+        size, blocks = simhash.block_plan(n, 0.8, 32)
+        assert 1 - (1 - same ** (8 * size)) ** blocks > 0.9
+
+
+def test_screen_of_files_loses_no_near_pair():
+    rng = np.random.default_rng(3)
+    prints = rng.integers(0, 1 << 63, (300, 8), dtype=np.uint64)
+    for i in range(0, 100, 2):
+        flips = np.zeros(512, dtype=np.uint8)
+        flips[rng.choice(512, i, replace=False)] = 1
+        prints[i + 1] = prints[i] ^ np.packbits(flips).view(np.uint64)
+    near = np.bitwise_count(prints[:, None] ^ prints).sum(2) <= 85
+    assert simhash._has_near(prints, 85)[(near.sum(1) > 1)].all() and simhash._has_near(prints, 85).sum() < 150
