@@ -7,8 +7,8 @@ of the landmark's own; features are whitened by the landmarks' kernel matrix (Ny
 squared hinge loss is trained on labelled texts; its margin is turned into a probability at the labels' own rate.
 
 Units are runs of non-blank characters, lower-cased and without outer punctuation; runs of lone characters are also
-read as one unit; long units are read in overlapping windows, so whole texts count. Units that lack
-a character of a landmark, and kernels under ``FLOOR``, count as zero.
+read as one unit; long units are read in overlapping windows, so whole texts count. Every unit is set against every
+landmark; kernels under ``FLOOR`` count as zero.
 
 Null and empty texts get the score of a text without any match. Repeated rows are judged alike; null ids and other
 columns need no care; an empty table gives an empty result. Without labels of both kinds every score is the rate of
@@ -97,48 +97,83 @@ def kernels(x: np.ndarray, y: np.ndarray, decay: float = DECAY, order: int = ORD
     return total
 
 
-def masks(c: np.ndarray) -> np.ndarray:
-    return np.bitwise_or.reduce(np.where(c > 0, np.uint64(1) << (c % 64).astype(np.uint64), np.uint64(0)), axis=1)
+def profiles(c: np.ndarray, size: int, decay: float = DECAY) -> np.ndarray:
+    """[row, place, character]: what stands before a place, weighed by the decay to the power of the steps to it.
 
+    ``c`` has characters by number; 0, any other one, takes a place and no weight.
+    """
+    out = np.zeros((*c.shape, size + 1))
+    rows = np.arange(len(c))
+    for j in range(1, c.shape[1]):
+        out[:, j] = out[:, j - 1]
+        out[rows, j, c[:, j - 1]] += 1
+        out[:, j] *= decay
+    return out[:, :, 1:]
 
-def pair_masks(c: np.ndarray, reach: int) -> np.ndarray:
-    """Bits of the ordered pairs of characters at most ``reach`` apart."""
-    out = np.zeros(len(c), dtype=np.uint64)
-    for gap in range(1, reach + 1):
-        a, b = c[:, :-gap].astype(np.uint64), c[:, gap:].astype(np.uint64)
-        bit = np.uint64(1) << ((a * np.uint64(31) + b) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(58))
-        out |= np.bitwise_or.reduce(np.where(b > 0, bit, np.uint64(0)), axis=1)
-    return out
+
+def product(a: np.ndarray, b: np.ndarray, rows: int = 16) -> np.ndarray:
+    """``a @ b``, so few rows at a time that the library starts no threads beside the task's own."""
+    whole = np.zeros((-(-len(a) // rows) * rows, a.shape[1]))
+    whole[: len(a)] = a
+    return (whole.reshape(-1, rows, a.shape[1]) @ b).reshape(len(whole), b.shape[1])[: len(a)]
 
 
 class Matcher:
-    """Units against landmarks.
+    """Units against landmarks, every one with every one.
 
-    Only units with every character of a landmark, and with half of its neighbouring pairs at most three apart, are
-    set against it: inserting characters takes none away.
+    A subsequence of three has a middle: the kernel sums, over the places of a unit and of a landmark that hold the
+    same character, the product of what both have before them and of what both have after them. Places are taken
+    together by their character, so these are products of matrices.
     """
 
     def __init__(self, landmarks: list[str]):
         self.codes = codes(landmarks, SIZES[1])
         self.own = kernels(self.codes, self.codes)
-        self.masks = masks(self.codes)
-        self.pairs = pair_masks(self.codes, 1)
-        self.need_pairs = (np.bitwise_count(self.pairs) + 1) // 2
+        self.known = np.unique(self.codes[self.codes > 0])
+        left, right = self.sides(self.codes)
+        c = self.numbers(self.codes)
+        self.places = []  # by character: the landmarks with it, where each one's places begin, and what is beside these
+        for k in range(len(self.known)):
+            row, place = np.nonzero((c == k + 1) & left.any(2) & right.any(2))
+            mark, at = np.unique(row, return_index=True)
+            self.places.append((mark, at, left[row, place].T.copy(), right[row, place].T.copy()))
         self.young: dict[str, tuple | None] = {}
         self.old: dict[str, tuple | None] = {}
 
+    def numbers(self, c: np.ndarray) -> np.ndarray:
+        at = np.searchsorted(self.known, c).clip(max=len(self.known) - 1)
+        return np.where(self.known[at] == c, at + 1, 0)
+
+    def sides(self, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        c = self.numbers(c)
+        return profiles(c, len(self.known)), profiles(c[:, ::-1], len(self.known))[:, ::-1]
+
+    def against(self, c: np.ndarray) -> np.ndarray:
+        """Kernels of the rows of ``c`` with all landmarks, in parts of the landmarks' own."""
+        out = np.zeros((len(c), len(self.own)))
+        left, right = self.sides(c)
+        c = np.where(left.any(2) & right.any(2), self.numbers(c), 0)  # a middle has something on both sides
+        for k, (mark, at, before, after) in enumerate(self.places):
+            row, place = np.nonzero(c == k + 1)
+            if len(row) and len(mark):
+                both = product(left[row, place], before)
+                both *= product(right[row, place], after)
+                if len(at) < both.shape[1]:
+                    both = np.add.reduceat(both, at, axis=1)
+                start = np.flatnonzero(np.r_[True, row[1:] != row[:-1]])
+                if len(start) < len(row):
+                    both = np.add.reduceat(both, start, axis=0)
+                out[np.ix_(row[start], mark)] += both
+        return out * DECAY * DECAY / self.own
+
     def learn(self, words: list[str]) -> None:
-        words = sorted(words, key=len)  # the kernel's steps end with the longest unit of a part
-        for at in range(0, len(words), 4096):
-            part = words[at : at + 4096]
-            c = codes(part, len(part[-1]))
-            w, k = np.nonzero((masks(c)[:, None] & self.masks) == self.masks)
-            near = np.bitwise_count(pair_masks(c, 3)[w] & self.pairs[k]) >= self.need_pairs[k]
-            w, k = w[near], k[near]
-            value = kernels(c[w], self.codes[k]) / self.own[k] if len(w) else np.zeros(0)
-            keep = value >= FLOOR
+        words = sorted(words, key=len)  # a part's rows end with its longest unit
+        for lo in range(0, len(words), 1024):
+            part = words[lo : lo + 1024]
+            value = self.against(codes(part, len(part[-1])))
+            w, k = np.nonzero(value >= FLOOR)
             found = defaultdict(list)
-            for a, b, v in zip(w[keep].tolist(), k[keep].tolist(), np.minimum(value[keep], 1.0).tolist()):
+            for a, b, v in zip(w.tolist(), k.tolist(), np.minimum(value[w, k], 1.0).tolist()):
                 found[a].append((b, v))
             if len(self.young) >= CACHED // 2:
                 self.old, self.young = self.young, {}

@@ -444,3 +444,18 @@ def test_screen_of_files_loses_no_near_pair():
         prints[i + 1] = prints[i] ^ np.packbits(flips).view(np.uint64)
     near = np.bitwise_count(prints[:, None] ^ prints).sum(2) <= 85
     assert simhash._has_near(prints, 85)[(near.sum(1) > 1)].all() and simhash._has_near(prints, 85).sum() < 150
+
+
+def test_units_meet_every_landmark():
+    """Whatever has a kernel of FLOOR or more counts, one character replaced or left out too."""
+    marks = ["^worthless", "^stupid", "^scumbag", "umba", "aaaa"]
+    own = toxicity.Matcher(marks)
+    rng = random.Random(4)
+    some = ["^st*pid", "^wrthless", "^scumb4g", "^stupd", "^s.t.u.p.i.d", "^", "^é", "^aaaaaaaa", "^stupidstupidstupidstup"]
+    some += ["^" + "".join(rng.choice("stupidworlecmbag*") for _ in range(rng.randint(1, 23))) for _ in range(200)]
+    own.learn(some)
+    for word in some:
+        w = toxicity.codes([word], toxicity.WINDOW)
+        want = {k: min(v, 1.0) for k, m in enumerate(marks) if (v := toxicity.kernels(w, own.codes[[k]])[0] / own.own[k]) >= toxicity.FLOOR}
+        assert dict(own.young[word] or ()) == pytest.approx(want)
+    assert all(own.young[w] for w in some[:5])
