@@ -459,3 +459,15 @@ def test_units_meet_every_landmark():
         want = {k: min(v, 1.0) for k, m in enumerate(marks) if (v := toxicity.kernels(w, own.codes[[k]])[0] / own.own[k]) >= toxicity.FLOOR}
         assert dict(own.young[word] or ()) == pytest.approx(want)
     assert all(own.young[w] for w in some[:5])
+
+
+def test_one_row_of_each_component_not_of_each_id(spark):
+    """Different texts stay, whether they have no id or one that others have too."""
+    rng = random.Random(11)
+    texts = [" ".join("".join(rng.choice("abcdefghijklm") for _ in range(5)) for _ in range(60)) for _ in range(8)]
+    ids = [None, None, None, 7, 7, 7, 8, None]
+    rows = [*zip(ids, texts), (None, texts[0]), (3, texts[1]), (9, texts[6])]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    want = Counter([(None, texts[0]), (3, texts[1]), *list(zip(ids, texts))[2:]])
+    for dedup in (simhash.near_dedup, simhash.simhash_dedup):
+        assert Counter(tuple(r) for r in dedup(df).collect()) == want
