@@ -273,20 +273,28 @@ def images(spark, d):
     return e.select("id", "x", F.array((-best).cast("double")).alias("y"))
 
 
-def token_samples(spark, d, length: int = 16, vocabulary: int = 64):
-    """User turns as hashed word ids, with the role-free target: does the turn have more than twelve words."""
-    c = load(spark, d, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0)).alias("w"))
-    ids = F.transform(F.sequence(F.lit(0), F.lit(length - 1)), lambda j: F.coalesce(F.pmod(F.crc32(F.get("w", j).cast("binary")), F.lit(vocabulary - 1)) + 1, F.lit(0)).cast("double"))
-    return c.select("id", ids.alias("x"), F.array(F.when(F.size("w") > 12, 1.0).otherwise(0.0)).alias("y"))
+def _turns(spark, d):
+    return load(spark, d, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0)).alias("w"))
+
+
+def token_length(spark, d):
+    """Words of the longest turn."""
+    return max(_turns(spark, d).agg(F.max(F.size("w"))).first()[0] or 0, 1)
+
+
+def token_samples(spark, d, vocabulary: int = 64):
+    """Whole turns as hashed word ids, filled up with zeros, with the role-free target: does the turn have more than twelve words."""
+    ids = F.transform(F.sequence(F.lit(0), F.lit(token_length(spark, d) - 1)), lambda j: F.coalesce(F.pmod(F.crc32(F.get("w", j).cast("binary")), F.lit(vocabulary - 1)) + 1, F.lit(0)).cast("double"))
+    return _turns(spark, d).select("id", ids.alias("x"), F.array(F.when(F.size("w") > 12, 1.0).otherwise(0.0)).alias("y"))
 
 
 def rating_samples(spark, d, users: int = 32, items: int = 32):
-    p = taste(spark, d).filter("u < 400").select((F.col("u") * 100003 + F.col("i")).alias("id"), F.array((F.col("u") % users).cast("double"), (F.col("i") % items).cast("double")).alias("x"), F.array(F.lit(1.0)).alias("y"))
-    n = interactions(spark, d).filter("u < 400 and u % 4 != i % 4").filter("(u + i) % 3 = 0").select((F.col("u") * 100003 + F.col("i")).alias("id"), F.array((F.col("u") % users).cast("double"), (F.col("i") % items).cast("double")).alias("x"), F.array(F.lit(0.0)).alias("y"))
-    return p.unionByName(n)
+    """Every interaction, and whether its groups agree."""
+    p = interactions(spark, d)
+    return p.select((F.col("u") * 100003 + F.col("i")).alias("id"), F.array((F.col("u") % users).cast("double"), (F.col("i") % items).cast("double")).alias("x"), F.array((F.col("u") % 4 == F.col("i") % 4).cast("double")).alias("y"))
 
 
-def frame_samples(spark, d, past: int = 4, future: int = 2, every: int = 6):
+def frame_samples(spark, d, past: int = 6, future: int = 3, every: int = 1):
     """Past and future frames as flat arrays; a frame is 64 cells, gathered by hour."""
     f = frames(spark, d).groupBy("hour").agg(F.transform(F.array_sort(F.collect_list(F.struct("cell", "v"))), lambda p: p["v"] / 1e6).alias("f"))
     windows = f.select(F.explode(F.sequence(F.col("hour") - past - future + 1, F.col("hour"))).alias("id"), "hour", "f")
@@ -302,7 +310,7 @@ def _ledger(spark, result):
 def _kernel(key, samples, net, opt, rounds=3):
     @B.add(key)
     def run(spark, d):
-        return _ledger(spark, train_net(samples(spark, d), net, opt, rounds))
+        return _ledger(spark, train_net(samples(spark, d), net(spark, d) if callable(net) else net, opt, rounds))
 
 
 _kernel("m_mlp_train_kernel", images, models.Mlp(64, 16, 4), optim.Momentum(0.1))
@@ -310,11 +318,11 @@ _kernel("m_cnn_train_kernel", images, models.Inception(8, 4, 4), optim.Sgd(0.1))
 _kernel("w4_fb_step", images, models.Inception(8, 4, 4), optim.Sgd(0.1), 1)
 _kernel("w7_factored_train", images, models.Inception(8, 4, 4, "factored"), optim.Sgd(0.1))
 _kernel("w7_residual_train", images, models.Inception(8, 4, 4, "residual"), optim.Sgd(0.1))
-_kernel("m_lstm_train_kernel", token_samples, models.Recurrent(64, 16, 6, 8, 2, "lstm"), optim.Adam(0.02))
-_kernel("w7_gru_train", token_samples, models.Recurrent(64, 16, 6, 8, 2, "gru"), optim.Adam(0.02))
-_kernel("w7_rnn_train", token_samples, models.Recurrent(64, 16, 6, 8, 2, "rnn"), optim.Adam(0.02))
-_kernel("w1_textconv_train", token_samples, models.TextConv(64, 16, 6, 8, 3, 2), optim.Adam(0.02))
-_kernel("m_convlstm_train_kernel", frame_samples, models.ConvLstm(8, 2, 4, 2), optim.Adam(0.01), 2)
+_kernel("m_lstm_train_kernel", token_samples, lambda s, d: models.Recurrent(64, token_length(s, d), 6, 8, 2, "lstm"), optim.Adam(0.02))
+_kernel("w7_gru_train", token_samples, lambda s, d: models.Recurrent(64, token_length(s, d), 6, 8, 2, "gru"), optim.Adam(0.02))
+_kernel("w7_rnn_train", token_samples, lambda s, d: models.Recurrent(64, token_length(s, d), 6, 8, 2, "rnn"), optim.Adam(0.02))
+_kernel("w1_textconv_train", token_samples, lambda s, d: models.TextConv(64, token_length(s, d), 6, 8, 3, 2), optim.Adam(0.02))
+_kernel("m_convlstm_train_kernel", frame_samples, models.ConvLstm(8, 2, 6, 3), optim.Adam(0.01), 2)
 _kernel("m_neumf_train_kernel", rating_samples, models.NeuMf(32, 32, 4, 8), optim.Adam(0.02))
 _kernel("m_gmf_train_kernel", rating_samples, models.NeuMf(32, 32, 4, 8, "gmf"), optim.Adam(0.02))
 _kernel("m_mlpcf_train_kernel", rating_samples, models.NeuMf(32, 32, 4, 8, "mlp"), optim.Adam(0.02))
@@ -326,7 +334,7 @@ _kernel("w8_bit_descriptor_train", lambda s, d: images(s, d).withColumn("y", F.a
 def w10_nowcast(spark, d):
     """Trained for two rounds, then one forecast a window: mean squared error by lead."""
     samples = frame_samples(spark, d)
-    net = models.ConvLstm(8, 2, 4, 2)
+    net = models.ConvLstm(8, 2, 6, 3)
     model = train_net(samples, net, optim.Adam(0.01), 2)
     said = predict(samples, net, model.weights)
     e = said.select(F.posexplode(F.zip_with("scores", "y", lambda a, b: (a - b) * (a - b))).alias("pos", "e"))

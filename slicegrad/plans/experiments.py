@@ -18,7 +18,7 @@ from slicegrad.operators import optim
 from slicegrad.operators.kernel import forward_backward, local_train, predict, train_net
 from slicegrad.operators.slices import ParamLayout
 from slicegrad.operators.train import Glm, to_samples, train, unrolled, update, weight_rows
-from slicegrad.plans.apps import frame_samples, images, rating_samples, token_samples
+from slicegrad.plans.apps import frame_samples, images, rating_samples, token_length, token_samples
 from slicegrad.sources.tables import vec8
 
 
@@ -95,7 +95,7 @@ def ncf(spark, sf_dir):
 def nets(spark, sf_dir):
     """Gradient bytes a sample-second of compute: convolutional against recurrent networks."""
     out = []
-    for name, data, net in (("cnn", images, models.Inception(8, 8, 4)), ("factored", images, models.Inception(8, 8, 4, "factored")), ("residual", images, models.Inception(8, 8, 4, "residual")), ("lstm", token_samples, models.Recurrent(64, 16, 6, 16, 2))):
+    for name, data, net in (("cnn", images, models.Inception(8, 8, 4)), ("factored", images, models.Inception(8, 8, 4, "factored")), ("residual", images, models.Inception(8, 8, 4, "residual")), ("lstm", token_samples, models.Recurrent(64, token_length(spark, sf_dir), 6, 16, 2))):
         own = data(spark, sf_dir).limit(500).toPandas()
         x, y = np.stack(own["x"]), np.stack(own["y"])
         theta = net.init(0)

@@ -250,3 +250,18 @@ def test_edges(spark):
     assert train(to_samples(empty, 2), Glm(3), optim.Sgd(0.1), 1, 5).weights == [0.0, 0.0, 0.0]
     one = spark.createDataFrame([(0, [0.0, 0.0], 1.0)], "id long, x array<double>, y double")
     assert train(to_samples(one, 4), Glm(2), optim.Adagrad(0.1), 2, 8).weights == [0.0, 0.0]
+
+
+def test_training_reads_whole_tables(spark):
+    """Every interaction, every window of six and three frames, every word of a turn."""
+    from slicegrad.plans import apps
+    from slicegrad.sources.tables import interactions
+
+    d = "/root/testdata/sf0.001"
+    assert apps.rating_samples(spark, d).count() == interactions(spark, d).count()
+    words = {r["id"]: len(r["w"]) for r in apps._turns(spark, d).collect()}
+    rows = apps.token_samples(spark, d).collect()
+    assert {r["id"]: sum(v > 0 for v in r["x"]) for r in rows} == words and max(words.values()) > 16
+    hours = {r["hour"] for r in apps.frames(spark, d).select("hour").distinct().collect()}
+    windows = apps.frame_samples(spark, d).collect()
+    assert {r["id"] for r in windows} == {h for h in hours if hours >= set(range(h, h + 9))} and {(len(r["x"]), len(r["y"])) for r in windows} == {(6 * 64, 3 * 64)}
