@@ -62,7 +62,7 @@ def mix_copies(docs: DataFrame, text: str = "text", source: str = "source", doc_
     per_source = narrow.groupBy("source").agg(F.sum("size").alias("source_size"), F.count(F.lit(1)).alias("n_rows"))
     targets = small(cut(source_targets(per_source, weights, share, cap).withColumn("chunks", F.ceil(F.col("n_rows") / CHUNK_ROWS))))
     targets = targets.withColumnRenamed("source", "_of")
-    chunk = F.pmod(spread(F.concat_ws(":", F.lit(str(seed)), F.col("doc_id").cast("string"), F.col("size").cast("string"))), F.col("chunks"))
+    chunk = F.pmod(spread(F.concat_ws(":", F.lit(str(seed)), F.coalesce(F.col("doc_id").cast("string"), F.col("tie").cast("string")), F.col("size").cast("string"))), F.col("chunks"))
 
     def deal(rows: DataFrame) -> DataFrame:
         return rows.join(targets, rows["source"].eqNullSafe(targets["_of"]), "left").drop("_of").withColumn("chunk", chunk)

@@ -95,9 +95,9 @@ def rules() -> dict[str, Column]:
 def fit_votes(votes: DataFrame) -> DataFrame:
     """``votes``: an array column of that name. Returns (votes, good): each pattern's posterior."""
     patterns = votes.groupBy("votes").agg(F.count(F.lit(1)).cast("double").alias("c"))
-    # a first guess: one bad vote outweighs the good ones, as in all-must-pass filtering; the rounds then weigh each rule
+    # patterns stand in order, so that sums come out alike in every run; a first guess: one bad vote outweighs the good ones, as in all-must-pass filtering; the rounds then weigh each rule
     start = "1 / (1 + exp(-(1 + aggregate(votes, 0D, (a, v) -> a + if(v < 0, -4D, 0.3D * v)))))"
-    gathered = patterns.agg(F.collect_list(F.struct("votes", "c", F.expr(start).alias("q"))).alias("p"))
+    gathered = patterns.agg(F.array_sort(F.collect_list(F.struct("votes", "c", F.expr(start).alias("q")))).alias("p"))
     weight = "aggregate(p, cast(0 as double), (a, x) -> a + x.c * {0})"
     # counts by rule and vote, with a hundredth of the weight as prior belief that rules are right 9 times in 10
     table = """transform(sequence(0, coalesce(size(get(p, 0).votes), 1) - 1), j -> transform(array(-1, 0, 1), v -> named_struct(
