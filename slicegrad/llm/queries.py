@@ -17,18 +17,33 @@ def _shrunk(name: str, source: str, keep: str) -> str:
 
 
 _RULES = ", ".join(f"('{v}', '{h}', '{p}')" for v, h, p in urls.RULES)
-SQL["op9_url_filters"] = f"""WITH u AS (SELECT page_id, CASE WHEN instr(url, '://') > 0 THEN substr(url, instr(url, '://') + 3) ELSE '' END AS rest FROM pages),
-  h AS (SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM u),
+_MARKS, _SUFFIX = "|".join(urls.HOST_MARKS), "|".join(x.replace(".", "\\.") for x in urls.SUFFIXES) + "|[^.]*"
+_SOFT = "(greatest({0}, 0) + ln(1 + exp(-abs({0}))))"
+
+
+def _risk(name: str, source: str, key: str) -> str:
+    """The tail of the beta posterior, summed over the steps of urls.tail."""
+    at = "(ln(a / b) + sqrt(1 / a + 1 / b) * k / 10.0)"
+    weight = f"exp(-a * {_SOFT.format('(-t)')} - b * {_SOFT.format('t')} + a * {_SOFT.format('(-ln(a / b))')} + b * {_SOFT.format('(ln(a / b))')})"
+    return f"""{name} AS (SELECT {key}, sum(CASE WHEN t > 0 THEN v ELSE 0 END) / sum(v) AS risk FROM (SELECT *, {weight} AS v FROM (SELECT *, {at} AS t FROM (SELECT {key}, greatest(least(rate, 1 - 1e-6), 1e-6) * weight AS a, (1 - greatest(least(rate, 1 - 1e-6), 1e-6)) * weight AS b FROM {source}), (SELECT unnest(range(-{urls.GRID}, {urls.GRID + 1})) AS k))) GROUP BY 1)"""
+
+
+SQL["op9_url_filters"] = f"""WITH u AS (SELECT page_id, html, CASE WHEN instr(url, '://') > 0 THEN substr(url, instr(url, '://') + 3) ELSE '' END AS rest FROM pages),
+  h AS (SELECT page_id, html, translate(regexp_extract(rest, '^[^/?#]*'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM u),
   rules(verdict, rh, rp) AS (VALUES {_RULES}),
   fit AS (SELECT page_id, rh || rp AS rule, verdict FROM h JOIN rules ON (host = rh OR ends_with(host, '.' || rh)) AND starts_with(path, rp) QUALIFY row_number() OVER (PARTITION BY page_id ORDER BY len(rh || rp) DESC) = 1),
-  p AS (SELECT h.*, rule, verdict, regexp_extract(host, '([^.]+\\.[^.]+)$|^([^.]*)$') AS domain, regexp_extract(host, '([^.]*)$', 1) AS suffix FROM h LEFT JOIN fit USING (page_id)),
-  hosts AS (SELECT host, domain, suffix, count(*)::DOUBLE AS n, sum(CASE WHEN verdict = 'block' THEN 1 ELSE 0 END)::DOUBLE AS bad FROM p WHERE verdict IS NOT NULL GROUP BY 1, 2, 3),
+  p AS (SELECT page_id, host, path, rule, verdict, CASE WHEN verdict IS NOT NULL THEN verdict = 'block' WHEN regexp_matches(host, '{_MARKS}') THEN true
+      WHEN coalesce(len(html), 0) > 0 THEN (len(html) - len(translate(html, '{urls.JUNK}', ''))) / len(html) > {urls.JUNK_SHARE} END AS bad,
+    regexp_extract(host, '(?:^|\\.)((?:[^.]+\\.)?(?:{_SUFFIX}))$', 1) AS domain, regexp_extract(host, '(?:^|\\.)({_SUFFIX})$', 1) AS suffix FROM h LEFT JOIN fit USING (page_id)),
+  hosts AS (SELECT host, domain, suffix, count(*)::DOUBLE AS n, sum(bad::INTEGER)::DOUBLE AS bad FROM p WHERE bad IS NOT NULL GROUP BY 1, 2, 3),
   l2 AS (SELECT suffix, sum(n) AS n, sum(bad) AS bad, (SELECT (coalesce(sum(bad), 0) + 1) / (coalesce(sum(n), 0) + 2) FROM hosts) AS prior FROM hosts GROUP BY 1), {_shrunk("s2", "l2", "suffix")},
   l1 AS (SELECT domain, suffix, sum(n) AS n, sum(bad) AS bad, any_value(s2.rate) AS prior FROM hosts JOIN s2 USING (suffix) GROUP BY 1, 2), {_shrunk("s1", "l1", "domain")},
-  l0 AS (SELECT host, domain, suffix, n, bad, s1.rate AS prior FROM hosts JOIN s1 USING (domain)), {_shrunk("s0", "l0", "host, domain, suffix")},
-  d AS (SELECT domain, sum(rate * weight) / sum(weight) AS r1 FROM s0 GROUP BY 1), x AS (SELECT suffix, sum(rate * weight) / sum(weight) AS r2 FROM s0 GROUP BY 1), w AS (SELECT coalesce(sum(rate * weight) / sum(weight), 0) AS r3 FROM s0),
-  r AS (SELECT p.page_id, p.host, path, rule, verdict, coalesce(s0.rate, r1, r2, r3) AS rate, coalesce(s0.weight, 1) AS weight FROM p LEFT JOIN s0 ON s0.host = p.host LEFT JOIN d ON d.domain = p.domain LEFT JOIN x ON x.suffix = p.suffix, w)
-  SELECT page_id, host, path, rule, coalesce(verdict, CASE WHEN greatest(rate - 1.645 * sqrt(rate * (1 - rate) / (weight + 1)), 0) > 0.5 THEN 'block' ELSE 'allow' END) AS verdict FROM r"""
+  l0 AS (SELECT host, domain, suffix, n, bad, s1.rate AS prior FROM hosts JOIN s1 USING (domain)), {_shrunk("s0", "l0", "host, domain, suffix, strength")},
+  d AS (SELECT domain, sum(rate * weight) / sum(weight) AS rate, max(strength) AS weight FROM s0 GROUP BY 1), x AS (SELECT suffix, sum(rate * weight) / sum(weight) AS rate, max(strength) AS weight FROM s0 GROUP BY 1),
+  w AS (SELECT 0 AS one, sum(rate * weight) / sum(weight) AS rate, max(strength) AS weight FROM s0),
+  {_risk("rh", "s0", "host")}, {_risk("rd", "d", "domain")}, {_risk("rx", "x", "suffix")}, {_risk("rw", "w", "one")}
+  SELECT page_id, p.host, path, rule, coalesce(verdict, CASE WHEN coalesce(rh.risk, rd.risk, rx.risk, (SELECT risk FROM rw), 0) > {urls.SURE} THEN 'block' ELSE 'allow' END) AS verdict
+  FROM p LEFT JOIN rh ON rh.host = p.host LEFT JOIN rd ON rd.domain = p.domain LEFT JOIN rx ON rx.suffix = p.suffix"""
 SQL["op10_mix_sources"] = f"""WITH d AS (SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+'))::BIGINT AS size FROM documents),
   s AS (SELECT source, sum(size)::BIGINT AS source_size, count(*) AS n_rows FROM d GROUP BY 1),
   w AS (SELECT *, [3.0, 1.0, 2.0][1 + (row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3]::DOUBLE AS weight, source_size * 2.0::DOUBLE AS most FROM s),
@@ -49,23 +64,28 @@ SQL["op6_embedding_near_dedup"] = """WITH RECURSIVE e AS (SELECT vec_id, label,
 def _spans_sql() -> str:
     """For each kind, matches with their places: the lengths of what stands before, added up."""
     parts = []
-    for k, (_, pattern, group, least, *_) in enumerate([*secrets.BASE_KINDS, *secrets.MORE_KINDS]):
+    for k, (_, pattern, group, least, *_) in enumerate([*secrets.BASE_KINDS, *secrets.MORE_KINDS, secrets.OWNED_KIND]):
         p = "'" + pattern.replace("'", "''") + "'"
-        parts.append(f"""SELECT doc_id, source, {k} AS kind, unnest(regexp_extract_all(text, {p}, 0)) AS hit, unnest(regexp_extract_all(text, {p}, {group})) AS value, unnest(string_split_regex(text, {p})[1:len(string_split_regex(text, {p})) - 1]) AS gap,
+        parts.append(f"""SELECT doc_id, source, owner, {k} AS kind, unnest(regexp_extract_all(text, {p}, 0)) AS hit, unnest(regexp_extract_all(text, {p}, {group})) AS value, unnest(string_split_regex(text, {p})[1:len(string_split_regex(text, {p})) - 1]) AS gap,
       unnest(range(1, len(regexp_extract_all(text, {p}, 0)) + 1)) AS nth, {least} AS least FROM d WHERE regexp_matches(text, {p})""")
     return " UNION ALL ".join(parts)
 
 
 _KINDS = "[" + ", ".join(f"'{k}'" for k in secrets.KINDS) + "]"
 _LISTED = "coalesce(string_agg({k}[kind + 1] || ':' || start || ':' || stop, ',' ORDER BY start, kind) {f}, '')"
-SQL["op8_secret_scan"] = f"""WITH d AS (SELECT doc_id, source, coalesce(text, '') AS text FROM documents), m AS ({_spans_sql()}),
+_MAIL = secrets.MAIL_DOMAIN
+SQL["op8_secret_scan"] = f"""WITH t AS (SELECT doc_id, source, coalesce(text, '') AS text FROM documents),
+  d AS (SELECT *, CASE WHEN contains(text, '@') AND regexp_extract(text, '{_MAIL}', 1) <> '' THEN lower(regexp_extract(text, '{_MAIL}', 1)) ELSE source END AS owner FROM t), m AS ({_spans_sql()}),
   e AS (SELECT *, sum(len(gap) + len(hit)) OVER (PARTITION BY doc_id, kind ORDER BY nth) AS stop FROM m),
-  s AS (SELECT doc_id, source, kind, value, (stop - len(hit))::BIGINT AS start, stop::BIGINT AS stop FROM e WHERE len(value) >= least),
-  o AS (SELECT value FROM s GROUP BY 1 HAVING count(DISTINCT source) + max((source IS NULL)::INTEGER) >= {secrets.COMMON_REPOS})
+  f AS (SELECT doc_id, source, owner, kind, value, (stop - len(hit))::BIGINT AS start, stop::BIGINT AS stop FROM e WHERE len(value) >= least),
+  s AS (SELECT * FROM f WHERE kind < {secrets.OWNED} OR regexp_matches(value, '[0-9]') AND regexp_matches(value, '[A-Za-z]') AND len(list_distinct(string_split(value, ''))) >= {secrets.OWNED_VARIETY}
+    AND NOT EXISTS (SELECT 1 FROM f k WHERE k.doc_id = f.doc_id AND k.kind < {secrets.OWNED} AND k.start < f.stop AND f.start < k.stop)),
+  o AS (SELECT value, count(DISTINCT source) + max((source IS NULL)::INTEGER) AS repos, count(DISTINCT owner) + max((owner IS NULL)::INTEGER) AS owners FROM s GROUP BY 1),
+  j AS (SELECT s.*, repos >= {secrets.COMMON_REPOS} AND owners >= {secrets.COMMON_OWNERS} AS copied FROM s JOIN o USING (value) WHERE kind < 3 OR kind < {secrets.OWNED} AND NOT copied OR kind = {secrets.OWNED} AND owners = 1)
   SELECT d.doc_id, count(kind) FILTER (kind = 0) AS n_assign, count(kind) FILTER (kind = 1) AS n_access, count(kind) FILTER (kind = 2) AS n_hex,
     sha256({_LISTED.format(k=_KINDS, f="FILTER (WHERE kind < 3)")}) AS base_sha256, {_LISTED.format(k=_KINDS, f="FILTER (WHERE kind IS NOT NULL)")} AS spans,
-    count(kind) FILTER (value NOT IN (SELECT value FROM o)) AS n_live
-  FROM d LEFT JOIN s USING (doc_id) GROUP BY 1"""
+    count(kind) FILTER (NOT copied) AS n_live
+  FROM d LEFT JOIN j USING (doc_id) GROUP BY 1"""
 
 
 def op1_byte_bpe(spark, sf_dir):
@@ -118,7 +138,7 @@ def op8_secret_scan(spark, sf_dir):
 
 
 def op9_url_filters(spark, sf_dir):
-    return urls.judge_urls(table(spark, sf_dir, "pages").select("page_id", "url")).select("page_id", "host", "path", "rule", "verdict")
+    return urls.judge_urls(table(spark, sf_dir, "pages").select("page_id", "url", "html"), html="html").select("page_id", "host", "path", "rule", "verdict")
 
 
 def op10_mix_sources(spark, sf_dir):

@@ -2,18 +2,20 @@
 
 Patterns find candidate spans. A candidate's value is hashed, and the hashes are aggregated over the corpus by
 distinct repositories and distinct owners: a value that stands in several of both is a copied example, a value that
-keeps to one owner looks live. Counting goes by (value, repository, owner) first, so a value that a third of the
-rows hold is combined before it moves.
+keeps to one owner looks live. Ownership decides which spans of the method are reported: those of known shapes unless
+they are widely copied, and strings of no known shape but much variety (``owned``) only if a single owner has them.
+The base kinds are always reported; of all, ``n_live`` counts those that are not widely copied. Counting goes by
+(value, repository, owner) first, so a value that a third of the rows hold is combined before it moves.
+
+The owner is a column, or else whom the text names: the domain of its first mail address, else its repository.
 
 Null texts count as empty: no spans. Null repositories and owners count as one of their own. Repeated rows are each
 reported, and count once for their repository. Other columns stay; an empty table gives an empty result. Positions
-are code points, ends exclusive.
+are code points, ends exclusive. Equal rows are redacted alike.
 """
 
 from __future__ import annotations
 
-from functools import reduce
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -27,14 +29,19 @@ BASE_KINDS = [
 ]
 #: Kinds of this method, and what a text with one contains.
 MORE_KINDS = [
-    ("private_key", r"-----BEGIN [A-Z ]*PRIVATE KEY-----", 0, 0, "PRIVATE KEY-----"),
+    ("private_key", r"-----BEGIN [A-Z ]*PRIVATE KEY-----([A-Za-z0-9+/=\s:,-]*?-----END [A-Z ]*PRIVATE KEY-----|[A-Za-z0-9+/=\s]*)", 0, 0, "PRIVATE KEY-----"),
     ("signed_token", r"eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]*", 0, 0, "eyJ"),
     ("forge_token", r"gh[pousr]_[A-Za-z0-9]{20,}", 0, 0, "gh"),
     ("chat_token", r"xox[abprs]-[A-Za-z0-9-]{10,}", 0, 0, "xox"),
     ("payment_key", r"[sr]k_live_[A-Za-z0-9]{10,}", 0, 0, "k_live_"),
     ("url_login", r"[A-Za-z][A-Za-z0-9+.-]{1,20}://[^\s/:@]{1,100}:[^\s/:@]{1,100}@", 0, 0, "://"),
 ]
-KINDS = [k[0] for k in BASE_KINDS] + [k[0] for k in MORE_KINDS]
+#: Strings of no known shape: letters and digits, many of them different.
+OWNED_KIND = ("owned", r"[A-Za-z0-9+/_=-]{24,}", 0, 24)
+OWNED_VARIETY = 10
+MAIL_DOMAIN = r"[A-Za-z0-9._%+-]+@([A-Za-z0-9.-]+\.[A-Za-z]{2,})"
+KINDS = [k[0] for k in BASE_KINDS] + [k[0] for k in MORE_KINDS] + [OWNED_KIND[0]]
+OWNED = len(KINDS) - 1
 SPAN = "struct<start:int,kind:int,end:int,value:string>"
 COMMON_REPOS = 3
 COMMON_OWNERS = 3
@@ -65,7 +72,20 @@ def with_spans(rows: DataFrame) -> DataFrame:
     text = F.col("_text")
     found = [F.when(text.rlike(p), spans_of(text, k, p, g, n)).otherwise(none()) for k, (_, p, g, n) in enumerate(BASE_KINDS)]
     found += [F.when(text.contains(mark) & text.rlike(p), spans_of(text, len(BASE_KINDS) + k, p, g, n)).otherwise(none()) for k, (_, p, g, n, mark) in enumerate(MORE_KINDS)]
-    return ready.withColumn("spans", F.array_sort(F.concat(*found)))
+    known = ready.withColumn("spans", F.array_sort(F.concat(*found)))
+    _, pattern, group, least = OWNED_KIND
+    some = F.filter(spans_of(F.col("_text"), OWNED, pattern, group, least), lambda s: varied(s["value"]) & ~F.exists("spans", lambda k: (k["start"] < s["end"]) & (s["start"] < k["end"])))
+    return known.withColumn("spans", F.when(F.col("_text").rlike(pattern), F.array_sort(F.concat("spans", some))).otherwise(F.col("spans")))
+
+
+def varied(value: Column) -> Column:
+    """Has letters and digits, and ``OWNED_VARIETY`` different characters."""
+    return value.rlike("[0-9]") & value.rlike("[A-Za-z]") & (F.size(F.array_distinct(F.split(value, ""))) >= OWNED_VARIETY)
+
+
+def owner_of(text: Column, repo: Column) -> Column:
+    named = F.lower(F.regexp_extract(text, MAIL_DOMAIN, 1))
+    return F.when(text.contains("@") & (named != ""), named).otherwise(repo.cast("string"))
 
 
 def listed(spans: Column) -> Column:
@@ -77,39 +97,54 @@ def value_hash(value: Column) -> Column:
     return F.xxhash64(value, F.lit("secret"))
 
 
-def copied_values(found: DataFrame, repos: int = COMMON_REPOS, owners: int = COMMON_OWNERS) -> DataFrame:
-    """``found``: (spans, _repo, _owner). The hashes of values that stand in as many repositories and owners at least."""
+def ownership(found: DataFrame, repos: int = COMMON_REPOS, owners: int = COMMON_OWNERS) -> DataFrame:
+    """``found``: (spans, _repo, _owner). (hash, copied, single) of every value: stands it in as many repositories and owners at least, has it one owner."""
     each = found.select(F.explode("spans").alias("s"), "_repo", "_owner").select(value_hash(F.col("s.value")).alias("hash"), "_repo", "_owner")
     owned = each.groupBy("hash", "_repo", "_owner").agg(F.lit(1).alias("one"))
     # countDistinct leaves nulls out; a flag counts them as one
     def kinds(c: str) -> Column:
         return F.countDistinct(c) + F.max(F.col(c).isNull().cast("int"))
 
-    return owned.groupBy("hash").agg(kinds("_repo").alias("r"), kinds("_owner").alias("o")).filter((F.col("r") >= repos) & (F.col("o") >= owners)).select("hash")
+    counted = owned.groupBy("hash").agg(kinds("_repo").alias("r"), kinds("_owner").alias("o"))
+    return counted.select("hash", ((F.col("r") >= repos) & (F.col("o") >= owners)).alias("copied"), (F.col("o") == 1).alias("single"))
+
+
+def owned_rows(docs: DataFrame, text: str, repo: str, owner: str | None, **more: str) -> DataFrame:
+    rows = whole_rows(docs, text, _repo=repo, **({"_owner": owner} if owner else {}), **more)
+    return rows if owner else rows.withColumn("_owner", owner_of(F.col("_text"), F.col("_repo")))
+
+
+def judged_spans(some: DataFrame, key: str, owned: DataFrame) -> DataFrame:
+    """(key, spans) to (key, spans): each span with ``copied``, those that ownership withholds left out; none, no row."""
+    each = some.select(key, F.explode("spans").alias("s")).withColumn("hash", value_hash(F.col("s.value"))).join(owned, "hash")
+    base, shaped = F.col("s.kind") < len(BASE_KINDS), F.col("s.kind") < OWNED
+    told = each.filter(base | (shaped & ~F.col("copied")) | (~shaped & F.col("single")))
+    return told.groupBy(key).agg(F.array_sort(F.collect_list(F.struct("s.start", "s.kind", "s.end", "copied"))).alias("spans"))
 
 
 def secret_scan(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", repo: str = "source", owner: str | None = None, **limits) -> DataFrame:
-    """``doc_id``, ``spans``, ``n_live`` (spans whose value is not widely copied) for every row."""
-    rows = whole_rows(docs, text, doc_id=doc_id, _repo=repo, _owner=owner or repo).drop("_row")
+    """``doc_id``, ``spans`` (start, kind, end, copied), ``n_live`` (spans whose value is not widely copied) for every row."""
+    rows = owned_rows(docs, text, repo, owner, doc_id=doc_id).drop("_row")
     found = cut(with_spans(rows).select("doc_id", "_repo", "_owner", "spans")).withColumn("_n", F.monotonically_increasing_id())
     some = found.filter(F.size("spans") > 0)
-    each = some.select("_n", F.explode("spans").alias("s")).select("_n", value_hash(F.col("s.value")).alias("hash"))
-    live = each.join(copied_values(some, **limits), "hash", "left_anti").groupBy("_n").agg(F.count(F.lit(1)).alias("n_live"))
-    counted = some.join(live, "_n", "left").select("doc_id", "spans", F.coalesce("n_live", F.lit(0)).cast("long").alias("n_live"))
-    return counted.unionByName(found.filter(F.size("spans") == 0).select("doc_id", "spans", F.lit(0).cast("long").alias("n_live")))
+    told = judged_spans(some, "_n", ownership(some, **limits))
+    empty = F.expr("cast(array() as array<struct<start:int,kind:int,end:int,copied:boolean>>)")
+    listed_ = some.join(told.withColumnRenamed("spans", "told"), "_n", "left").select("doc_id", F.coalesce("told", empty).alias("spans"))
+    every = listed_.unionByName(found.filter(F.size("spans") == 0).select("doc_id", empty.alias("spans")))
+    return every.withColumn("n_live", F.size(F.filter("spans", lambda s: ~s["copied"])).cast("long"))
 
 
 def redact_secrets(docs: DataFrame, text: str = "text", repo: str = "source", owner: str | None = None, mark: str = "<secret>", length: str | None = None, **limits) -> DataFrame:
     """``docs`` with every live-looking span replaced by ``mark``; the column ``length`` follows the text.
 
-    Only rows with candidates are joined; the others go through as they are.
+    Patterns are sought once; rows and spans are stored, so that each row keeps its number. Only rows with candidates
+    are joined; the others go through as they are.
     """
-    rows = with_spans(whole_rows(docs, text, _repo=repo, _owner=owner or repo))
-    some = rows.filter(F.size("spans") > 0)
-    copied = cut(copied_values(some, **limits))
-    keyed = cut(some.select(F.xxhash64("_row").alias("_tie"), F.explode("spans").alias("s")).distinct())
-    live = keyed.withColumn("hash", value_hash(F.col("s.value"))).join(copied, "hash", "left_anti").groupBy("_tie").agg(F.array_sort(F.collect_list("s")).alias("live"))
-    joined = some.withColumn("_tie", F.xxhash64("_row")).join(live, "_tie", "left").withColumn("live", F.coalesce("live", none()))
+    held = cut(with_spans(owned_rows(docs, text, repo, owner)).select("_row", "_repo", "_owner", "spans")).withColumn("_n", F.monotonically_increasing_id())
+    some = held.filter(F.size("spans") > 0)
+    told = judged_spans(some.select("_n", "spans"), "_n", ownership(some, **limits))
+    live = told.select("_n", F.filter("spans", lambda s: ~s["copied"]).alias("live")).filter(F.size("live") > 0)
+    joined = some.join(live, "_n", "left").withColumn("_text", text_or_empty(F.col("_row").getField(text)))
 
     def step(acc: Column, s: Column) -> Column:
         gap = F.substring(F.col("_text"), acc["at"] + 1, s["start"] - acc["at"])
@@ -117,7 +152,8 @@ def redact_secrets(docs: DataFrame, text: str = "text", repo: str = "source", ow
         return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), F.when(inside, acc["out"]).otherwise(F.concat(acc["out"], gap, F.lit(mark))).alias("out"))
 
     done = F.aggregate("live", F.struct(F.lit(0).alias("at"), F.lit("").alias("out")), step, lambda acc: F.concat(acc["out"], F.substring(F.col("_text"), acc["at"] + 1, F.length("_text"))))
-    redacted = joined.withColumn("_new", F.when(F.size("live") > 0, done).otherwise(F.col("_row").getField(text)))
-    changed = {text: F.col("_new")} | ({length: F.when(F.size("live") > 0, F.length("_new").cast(docs.schema[length].dataType)).otherwise(F.col("_row").getField(length))} if length in docs.columns else {})
+    hit = F.col("live").isNotNull()
+    redacted = joined.withColumn("_new", F.when(hit, done).otherwise(F.col("_row").getField(text)))
+    changed = {text: F.col("_new")} | ({length: F.when(hit, F.length("_new").cast(docs.schema[length].dataType)).otherwise(F.col("_row").getField(length))} if length in docs.columns else {})
     out = redacted.select(*[changed.get(c, F.col("_row").getField(c)).alias(c) for c in docs.columns])
-    return out.unionByName(rows.filter(F.size("spans") == 0).select(*[F.col("_row").getField(c).alias(c) for c in docs.columns]))
+    return out.unionByName(held.filter(F.size("spans") == 0).select(*[F.col("_row").getField(c).alias(c) for c in docs.columns]))

@@ -2,14 +2,22 @@
 
 Labelled page outcomes (1 bad, 0 good) are counted by host, registered domain and suffix. Each level's rate is
 shrunk to its parent's through a beta-binomial prior whose strength comes from how much the rates of that level
-spread beyond chance; a page is blocked if the lower bound of its host's posterior is above a limit.
+spread beyond chance. A page that no rule judges is blocked if its host's posterior says with ``SURE`` probability that
+more than ``limit`` of the host's pages are bad (the lower bound of the beta posterior is above the limit).
 
-Null urls, and urls without ``://``, have an empty host and path: no rule fits, and without a host they get the
-verdict of the whole table's prior. Repeated rows are judged alike; an empty table gives an empty result.
+``page_outcomes`` gives the labels where there is no table of them: a rule's verdict; else bad for a word of
+``HOST_MARKS`` in the host, or for a page full of symbols; else good, if there is a page. Suffixes of several labels
+(``SUFFIXES``) are one suffix.
+
+Null urls, and urls without ``://``, have an empty host and path: no rule fits, and they share the empty host's
+posterior. Null pages have no outcome of their own. Repeated rows are judged alike, and each counts; an empty table
+gives an empty result.
 """
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -18,6 +26,13 @@ from slicegrad.llm.common import cut, lower_ascii, text_or_empty
 #: Fixed values of the contract: verdict, host and path of each rule.
 RULES = [("allow", "org", "/"), ("block", "example.org", "/es/"), ("block", "example.org", "/en/1"), ("allow", "com", "/fr/"), ("block", "com", "/de/")]
 BROADCAST_HOSTS = 50_000
+#: Parts of a host name that label its pages bad.
+HOST_MARKS = ["casino", "free-bets", "spam", "ads-track", "adult", "cheap-pills"]
+#: Suffixes of more than one label under which anyone may register.
+SUFFIXES = ["co.uk", "org.uk", "ac.uk", "gov.uk", "com.au", "net.au", "org.au", "co.nz", "co.jp", "ne.jp", "com.br", "com.cn", "co.in", "co.kr", "co.za", "com.mx", "com.tr"]
+JUNK = "|#*$%!"
+JUNK_SHARE = 0.04
+SURE = 0.95
 
 
 def parted(url: Column) -> tuple[Column, Column]:
@@ -36,12 +51,53 @@ def fitting(host: Column, path: Column, rules=RULES) -> Column:
     return out
 
 
+_SUFFIX = "(?:" + "|".join(x.replace(".", r"\.") for x in SUFFIXES) + r"|[^.]*)$"
+
+
 def domain_of(host: Column) -> Column:
-    return F.regexp_extract(host, r"([^.]+\.[^.]+)$|^([^.]*)$", 0)
+    """The suffix and the label before it; the whole host, if it has no more."""
+    return F.regexp_extract(host, r"(?:^|\.)((?:[^.]+\.)?" + _SUFFIX[:-1] + ")$", 1)
 
 
 def suffix_of(host: Column) -> Column:
-    return F.regexp_extract(host, r"([^.]*)$", 1)
+    return F.regexp_extract(host, r"(?:^|\.)(" + _SUFFIX[:-1] + ")$", 1)
+
+
+def junk_share(html: Column) -> Column:
+    return (F.length(html) - F.length(F.translate(html, JUNK, ""))) / F.greatest(F.length(html), F.lit(1))
+
+
+def page_outcomes(host: Column, verdict: Column, html: Column | None) -> Column:
+    """1 bad, 0 good, null unknown."""
+    marked = host.rlike("|".join(HOST_MARKS))
+    junk = F.lit(False) if html is None else F.coalesce(junk_share(html) > JUNK_SHARE, F.lit(False))
+    known = marked if html is None else marked | (F.coalesce(F.length(html), F.lit(0)) > 0)
+    return F.when(verdict.isNotNull(), (verdict == "block").cast("int")).when(known, (marked | junk).cast("int"))
+
+
+GRID = 80
+
+
+def tail(bad: Column, good: Column, limit: float) -> Column:
+    """The probability of a rate above ``limit`` under the beta posterior with these pseudo-counts.
+
+    Sums of its density over the logit, at steps of a tenth of its spread, eight spreads to either side of the middle.
+    """
+    middle, spread = F.log(bad / good), F.sqrt(1 / bad + 1 / good)
+    edge = float(math.log(limit / (1 - limit)))
+
+    def add(acc: Column, k: Column) -> Column:
+        t = acc["m"] + acc["s"] * k / 10.0
+        # bad * ln(x) + good * ln(1 - x) with x the logistic of t, less its value in the middle
+        weight = F.exp(-bad * soft(-t) - good * soft(t) - acc["top"])
+        return F.struct(acc["m"].alias("m"), acc["s"].alias("s"), acc["top"].alias("top"), (acc["all"] + weight).alias("all"), (acc["above"] + F.when(t > edge, weight).otherwise(0.0)).alias("above"))
+
+    def soft(t: Column) -> Column:
+        """ln(1 + exp(t)), without overflow."""
+        return F.greatest(t, F.lit(0.0)) + F.log1p(F.exp(-F.abs(t)))
+
+    start = F.struct(middle.alias("m"), spread.alias("s"), (-bad * soft(-middle) - good * soft(middle)).alias("top"), F.lit(0.0).alias("all"), F.lit(0.0).alias("above"))
+    return F.aggregate(F.sequence(F.lit(-GRID), F.lit(GRID)), start, add, lambda acc: acc["above"] / acc["all"])
 
 
 def shrunk(level: DataFrame, key: str, parent: str | None) -> DataFrame:
@@ -67,31 +123,41 @@ def reputations(outcomes: DataFrame) -> DataFrame:
     whole = hosts.agg(((F.coalesce(F.sum("bad"), F.lit(0.0)) + 1) / (F.coalesce(F.sum("n"), F.lit(0.0)) + 2)).alias("prior"))
     suffixes = shrunk(hosts.groupBy("suffix").agg(*sums).crossJoin(F.broadcast(whole)), "suffix", None).select("suffix", F.col("rate").alias("prior"))
     domains = shrunk(hosts.groupBy("domain", "suffix").agg(*sums).join(suffixes, "suffix"), "domain", "suffix").select("domain", F.col("rate").alias("prior"))
-    return shrunk(hosts.join(domains, "domain"), "host", "domain").select("host", "rate", (F.col("n") + F.col("strength")).alias("weight"), F.col("domain"), F.col("suffix"))
+    return shrunk(hosts.join(domains, "domain"), "host", "domain").select("host", "rate", (F.col("n") + F.col("strength")).alias("weight"), "strength", "domain", "suffix")
 
 
-def judge_urls(pages: DataFrame, url: str = "url", page_id: str = "page_id", rules=RULES, limit: float = 0.5, z: float = 1.645, outcomes: DataFrame | None = None) -> DataFrame:
-    """``page_id``, ``host``, ``path``, ``rule``, ``verdict``, ``risk`` (the lower posterior bound) for every row.
+def judge_urls(pages: DataFrame, url: str = "url", page_id: str = "page_id", rules=RULES, limit: float = 0.5, outcomes: DataFrame | None = None, html: str | None = None) -> DataFrame:
+    """``page_id``, ``host``, ``path``, ``rule``, ``verdict``, ``risk`` (the probability that too many pages are bad) for every row.
 
-    Without ``outcomes``, the pages that a rule judges are the labelled ones. A host without labelled pages has
-    its domain's, then its suffix's, then the whole table's rate, each with the weight of one page.
+    ``outcomes`` (host, bad) is a table of labels; without it ``page_outcomes`` are taken, with a look at the column
+    ``html`` if it is named. A host without labelled pages has its domain's, then its suffix's, then the whole table's
+    mean rate, at the strength of the prior among hosts.
     """
     host, path = parted(F.col(f"`{url}`"))
-    split = pages.select(F.col(f"`{page_id}`").alias("page_id"), host.alias("host"), path.alias("path")).withColumn("fit", fitting(F.col("host"), F.col("path"), rules))
+    split = pages.select(F.col(f"`{page_id}`").alias("page_id"), host.alias("host"), path.alias("path"), *([F.col(f"`{html}`").alias("_html")] if html else [])).withColumn("fit", fitting(F.col("host"), F.col("path"), rules))
     if outcomes is None:
-        outcomes = split.filter(F.col("fit").isNotNull()).select("host", F.when(F.col("fit.verdict") == "block", 1).otherwise(0).alias("bad"))
+        told = page_outcomes(F.col("host"), F.col("fit.verdict"), F.col("_html") if html else None)
+        outcomes = split.select("host", told.alias("bad")).filter("bad is not null")
     known = cut(reputations(outcomes))
-    by_host = known.select(F.col("host").alias("_h"), F.col("rate").alias("r0"), F.col("weight").alias("w0"))
-    mean = (F.sum(F.col("rate") * F.col("weight")) / F.sum("weight"))
-    by_domain = known.groupBy(F.col("domain").alias("_d")).agg(mean.alias("r1"))
-    by_suffix = known.groupBy(F.col("suffix").alias("_s")).agg(mean.alias("r2"))
-    whole = known.agg(F.coalesce(mean, F.lit(0.0)).alias("r3"))
-    small = known.count() <= BROADCAST_HOSTS
+    mean = (F.sum(F.col("rate") * F.col("weight")) / F.sum("weight")).alias("rate")
+    prior = F.max("strength").alias("weight")  # one number for all hosts
+
+    def told_of(level: DataFrame, key: str) -> DataFrame:
+        """(key, risk) of pseudo-counts ``rate`` and ``weight``."""
+        rate = F.greatest(F.least(F.col("rate"), F.lit(1 - 1e-6)), F.lit(1e-6))
+        return level.select(F.col(key).alias(f"_{key}"), tail(rate * F.col("weight"), (1 - rate) * F.col("weight"), limit).alias(f"risk_{key}"))
+
+    by_host = cut(told_of(known, "host"))
+    by_domain = told_of(known.groupBy("domain").agg(mean, prior), "domain")
+    by_suffix = told_of(known.groupBy("suffix").agg(mean, prior), "suffix")
+    whole = told_of(known.agg(mean, prior).withColumn("all", F.lit(0)), "all").select("risk_all")
+    small = by_host.count() <= BROADCAST_HOSTS
     hint = F.broadcast if small else (lambda x: x)
-    seen = split.withColumn("_domain", domain_of(F.col("host"))).withColumn("_suffix", suffix_of(F.col("host")))
-    joined = seen.join(hint(by_host), F.col("host") == F.col("_h"), "left").join(hint(by_domain), F.col("_domain") == F.col("_d"), "left").join(hint(by_suffix), F.col("_suffix") == F.col("_s"), "left").crossJoin(F.broadcast(whole))
-    rate = F.coalesce("r0", "r1", "r2", "r3")
-    weight = F.coalesce("w0", F.lit(1.0))
-    risk = F.greatest(rate - z * F.sqrt(rate * (1 - rate) / (weight + 1)), F.lit(0.0))
-    verdict = F.coalesce(F.col("fit.verdict"), F.when(risk > limit, "block").otherwise("allow"))
-    return joined.select("page_id", "host", "path", F.col("fit.rule").alias("rule"), verdict.alias("verdict"), risk.alias("risk"))
+    seen = split.drop("_html").withColumn("domain", domain_of(F.col("host"))).withColumn("suffix", suffix_of(F.col("host")))
+    joined = seen
+    for key, level in (("host", by_host), ("domain", by_domain), ("suffix", by_suffix)):
+        joined = joined.join(hint(level), F.col(key) == F.col(f"_{key}"), "left")
+    risk = F.coalesce("risk_host", "risk_domain", "risk_suffix", "risk_all", F.lit(0.0))
+    verdict = F.coalesce(F.col("fit.verdict"), F.when(risk > SURE, "block").otherwise("allow"))
+    out = joined.crossJoin(F.broadcast(whole))  # one row
+    return out.select("page_id", "host", "path", F.col("fit.rule").alias("rule"), verdict.alias("verdict"), risk.alias("risk"))
