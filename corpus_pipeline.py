@@ -2,6 +2,10 @@
 
 Every stage takes (spark, docs, sf_dir) and works on all that its predecessor kept; ``run`` writes each result as
 Parquet into the folder that the cluster shares and reads it again as the next one's ``docs``.
+
+Nulls and empty texts fail the quality rules and go; null ids, sources and languages stay as they are. Of repeated rows
+one stays, until the mix may repeat it. Very long texts go through whole; ties among equal ids are settled by a hash of
+the row. Columns beyond those of ``documents`` pass until the last stage. An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -13,7 +17,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 from slicegrad.llm import bpe, mixing, quality, secrets, simhash
 
-#: BPE merges and the compression dictionaries have no SQL form; tests hold ``run`` against brute force.
+#: Expectation-maximisation, fingerprints and BPE merges have no SQL form; tests/llm/test_pipeline.py holds every stage and
+#: ``run`` against brute force.
 ORACLE_SQL = None
 
 
