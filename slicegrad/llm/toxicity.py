@@ -27,7 +27,7 @@ import hashlib
 import heapq
 import re
 import zlib
-from collections import Counter, defaultdict
+from collections import Counter
 from itertools import combinations
 
 import numpy as np
@@ -151,37 +151,37 @@ class Alphabet:
         return np.where(whole, (c[:, i] * self.size + c[:, j]) * self.size + c[:, k], 0), decay
 
 
-def products(words: list[str], landmarks: list[str]) -> np.ndarray:
-    """The kernel, divided, of every word with every landmark."""
+def products(words: list[str], landmarks: list[str], block: int = 100) -> np.ndarray:
+    """The kernel, divided, of every word with every landmark; a block of landmarks at a time, which bounds the memory."""
+    parts = [_products(words, landmarks[k : k + block]) for k in range(0, len(landmarks), block)]
+    left, right = own_kernels(words), own_kernels(landmarks)
+    return np.concatenate(parts, axis=1) / np.maximum(left, 1e-300)[:, None] / np.maximum(right, 1e-300)
+
+
+def _products(words: list[str], landmarks: list[str]) -> np.ndarray:
     alphabet = Alphabet("".join(landmarks))
     places: dict[int, int] = {}
-    sums: list[dict[int, float]] = []
-    for z in landmarks:
-        own: dict[int, float] = defaultdict(float)
+    found = []
+    for k, z in enumerate(landmarks):
         if len(z) >= ORDER:
             number, decay = alphabet.subsequences([z], len(z))
-            for s, d in zip(number[0].tolist(), decay.tolist()):
-                own[s] += d
-                places.setdefault(s, len(places))
-        sums.append(own)
+            found.append((k, [places.setdefault(s, len(places)) for s in number[0].tolist()], decay))
     marks = np.zeros((len(landmarks), len(places) + 1))
-    for k, own in enumerate(sums):
-        for s, v in own.items():
-            marks[k, places[s]] = v
+    for k, own, decay in found:
+        np.add.at(marks[k], own, decay)
     column = np.full(alphabet.size**ORDER, len(places), dtype=np.int64)  # the last column takes what no landmark has
     column[list(places)] = list(places.values())
     column[0] = len(places)
     marks[:, -1] = 0
     out = np.zeros((len(words), len(landmarks)))
     for n, own in by_length(words).items():
-        for lo in range(0, len(own) if n >= ORDER else 0, 256):
-            part = own[lo : lo + 256]
+        for lo in range(0, len(own) if n >= ORDER else 0, 128):
+            part = own[lo : lo + 128]
             number, decay = alphabet.subsequences([words[k] for k in part], n)
             held = np.zeros((len(part), len(places) + 1))
             np.add.at(held, (np.arange(len(part))[:, None], column[number]), decay[None, :])
             out[part] = held @ marks.T
-    left, right = own_kernels(words), own_kernels(landmarks)
-    return out / np.maximum(left, 1e-300)[:, None] / np.maximum(right, 1e-300)
+    return out
 
 
 def subsequence_weights(landmarks: list[str], alpha: np.ndarray) -> tuple[str, np.ndarray]:
