@@ -28,7 +28,7 @@ class Net:
         for layer, (name, shape) in enumerate(self.shapes.items()):
             rng = np.random.Generator(np.random.Philox(key=[seed, layer]))
             fan = int(np.prod(shape[:-1])) or 1
-            out.append(np.zeros(shape).ravel() if name.endswith("_b") else rng.uniform(-1, 1, shape).ravel() * np.sqrt((1.0 if name.startswith("emb") else 3.0) / (1 if name.startswith("emb") else fan)))
+            out.append(np.zeros(shape).ravel() if name.endswith(("_b", "_g")) else rng.uniform(-1, 1, shape).ravel() * np.sqrt((1.0 if name.startswith("emb") else 3.0) / (1 if name.startswith("emb") else fan)))
         return np.concatenate(out)
 
     def params(self, theta: np.ndarray) -> dict:
@@ -114,37 +114,59 @@ class TextConv(Net):
         return t.log_softmax(t.max_over(h.reshape(len(x), self.length, -1), 1) @ p["w"] + p["w_b"])
 
 
+def batch_norm(v, gamma, beta):
+    """Channels brought to mean beta and spread gamma, by the statistics of the task's own batch."""
+    axes = tuple(range(len(v.shape) - 1))
+    centred = v - v.mean(axes, keepdims=True)
+    return centred / t.sqrt((centred * centred).mean(axes, keepdims=True) + 1e-5) * gamma + beta
+
+
+def each_step(layer, v):
+    """A layer applied to every step of a sequence: (b, steps, ...) by way of (b steps, ...)."""
+    out = layer(v.reshape(v.shape[0] * v.shape[1], *v.shape[2:]))
+    return out.reshape(v.shape[0], v.shape[1], *out.shape[1:])
+
+
 class Inception(Net):
-    """Four branches side by side, joined by channel; ``factored`` uses 1 x n and n x 1 kernels, ``residual`` a bottleneck."""
+    """Four branches side by side, joined by channel; ``factored`` uses 1 x n and n x 1 kernels, ``residual`` a bottleneck.
+
+    The last two kinds normalise their batches after every convolution.
+    """
 
     def __init__(self, side, width, classes, kind="inception", dropout=0.1):
         self.side, self.width, self.kind, self.dropout = side, width, kind, dropout
         w = width
         self.shapes = {"stem": (3, 3, 1, w), "stem_b": (w,)}
         if kind == "residual":
-            self.shapes |= {"a": (1, 1, w, w // 2), "b": (3, 3, w // 2, w // 2), "c": (1, 1, w // 2, w), "gamma": (w,), "beta_b": (w,)}
+            self.shapes |= {"a": (1, 1, w, w // 2), "b": (3, 3, w // 2, w // 2), "c": (1, 1, w // 2, w)} | self._norms(a=w // 2, b=w // 2, c=w)
             out = w
         else:
             five = {"d5": (1, 5, w // 2, w // 2), "d5t": (5, 1, w // 2, w // 2)} if kind == "factored" else {"d5": (5, 5, w // 2, w // 2)}
-            self.shapes |= {"a": (1, 1, w, w // 2), "b1": (1, 1, w, w // 2), "b3": (3, 3, w // 2, w // 2), "d1": (1, 1, w, w // 2), **five, "e": (1, 1, w, w // 2)}
+            self.shapes |= (self._norms(a=w // 2, b1=w // 2, b3=w // 2, d1=w // 2, d5=w // 2, d5t=w // 2, e=w // 2) if kind == "factored" else {}) | {"a": (1, 1, w, w // 2), "b1": (1, 1, w, w // 2), "b3": (3, 3, w // 2, w // 2), "d1": (1, 1, w, w // 2), **five, "e": (1, 1, w, w // 2)}
             out = w // 2 * 4
         self.shapes |= {"head": ((side // 2) ** 2 * out, classes), "head_b": (classes,)}
 
+    @staticmethod
+    def _norms(**channels) -> dict:
+        return {f"{name}_{part}": (n,) for name, n in channels.items() for part in ("one_g", "zero_b")}
+
+    def _conv(self, p, name, v):
+        """A convolution, normalised if it has the parameters for it. Scales are kept as what they add to one."""
+        out = t.conv2d(v, p[name])
+        return batch_norm(out, p[f"{name}_one_g"] + 1.0, p[f"{name}_zero_b"]) if f"{name}_one_g" in p else out
+
     def forward(self, p, x, rng=None):
         n = len(x)
+        conv = lambda name, v: self._conv(p, name, v)
         h = t.relu(t.conv2d(t.lift(x.reshape(n, self.side, self.side, 1)), p["stem"]) + p["stem_b"])
         if self.kind == "residual":
-            f = t.conv2d(t.relu(t.conv2d(t.relu(t.conv2d(h, p["a"])), p["b"])), p["c"])
-            mean = f.mean((0, 1, 2), keepdims=True)  # statistics of the task's own batch
-            centred = f - mean
-            f = centred / t.sqrt((centred * centred).mean((0, 1, 2), keepdims=True) + 1e-5) * p["gamma"] + p["beta_b"]
-            h = t.relu(h + f)
+            h = t.relu(h + conv("c", t.relu(conv("b", t.relu(conv("a", h))))))
         else:
-            d = t.conv2d(t.relu(t.conv2d(h, p["d1"])), p["d5"])
+            d = conv("d5", t.relu(conv("d1", h)))
             if self.kind == "factored":
-                d = t.conv2d(d, p["d5t"])
-            pooled = t.conv2d(h, p["e"])
-            h = t.relu(t.concat([t.conv2d(h, p["a"]), t.conv2d(t.relu(t.conv2d(h, p["b1"])), p["b3"]), d, pooled], 3))
+                d = conv("d5t", d)
+            pooled = conv("e", t.max_same(h, 3))
+            h = t.relu(t.concat([conv("a", h), conv("b3", t.relu(conv("b1", h))), d, pooled], 3))
         h = t.max_pool(h, 2)
         h = h.reshape(n, -1)
         if rng is not None and self.dropout:
@@ -247,6 +269,70 @@ class NeuMf(Net):
         return t.sigmoid(joint @ p["w"] + p["w_b"])
 
 
+class Detector(Net):
+    """Single shot: a backbone, and at every cell of a grid one square anchor with a score and four box shifts.
+
+    Targets are (x0, y0, x1, y1) of one object. The loss is the cross entropy of matched anchors and of the hardest others
+    (three for each match), and the smooth distance of the shifts where matched.
+    """
+
+    loss = "multibox"
+
+    def __init__(self, side, grid, channels=6):
+        self.side, self.grid, self.channels = side, grid, channels
+        self.shapes = {"c1": (3, 3, 1, channels), "c1_b": (channels,), "c2": (3, 3, channels, channels), "c2_b": (channels,), "head": (3, 3, channels, 5), "head_b": (5,)}
+        self.anchors = boxes(grid, side)
+
+    def forward(self, p, x, rng=None):
+        h = t.lift(x.reshape(len(x), self.side, self.side, 1))
+        h = h * h
+        while h.shape[1] > self.grid * 2:
+            h = t.mean_pool(h, 2)
+        h = t.relu(t.conv2d(h, p["c1"]) + p["c1_b"])
+        h = t.max_pool(h, h.shape[1] // self.grid)
+        h = t.relu(t.conv2d(h, p["c2"]) + p["c2_b"])
+        return (t.conv2d(h, p["head"]) + p["head_b"]).reshape(len(x), self.grid**2, 5)
+
+    def loss_grad(self, theta, x, y, seed=(0, 0, 0)):
+        p = self.params(theta)
+        loss = multibox(self.forward(p, np.asarray(x, dtype=np.float64)), np.asarray(y, dtype=np.float64), self.anchors)
+        loss.backward()
+        return float(loss.value), np.concatenate([np.zeros(int(np.prod(s))) if k in self.frozen or p[k].grad is None else p[k].grad.ravel() for k, s in self.shapes.items()])
+
+    def outputs(self, theta, x):
+        """Of each picture the best box after suppression: x0, y0, x1, y1, score."""
+        raw = self.forward(self.params(theta), np.asarray(x, dtype=np.float64)).value
+        out = []
+        for row in raw:
+            box, score = decode(self.anchors, row[:, 1:], self.side), 1 / (1 + np.exp(-np.clip(row[:, 0], -60, 60)))
+            best = suppress(box, score)[0]
+            out.append([*box[best], score[best]])
+        return np.array(out)
+
+
+def encode(anchor: np.ndarray, box: np.ndarray, v0: float = 0.1, v1: float = 0.2) -> np.ndarray:
+    """The shifts that ``decode`` turns into ``box``."""
+    size = lambda b: np.maximum(b[..., 2:] - b[..., :2], 1e-6)
+    middle = lambda b: (b[..., 2:] + b[..., :2]) / 2
+    return np.concatenate([(middle(box) - middle(anchor)) / size(anchor) / v0, np.log(size(box) / size(anchor)) / v1], -1)
+
+
+def multibox(out, y: np.ndarray, anchors: np.ndarray, least: float = 0.5, hard: int = 3):
+    """``out``: (b, anchors, 1 + 4). The best anchor of an object is always matched."""
+    overlap = np.stack([iou(anchors, b[None])[:, 0] for b in y])
+    match = (overlap >= least) | (overlap == overlap.max(1, keepdims=True))
+    z = out.cut((Ellipsis, 0))
+    sign = np.where(match, 1.0, -1.0)
+    cross = t.softplus(z * -sign)
+    other = np.where(match, -np.inf, cross.value)
+    rank = (-other).argsort(1, kind="stable").argsort(1, kind="stable")
+    counted = match | (rank < hard * match.sum(1, keepdims=True))
+    shift = out.cut((Ellipsis, slice(1, 5))) - encode(anchors[None], y[:, None])
+    near = np.abs(shift.value) < 1
+    distance = (shift * shift * (0.5 * near) + (t.absolute(shift) - 0.5) * (1.0 * ~near)) * match[..., None].astype(float)
+    return (cross * counted.astype(float)).sum() + distance.sum()
+
+
 class BitDescriptor(Net):
     """Crop to soft bits; trained to be binary, evenly used and the same for the mirrored crop."""
 

@@ -116,6 +116,7 @@ relu = _point(lambda v: np.maximum(v, 0), lambda v, y: v > 0)
 tanh = _point(np.tanh, lambda v, y: 1 - y * y)
 sigmoid = _point(lambda v: 1 / (1 + np.exp(-np.clip(v, -60, 60))), lambda v, y: y * (1 - y))
 sqrt = _point(np.sqrt, lambda v, y: 0.5 / y)
+softplus = _point(lambda v: np.maximum(v, 0) + np.log1p(np.exp(-np.abs(v))), lambda v, y: 1 / (1 + np.exp(-np.clip(v, -60, 60))))
 absolute = _point(np.abs, lambda v, y: np.sign(v))
 
 
@@ -178,6 +179,30 @@ def max_pool(x, size):
     return Var(y, ((x, back),))
 
 
+def mean_pool(x, size):
+    b, h, w, c = x.shape
+    return x.reshape(b, h // size, size, w // size, size, c).mean((2, 4))
+
+
+def max_same(x, size):
+    """The maximum of every window, stride 1; beyond the edge counts as nothing."""
+    pad = size // 2
+    padded = np.pad(x.value, ((0, 0), (pad, pad), (pad, pad), (0, 0)), constant_values=-np.inf)
+    seen = np.lib.stride_tricks.sliding_window_view(padded, (size, size), axis=(1, 2))
+    y = seen.max((4, 5))
+    hit = seen == y[..., None, None]
+    hit = hit / hit.sum((4, 5), keepdims=True)
+
+    def back(g):
+        out = np.zeros(padded.shape)
+        for i in range(size):
+            for j in range(size):
+                out[:, i : i + x.shape[1], j : j + x.shape[2]] += hit[..., i, j] * g
+        return out[:, pad : pad + x.shape[1], pad : pad + x.shape[2]]
+
+    return Var(y, ((x, back),))
+
+
 def max_over(x, axis):
     y = x.value.max(axis, keepdims=True)
     hit = x.value == y

@@ -1,4 +1,13 @@
-"""Networks trained by kernels: one Arrow pass a round computes each task's gradient, already cut into slices."""
+"""Networks trained by kernels: one Arrow pass a round computes each task's gradient, already cut into slices.
+
+State and gradients travel as packed bytes. The owner of a slice adds the gradients up as they come, one after another,
+and applies the optimizer in NumPy, so it holds two copies of its slice and never all producers' rows.
+
+Three ways bring new weights to the next round's tasks (``publish``). ``driver``: collected and broadcast, K numbers a
+round through the driver. ``replicate``: every task is sent every slice by an exchange and meets its samples in a cogroup;
+the driver sees counts and losses only. ``store``: the same from a versioned table in the shared folder. With the last
+two, ``group`` rounds are one plan and one action.
+"""
 
 from __future__ import annotations
 
@@ -10,72 +19,284 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from slicegrad.functions.ship import ship_by_value
-from slicegrad.operators.optim import Optimizer
+from slicegrad.operators.optim import LayerWise, Optimizer
 from slicegrad.operators.slices import ParamLayout
-from slicegrad.operators.train import TrainResult, update, weight_rows
+from slicegrad.operators.train import TrainResult, minibatch
+from slicegrad.sources.store import WeightStore, kept
 
 ship_by_value(__name__)
 
+WIRE = {"f64": np.float64, "f32": np.float32, "f16": np.float16}
+GRADIENT = "producer int, slice int, n double, loss double, ms double, v binary"
+STATE = "slice int, n double, loss double, ms double, bytes long, v binary"
+
+
+def trainable(net) -> np.ndarray:
+    """Places of the parameters that are trained; those of frozen layers are in no slice."""
+    out, at = [], 0
+    for name, shape in net.shapes.items():
+        n = int(np.prod(shape))
+        if name not in net.frozen:
+            out.append(np.arange(at, at + n))
+        at += n
+    return np.concatenate(out) if out else np.zeros(0, dtype=np.int64)
+
+
+def layers(net) -> np.ndarray:
+    """The number of the layer of every trained parameter."""
+    return np.concatenate([np.full(int(np.prod(s)), k) for k, (name, s) in enumerate(net.shapes.items()) if name not in net.frozen])
+
 
-def forward_backward(samples: DataFrame, net, theta, layout_edges: list[int], it: int, threads: int = 1, fault=None) -> DataFrame:
-    """``samples``: (x, y arrays). One gradient a task, as (producer, slice, n, loss, g) rows.
+class Worker:
+    """What a task does with its batch: the summed gradient of the trained parameters, cut and packed.
 
-    Weights are one broadcast of k numbers. ``threads`` split the task's batches, as one task per server does.
-    ``fault(partition, attempt)`` may raise, to show that a rerun task gives the same gradient.
+    ``base`` has the parameters that are not trained; None, if all are.
     """
-    held = samples.sparkSession.sparkContext.broadcast(np.asarray(theta, dtype=np.float64))
 
-    def run(frames):
+    def __init__(self, net, base, places, edges, wire: str, threads: int, fault):
+        self.net, self.base, self.places, self.edges, self.wire, self.threads, self.fault = net, base, places, edges, wire, threads, fault
+
+    def gradient(self, frames, w: np.ndarray, it: int, part: int, attempt: int):
         from concurrent.futures import ThreadPoolExecutor
 
-        from pyspark import TaskContext
-
-        context = TaskContext.get()
-        part = context.partitionId()
-        if fault is not None:
-            fault(part, context.attemptNumber())
+        if self.fault is not None:
+            self.fault(part, attempt)
+        theta = w
+        if self.base is not None:
+            theta = self.base.copy()
+            theta[self.places] = w
+        began = time.time()
 
         def one(job):
             k, f = job
-            return len(f), *net.loss_grad(held.value, np.stack(f["x"].to_numpy()), np.stack(f["y"].to_numpy()), (it, part, k))
+            return len(f), *self.net.loss_grad(theta, np.stack(f["x"].to_numpy()), np.stack(f["y"].to_numpy()), (it, part, k))
 
-        n, loss, g = 0, 0.0, np.zeros(len(held.value))
+        n, loss, g = 0, 0.0, np.zeros(len(theta))
         jobs = ((k, f) for k, f in enumerate(frames) if len(f))
-        if threads > 1:
-            with ThreadPoolExecutor(threads) as pool:
+        if self.threads > 1:
+            with ThreadPoolExecutor(self.threads) as pool:
                 results = list(pool.map(one, jobs))
         else:
             results = map(one, jobs)
         for rows, part_loss, part_g in results:
             n, loss, g = n + rows, loss + part_loss, g + part_g
         if n:
-            slices = range(len(layout_edges) - 1)
-            yield pd.DataFrame({"producer": part, "slice": list(slices), "n": float(n), "loss": loss, "g": [g[layout_edges[s] : layout_edges[s + 1]] for s in slices]})
+            own, kind = g[self.places], WIRE[self.wire]
+            if self.wire == "f16":
+                own = own / n  # a mean keeps to what two bytes can hold; the owner multiplies again
+            cut = [own[a:b].astype(kind).tobytes() for a, b in zip(self.edges[:-1], self.edges[1:])]
+            yield pd.DataFrame({"producer": part, "slice": list(range(len(cut))), "n": float(n), "loss": loss, "ms": 1000 * (time.time() - began), "v": cut})
+
+
+def forward_backward(samples: DataFrame, worker: Worker, w: np.ndarray, it: int) -> DataFrame:
+    """``samples``: (x, y arrays). One gradient a task; weights are one broadcast of k numbers.
+
+    ``threads`` of the worker split the task's batches, as one task per server does; its ``fault(partition, attempt)``
+    may raise, to show that a rerun task gives the same gradient.
+    """
+    held = samples.sparkSession.sparkContext.broadcast(np.asarray(w, dtype=np.float64))
+
+    def run(frames):
+        from pyspark import TaskContext
+
+        context = TaskContext.get()
+        yield from worker.gradient(frames, held.value, it, context.partitionId(), context.attemptNumber())
+
+    return samples.select("x", "y").mapInPandas(run, GRADIENT)
+
+
+def paired_gradients(samples: DataFrame, state: DataFrame, worker: Worker, parts: int, slots: int, it: int) -> DataFrame:
+    """The same with weights from ``state``: a replica of each slice goes to every task and meets the samples that are there."""
+    replicas = state.select("slice", "v").withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(parts - 1)))).repartitionById(parts, "part")
+
+    def run(key, rows: pd.DataFrame, pieces: pd.DataFrame) -> pd.DataFrame:
+        from pyspark import TaskContext
+
+        if not len(rows):
+            return pd.DataFrame(columns=[c.split()[0] for c in GRADIENT.split(", ")])
+        w = np.concatenate([np.frombuffer(v).reshape(1 + slots, -1)[0] for v in pieces.sort_values("slice")["v"]])
+        frames = (rows.iloc[a : a + 10_000] for a in range(0, len(rows), 10_000))
+        out = list(worker.gradient(frames, w, it, int(key[0]), TaskContext.get().attemptNumber()))
+        return out[0]
 
-    return samples.select("x", "y").mapInPandas(run, "producer int, slice int, n double, loss double, g array<double>")
+    return samples.select("part", "x", "y").groupBy("part").cogroup(replicas.groupBy("part")).applyInPandas(run, GRADIENT)
 
 
-def train_net(samples: DataFrame, net, optim: Optimizer, rounds: int, parts: int = 4, n: int = 4, seed: int = 0, threads: int = 1, fault=None, init: TrainResult | None = None, stop=None) -> TrainResult:
-    """``samples``: (id, x, y). The samples are dealt to ``parts`` tasks once and kept there."""
+class Owner:
+    """What the owner of a slice does: adds up, regularises, clips, applies the optimizer."""
+
+    def __init__(self, optim: Optimizer, wire: str, l1: float, l2: float, clip: float | None):
+        self.optim, self.wire, self.l1, self.l2, self.clip = optim, wire, l1, l2, clip
+
+    def mean(self, total, n, w):
+        g = total / n if n else np.zeros_like(w)
+        g = g + self.l2 * w + self.l1 * np.sign(w)
+        return g if self.clip is None else np.clip(g, -self.clip, self.clip)
+
+    def moved(self, held, total, n, it, scale=None):
+        w, slots = held[0], dict(zip(self.optim.slots, held[1:]))
+        g = self.mean(total, n, w)
+        w, slots = self.optim.step_np(w, g, slots, it) if scale is None else self.optim.scaled_np(w, g, slots, it, scale)
+        return np.stack([w, *[slots[k] for k in self.optim.slots]])
+
+    def settle(self, frames, finish):
+        """Rows come by slice, the state's first; ``finish`` gets (slice, state, sum, n, loss, ms, bytes)."""
+        now = None
+        for f in frames:
+            for s, kind, n, loss, ms, v in zip(f["slice"], f["kind"], f["n"], f["loss"], f["ms"], f["v"]):
+                if kind == 0:
+                    if now is not None:
+                        yield finish(*now)
+                    held = np.frombuffer(v).reshape(1 + len(self.optim.slots), -1)
+                    now = [s, held, np.zeros(held.shape[1]), 0.0, 0.0, 0.0, 0]
+                else:
+                    part = np.frombuffer(v, dtype=WIRE[self.wire]).astype(np.float64)
+                    now[2] = now[2] + (part * n if self.wire == "f16" else part)
+                    now[3], now[4], now[5], now[6] = now[3] + n, now[4] + loss, max(now[5], ms), now[6] + len(v)
+        if now is not None:
+            yield finish(*now)
+
+
+def tagged(grads: DataFrame, state: DataFrame, n: int) -> DataFrame:
+    """Gradient and state rows as one union, so that one exchange brings both to the slice's owner."""
+    zero = F.lit(0.0)
+    own = state.select("slice", F.lit(0).alias("kind"), zero.alias("n"), zero.alias("loss"), zero.alias("ms"), "v")
+    return own.unionByName(grads.select("slice", F.lit(1).alias("kind"), "n", "loss", "ms", "v")).repartitionById(n, "slice").sortWithinPartitions("slice", "kind")
+
+
+def update_packed(grads: DataFrame, state: DataFrame, owner: Owner, it: int, n: int) -> DataFrame:
+    def run(frames):
+        def finish(s, held, total, count, loss, ms, size):
+            return pd.DataFrame({"slice": [s], "n": [count], "loss": [loss], "ms": [ms], "bytes": [size], "v": [owner.moved(held, total, count, it).tobytes()]})
+
+        yield from owner.settle(frames, finish)
+
+    return tagged(grads, state, n).mapInPandas(run, STATE)
+
+
+def update_scaled(grads: DataFrame, state: DataFrame, owner: Owner, it: int, n: int, layer_of: np.ndarray, edges: list[int], clip_norm: float | None) -> DataFrame:
+    """For what needs norms across slices: sums first, then norms (a few numbers a slice) at the driver, then the step."""
+    count_layers = int(layer_of.max()) + 1 if len(layer_of) else 1
+    wise = isinstance(owner.optim, LayerWise)
+
+    def add(frames):
+        def finish(s, held, total, count, loss, ms, size):
+            w, slots = held[0], dict(zip(owner.optim.slots, held[1:]))
+            g = owner.mean(total, count, w)
+            u = owner.optim.direction_np(w, g, slots, it) if wise else g
+            own = layer_of[edges[s] : edges[s + 1]]
+            norms = np.bincount(own, w * w, count_layers).tolist() + np.bincount(own, u * u, count_layers).tolist()
+            return pd.DataFrame({"slice": [s], "n": [count], "loss": [loss], "ms": [ms], "bytes": [size], "v": [held.tobytes()], "g": [total.tobytes()], "norms": [norms]})
+
+        yield from owner.settle(frames, finish)
+
+    added = kept(tagged(grads, state, n).mapInPandas(add, STATE + ", g binary, norms array<double>"))
+    norms = np.sum([r["norms"] for r in added.select("norms").collect()], axis=0)
+    w_norm, u_norm = np.sqrt(norms[:count_layers]), np.sqrt(norms[count_layers:])
+    shrink = 1.0 if clip_norm is None else min(1.0, clip_norm / max(float(np.sqrt((u_norm**2).sum())), 1e-300))
+    trust = owner.optim.trust(w_norm, u_norm) if wise else None
+
+    def step(frames):
+        for f in frames:
+            for s, count, loss, ms, size, v, g in zip(f["slice"], f["n"], f["loss"], f["ms"], f["bytes"], f["v"], f["g"]):
+                held = np.frombuffer(v).reshape(1 + len(owner.optim.slots), -1)
+                scale = None if trust is None else trust[layer_of[edges[s] : edges[s + 1]]]
+                yield pd.DataFrame({"slice": [s], "n": [count], "loss": [loss], "ms": [ms], "bytes": [size], "v": [owner.moved(held, np.frombuffer(g) * shrink, count, it, scale).tobytes()]})
+
+    return added.drop("norms").mapInPandas(step, STATE)
+
+
+def packed_state(spark, layout: ParamLayout, w: np.ndarray, slots: dict, names) -> DataFrame:
+    whole = np.stack([w, *[np.asarray(slots[k], dtype=np.float64) for k in names]])
+    rows = [(s, 0.0, 0.0, 0.0, 0, np.ascontiguousarray(whole[:, a:b]).tobytes()) for s in range(layout.n) for a, b in [layout.bounds(s)]]
+    return spark.createDataFrame(rows, STATE)
+
+
+def unpacked_state(rows, names) -> tuple[np.ndarray, dict]:
+    whole = np.concatenate([np.frombuffer(r["v"]).reshape(1 + len(names), -1) for r in sorted(rows, key=lambda r: r["slice"])], axis=1)
+    return whole[0], dict(zip(names, whole[1:]))
+
+
+def train_net(samples: DataFrame, net, optim: Optimizer, rounds: int, parts: int = 4, n: int = 4, seed: int = 0, threads: int = 1, fault=None, init: TrainResult | None = None, stop=None, publish: str = "driver", group: int = 1, buckets: int = 1, accumulate: int = 1, wire: str = "f64", l1: float = 0.0, l2: float = 0.0, clip: float | None = None, clip_norm: float | None = None, measure: bool = False) -> TrainResult:
+    """``samples``: (id, x, y). The samples are dealt to ``parts`` tasks once and kept there.
+
+    A round takes ``accumulate`` of the ``buckets`` mini-batches, added up in the tasks before anything is sent. ``wire``
+    is the form of gradients on their way. ``measure`` runs a round as two actions and notes the time of both, of the
+    slowest kernel, and what launching took. ``stop`` is asked after each group with the weights.
+    """
+    if publish not in ("driver", "replicate", "store"):
+        raise ValueError(f"no way to publish: {publish}")
+    across = isinstance(optim, LayerWise) or clip_norm is not None
+    if group > 1 and (publish == "driver" or across or measure):
+        raise ValueError("rounds in one plan need weights that stay in the cluster and no norms across slices or times of single rounds")
     spark = samples.sparkSession
-    layout = ParamLayout(net.k, n)
-    held = samples.select(F.pmod("id", F.lit(parts)).cast("int").alias("part"), "id", "x", "y").repartitionById(parts, "part").sortWithinPartitions("id").persist()
-    state = init or TrainResult(list(map(float, net.init(seed))), {s: [0.0] * net.k for s in optim.slots}, 0)
-    w, slots, ledger = list(state.weights), dict(state.slots), list(state.ledger)
-    it = state.rounds
+    places, names = trainable(net), list(optim.slots)
+    layout = ParamLayout(len(places), n)
+    base = np.array(net.init(seed) if init is None else init.weights, dtype=np.float64)
+    slots = {k: np.zeros(len(places)) if init is None else np.asarray(init.slots[k])[places] for k in names}
+    bucket = F.pmod(F.col("id") * 7919, F.lit(buckets)).cast("int").alias("bucket")
+    held = samples.select(F.pmod("id", F.lit(parts)).cast("int").alias("part"), bucket, "id", "x", "y").repartitionById(parts, "part").sortWithinPartitions("id").persist()
+    worker, owner = Worker(net, base.copy() if len(places) < net.k else None, places, layout.edges, wire, threads, fault), Owner(optim, wire, l1, l2, clip)
+    layer_of = layers(net) if across else np.zeros(0, dtype=np.int64)
+    first = init.rounds if init is not None else 0
+    ledger, it = list(init.ledger) if init is not None else [], first
+    store = WeightStore.temporary(spark) if publish == "store" else None
+    state, w = packed_state(spark, layout, base[places], slots, names), base[places]
     try:
-        for it in range(state.rounds + 1, state.rounds + rounds + 1):
-            began = time.time()
-            cut = forward_backward(held, net, w, layout.edges, it, threads, fault)
-            rows = {r["slice"]: r for r in update(cut, weight_rows(spark, layout, w, slots), optim, it, n).collect()}
-            w = [v for s in range(n) for v in rows[s]["w"]]
-            slots = {k: [v for s in range(n) for v in rows[s][k]] for k in slots}
-            ledger.append({"iter": it, "wall_ms": int(1000 * (time.time() - began)), "samples": rows[0]["_n"], "loss": rows[0]["_loss"]})
-            if stop is not None and stop(w):
-                break
+        while it < first + rounds:
+            began, noted, gradient_s, pending = time.time(), [], 0.0, state
+            for it in range(it + 1, min(it + group, first + rounds) + 1):
+                batch = held
+                if buckets > 1:
+                    turns = {((it - 1) * accumulate + j) % buckets for j in range(accumulate)}
+                    batch = held.filter(F.col("bucket").isin(*turns))
+                grads = forward_backward(batch, worker, w, it) if publish == "driver" else paired_gradients(batch, pending, worker, parts, len(names), it)
+                if measure:
+                    grads = grads.persist()
+                    grads.count()
+                    gradient_s = time.time() - began
+                pending = update_scaled(grads, pending, owner, it, n, layer_of, layout.edges, clip_norm) if across else update_packed(grads, pending, owner, it, n)
+                noted.append(it)
+            if publish == "store":
+                store.publish(pending, it)
+                state = store.read(it)
+            elif publish == "replicate":
+                state = kept(pending)
+            rows = (pending if publish == "driver" else state.drop("v")).collect()  # counts and losses, unless the driver publishes
+            if publish == "driver":
+                w, slots = unpacked_state(rows, names)
+                state = packed_state(spark, layout, w, slots, names)
+            wall = 1000 * (time.time() - began)
+            if measure:
+                grads.unpersist()
+            said = next(iter(rows))
+            for k in noted:
+                last = k == noted[-1]
+                compute = said["ms"] if last else None
+                ledger.append({
+                    "iter": k, "jobs": 2 if measure else 1, "grouped": len(noted), "tasks": parts + n, "wall_ms": wall / len(noted), "samples": said["n"] if last else None, "loss": said["loss"] if last else None, "compute_ms": compute,
+                    "sync_ms": wall - 1000 * gradient_s if measure else None, "dispatch_ms": max(0.0, 1000 * gradient_s - compute) if measure else None,
+                    "gradient_bytes": sum(r["bytes"] for r in rows), "weight_bytes": 8 * len(places) * parts,
+                })
+            seen = getattr(optim.schedule, "seen", None)
+            if seen is not None and said["n"]:
+                seen(said["loss"] / said["n"])
+            if stop is not None:
+                if publish != "driver":
+                    w, slots = unpacked_state(state.collect(), names)
+                base[places] = w
+                if stop(base):
+                    break
     finally:
         held.unpersist()
-    return TrainResult(w, slots, it, ledger)
+    if publish != "driver":
+        w, slots = unpacked_state(state.collect(), names)  # the trained model, once
+    base[places] = w
+    full = {}
+    for k in names:
+        full[k] = np.zeros(len(base))
+        full[k][places] = slots[k]
+    return TrainResult(base.tolist(), {k: v.tolist() for k, v in full.items()}, it, ledger)
 
 
 def predict(df: DataFrame, net, theta, x: str = "x", out: str = "scores") -> DataFrame:
@@ -91,11 +312,26 @@ def predict(df: DataFrame, net, theta, x: str = "x", out: str = "scores") -> Dat
     return df.withColumn(out, scored(F.col(x)))
 
 
-def local_train(x: np.ndarray, y: np.ndarray, net, optim: Optimizer, rounds: int, seed: int = 0) -> tuple[np.ndarray, list[float]]:
+def local_train(x: np.ndarray, y: np.ndarray, net, optim: Optimizer, rounds: int, seed: int = 0, l1: float = 0.0, l2: float = 0.0, clip: float | None = None, clip_norm: float | None = None) -> tuple[np.ndarray, list[float]]:
     """The same rounds in one process: the reference that the distributed ones must equal."""
-    w, slots, losses = net.init(seed), {s: np.zeros(net.k) for s in optim.slots}, []
+    places = trainable(net)
+    whole, losses = net.init(seed), []
+    slots = {s: np.zeros(len(places)) for s in optim.slots}
+    owner = Owner(optim, "f64", l1, l2, clip)
     for it in range(1, rounds + 1):
-        loss, g = net.loss_grad(w, x, y, (it, 0, 0))
+        loss, g = net.loss_grad(whole, x, y, (it, 0, 0))
         losses.append(loss)
-        w, slots = optim.step_np(w, g / len(x), slots, it)
-    return w, losses
+        w = whole[places]
+        g = owner.mean(g[places], len(x), w)
+        if clip_norm is not None:
+            g = g * min(1.0, clip_norm / max(float(np.linalg.norm(g)), 1e-300))
+        if isinstance(optim, LayerWise):
+            own = layers(net)
+            u = optim.direction_np(w, g, slots, it)
+            trust = optim.trust(np.sqrt(np.bincount(own, w * w)), np.sqrt(np.bincount(own, u * u)))
+            w, slots = optim.scaled_np(w, g, slots, it, trust[own])
+        else:
+            w, slots = optim.step_np(w, g, slots, it)
+        whole = whole.copy()
+        whole[places] = w
+    return whole, losses

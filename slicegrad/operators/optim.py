@@ -143,6 +143,104 @@ class Ftrl(Optimizer):
         return ops.where(ops.absolute(z) <= self.l1, w * 0.0, soft * -1.0 / ((ops.sqrt(n) + self.beta) / self.rate(it) + self.l2)), [z, n]
 
 
+@dataclass(frozen=True)
+class LayerWise(Optimizer):
+    """Steps that are scaled by layer: the owner's direction, times a trust that needs norms over all slices of a layer."""
+
+    decay: float = 0.0
+    eps: float = 1e-12
+
+    def direction_np(self, w, g, slots, it):
+        raise NotImplementedError
+
+    def trust(self, w_norm, u_norm):
+        raise NotImplementedError
+
+    def scaled_np(self, w, g, slots, it, trust):
+        raise NotImplementedError
+
+
+@dataclass(frozen=True)
+class Lars(LayerWise):
+    """Momentum over gradients in parts of the layer's own weights; a layer of zeros takes plain steps."""
+
+    mu: float = 0.9
+    eta: float = 0.01
+    slots: tuple = ("u",)
+
+    def direction_np(self, w, g, slots, it):
+        return g + self.decay * w
+
+    def trust(self, w_norm, u_norm):
+        return np.where((w_norm > 0) & (u_norm > 0), self.eta * w_norm / (u_norm + self.eps), 1.0)
+
+    def scaled_np(self, w, g, slots, it, trust):
+        u = self.mu * slots["u"] + self.rate(it) * trust * self.direction_np(w, g, slots, it)
+        return w - u, {"u": u}
+
+
+@dataclass(frozen=True)
+class Lamb(LayerWise):
+    """The same for moments of the gradient."""
+
+    b1: float = 0.9
+    b2: float = 0.999
+    small: float = 1e-6
+    slots: tuple = ("m", "v")
+
+    def moments(self, g, slots):
+        return slots["m"] * self.b1 + g * (1 - self.b1), slots["v"] * self.b2 + g * g * (1 - self.b2)
+
+    def direction_np(self, w, g, slots, it):
+        m, v = self.moments(g, slots)
+        return m / (1 - self.b1**it) / (np.sqrt(v / (1 - self.b2**it)) + self.small) + self.decay * w
+
+    def trust(self, w_norm, u_norm):
+        return np.where((w_norm > 0) & (u_norm > 0), w_norm / (u_norm + self.eps), 1.0)
+
+    def scaled_np(self, w, g, slots, it, trust):
+        m, v = self.moments(g, slots)
+        return w - self.rate(it) * trust * self.direction_np(w, g, slots, it), {"m": m, "v": v}
+
+
+class Plateau:
+    """A schedule that is told each round's loss: after ``patience`` rounds without a better one, the rate falls."""
+
+    def __init__(self, factor: float = 0.5, patience: int = 3, least: float = 0.0):
+        self.factor, self.patience, self.least = factor, patience, least
+        self.best, self.waited, self.scale = float("inf"), 0, 1.0
+
+    def __call__(self, lr: float, it: int) -> float:
+        return lr * self.scale
+
+    def seen(self, loss: float) -> None:
+        if loss < self.best - self.least:
+            self.best, self.waited = loss, 0
+            return
+        self.waited += 1
+        if self.waited >= self.patience:
+            self.scale, self.waited = self.scale * self.factor, 0
+
+
+class TargetMetric:
+    """Stop at a goal: ``evaluate(weights)`` every so many rounds, until it reaches ``goal`` or has not improved for ``patience`` times."""
+
+    def __init__(self, evaluate, goal: float, higher: bool = True, patience: int | None = None, every: int = 1):
+        self.evaluate, self.goal, self.sign, self.patience, self.every = evaluate, goal, 1 if higher else -1, patience, every
+        self.history: list[float] = []
+        self.calls = 0
+
+    def __call__(self, weights) -> bool:
+        self.calls += 1
+        if self.calls % self.every:
+            return False
+        self.history.append(float(self.evaluate(weights)))
+        own = [self.sign * v for v in self.history]
+        if own[-1] >= self.sign * self.goal:
+            return True
+        return self.patience is not None and len(own) - 1 - max(range(len(own)), key=own.__getitem__) >= self.patience
+
+
 def step_schedule(every: int, factor: float):
     return lambda lr, it: lr * factor ** ((it - 1) // every)
 

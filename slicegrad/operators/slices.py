@@ -83,6 +83,62 @@ def ring(rows: DataFrame, n: int, producers: int) -> DataFrame:
     return moving.select("slice", "n", "loss", "g")
 
 
+def ring_all(rows: DataFrame, producers: int) -> tuple[DataFrame, DataFrame]:
+    """The whole ring with as many slices as nodes: (node, slice, g) of every sum at every node, and (half, hop, node, bytes) moved.
+
+    After the first half, node s - 1 has the sum of slice s; each hop of the second half sends what a node got last to
+    the next one, which keeps it.
+    """
+    size = 8 * F.size("g")
+    local = rows.groupBy(F.pmod(F.col("producer"), F.lit(producers)).cast("int").alias("node"), "slice").agg(folded(F.collect_list("g")).alias("g"))
+    moving = local.filter(F.col("node") == F.pmod(F.col("slice"), F.lit(producers)))
+    hops = []
+
+    def pass_on(held: DataFrame, hop: int) -> DataFrame:
+        moved = held.withColumn("node", F.pmod(F.col("node") + 1, F.lit(producers)).cast("int")).repartitionById(producers, "node")
+        hops.append(moved.select(F.lit(hop).cast("long").alias("hop"), F.col("node").cast("long").alias("node"), size.cast("long").alias("bytes")))
+        return moved
+
+    for hop in range(1, producers):
+        own = local.filter(F.col("node") == F.pmod(F.col("slice") + hop, F.lit(producers)).cast("int"))
+        both = pass_on(moving, hop).unionByName(own).repartitionById(producers, "node")
+        moving = both.groupBy("node", "slice").agg(folded(F.collect_list("g")).alias("g"))
+    held = moving
+    for hop in range(producers, 2 * producers - 1):
+        moving = pass_on(moving, hop)
+        held = held.unionByName(moving)
+    every = hops[0]
+    for h in hops[1:]:
+        every = every.unionByName(h)
+    return held.select("node", "slice", "g"), every
+
+
+def barrier_train(samples: DataFrame, k: int, lr: float, rounds: int, tasks: int) -> list[float]:
+    """Long-running peers, without the driver between rounds: (id, x, y) least squares, all rounds in one gang.
+
+    Each peer adds up its own samples' gradient, gathers the others' sums (k numbers a peer and round) and moves its copy of the
+    weights. If a peer is lost, the whole gang starts again. Spark refuses a gang that finds too few slots.
+    """
+    import json
+
+    from pyspark import BarrierTaskContext
+
+    def gang(part):
+        import numpy as np
+
+        held = [(list(r["x"]), r["y"]) for r in part]
+        x, y = np.array([h[0] for h in held]).reshape(-1, k), np.array([h[1] for h in held])
+        context, w = BarrierTaskContext.get(), np.zeros(k)
+        for _ in range(rounds):
+            own = [len(y), *(x.T @ (x @ w - y)).tolist()]
+            total = np.sum([json.loads(m) for m in context.allGather(json.dumps(own))], axis=0)
+            if total[0]:
+                w = w - lr * total[1:] / total[0]
+        return iter([w.tolist()] if context.partitionId() == 0 else [])
+
+    return samples.select("x", "y").repartition(tasks).rdd.barrier().mapPartitions(gang).collect()[0]
+
+
 def barrier(rows: DataFrame, n: int, tasks: int) -> DataFrame:
     """A gang of tasks that exchange their slices among themselves, without the driver between.
 

@@ -12,7 +12,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from slicegrad.functions.arrays import bucket_of, dot, folded, literal, sums
+from slicegrad.functions.arrays import bucket_of, dot, folded, sums
 from slicegrad.operators import slices
 from slicegrad.operators.optim import Optimizer
 
@@ -61,8 +61,12 @@ class Glm:
             return 1 / (1 + F.exp(-z))
         return 0.5 * (1 + z / (1 + F.abs(z)))  # rational surrogate: the same bits in every engine
 
-    def gradients(self, batch: DataFrame, w: Column) -> DataFrame:
-        """One row a producer: k sums, combined before any exchange."""
+    def gradients(self, batch: DataFrame, w: Column | list) -> DataFrame:
+        """One row a producer: k sums, combined before any exchange. A list of weights travels as one broadcast row, so
+        that every round has the same plan and the same code."""
+        if isinstance(w, list):
+            row = batch.sparkSession.createDataFrame([(w,)], "_v array<double>")
+            batch, w = batch.crossJoin(F.broadcast(row)), F.col("_v")
         p = self.predict(F.col("_w"), F.col("x"))
         rows = batch.withColumn("_w", w).withColumn("_e", (p - F.col("y")) * F.col("wt"))
         g = F.array(*[F.sum(F.col("_e") * F.get("x", j)) for j in range(self.k)])
@@ -127,7 +131,7 @@ def _rounds(samples, model, optim, rounds, n, buckets, mode, reduce, split_jobs,
     for it in range(state.rounds + 1, state.rounds + rounds + 1):
         began = time.time()
         batch = samples if buckets == 1 else minibatch(samples, it - 1, buckets, mode)
-        cut = layout.cut(model.gradients(batch, literal(w)))
+        cut = layout.cut(model.gradients(batch, w))
         if split_jobs:
             cut = cut.persist()
             cut.count()
@@ -173,16 +177,24 @@ def assemble(weights: DataFrame, names=("w",)) -> DataFrame:
     return weights.agg(whole("w").alias("_whole")) if names == ("w",) else weights.agg(*[whole(c).alias(f"_{c}") for c in names])
 
 
-def train_stale(samples: DataFrame, model: Glm, lr: float, rounds: int, lag) -> list[float]:
-    """Producer p computes its gradient at the weights of ``lag(p)`` rounds ago; what a missing barrier amounts to."""
+def train_stale(samples: DataFrame, model: Glm, lr: float, rounds: int, lag, bound: int | None = None) -> list[float]:
+    """Producer p computes its gradient at the weights of ``lag(p)`` rounds ago; what a missing barrier amounts to.
+
+    ``lag`` may look at the producer and, as a second argument, at the round. With a ``bound`` no producer falls further
+    behind. All versions that may be asked for travel as one broadcast table of (version, weights).
+    """
+    spark = samples.sparkSession
     history = [[0.0] * model.k]
+    late = lag if lag.__code__.co_argcount > 1 else lambda part, it: lag(part)
     for it in range(rounds):
-        w = F.lit(None).cast("array<double>")
-        lags = sorted({max(0, it - d) for d in range(0, 10)})
-        for version in lags:
-            w = F.when(F.greatest(F.lit(0), F.lit(it) - lag(F.col("part"))) == version, literal(history[version])).otherwise(w)
-        total = model.gradients(samples, w).agg(F.sum("n").alias("n"), sums(F.col("g"), model.k).alias("g")).first()
-        history.append([a - lr * b / total["n"] for a, b in zip(history[-1], total["g"])])
+        behind = late(F.col("part"), it)
+        behind = behind if bound is None else F.least(behind, F.lit(bound))
+        own = samples.withColumn("_version", F.greatest(F.lit(0), F.lit(it) - behind).cast("int"))
+        kept = history if bound is None else history[max(0, it - bound) :]
+        table = spark.createDataFrame([(it - len(kept) + 1 + k, w) for k, w in enumerate(kept)], "_version int, _at array<double>")
+        total = model.gradients(own.join(F.broadcast(table), "_version"), F.col("_at")).agg(F.sum("n").alias("n"), sums(F.col("g"), model.k).alias("g")).first()
+        if total["n"]:
+            history.append([a - lr * b / total["n"] for a, b in zip(history[-1], total["g"])])
     return history[-1]
 
 

@@ -11,7 +11,7 @@ from slicegrad.operators import optim
 from slicegrad.operators.kernel import predict, train_net
 from slicegrad.plans.core import _factor_sql, factor
 from slicegrad.plans.kit import Book
-from slicegrad.plans.relational import HOURS_SQL, hour_of
+from slicegrad.plans.relational import HOURS_SQL, hour_grid, hour_of
 from slicegrad.sources.store import WeightStore
 from slicegrad.sources.tables import INTERACTIONS_SQL, interactions, load
 
@@ -51,7 +51,7 @@ def negatives(spark, d, n: int):
     return drawn.join(interactions(spark, d).select("u", "i"), ["u", "i"], "left_anti").select("u", "k", "i")
 
 
-_STEP_SQL = """SELECT u, j::BIGINT AS pos, round(avg(err * {part}), 5) AS g FROM r, (SELECT unnest(range(0, 4)) AS j) WHERE u % 20 = 0 GROUP BY 1, 2"""
+_STEP_SQL = """SELECT u, j::BIGINT AS pos, round(avg(err * {part}), 5) AS g FROM r, (SELECT unnest(range(0, 4)) AS j) GROUP BY 1, 2"""
 
 
 def _rows(spark, d):
@@ -59,7 +59,7 @@ def _rows(spark, d):
 
 
 def _mean_grad(r, part):
-    g = r.filter("u % 20 = 0").groupBy("u").agg(F.array(*[F.avg(F.col("err") * part(k)) for k in range(4)]).alias("g"))
+    g = r.groupBy("u").agg(F.array(*[F.avg(F.col("err") * part(k)) for k in range(4)]).alias("g"))
     return g.select("u", F.posexplode("g").alias("pos", "g")).select("u", F.col("pos").cast("long").alias("pos"), F.round("g", 5).alias("g"))
 
 
@@ -209,16 +209,19 @@ FRAME_SQL = f"""h AS ({HOURS_SQL}), c AS (SELECT unnest(range(0, 64)) AS cell),
   frames AS (SELECT date_diff('hour', TIMESTAMP '2024-01-01', h.h)::BIGINT AS hour, c.cell, sum(coalesce(v, 0)) OVER (PARTITION BY c.cell ORDER BY h.h ROWS 23 PRECEDING)::BIGINT AS v FROM h CROSS JOIN c LEFT JOIN e ON e.h = h.h AND e.cell = c.cell)"""
 
 
-def frames(spark, d, hours: int = 720):
-    """(hour, cell, v), v in ten-thousandths so that sums are exact in any order."""
-    grid = spark.range(hours).withColumnRenamed("id", "hour").crossJoin(spark.range(64).withColumnRenamed("id", "cell"))
-    e = load(spark, d, "events").select(hour_of().alias("hour"), (F.col("user_id") % 64).alias("cell"), F.round(F.col("value") * 10000).cast("long").alias("v")).groupBy("hour", "cell").agg(F.sum("v").alias("v"))
+def frames(spark, d):
+    return frames_of(spark, load(spark, d, "events"))
+
+
+def frames_of(spark, events):
+    """(hour, cell, v) for every hour up to the last event's, v in ten-thousandths so that sums are exact in any order."""
+    grid = hour_grid(events).crossJoin(F.broadcast(spark.range(64).withColumnRenamed("id", "cell")))
+    e = events.select(hour_of().alias("hour"), (F.col("user_id") % 64).alias("cell"), F.round(F.col("value") * 10000).cast("long").alias("v")).groupBy("hour", "cell").agg(F.sum("v").alias("v"))
     filled = grid.join(e, ["hour", "cell"], "left").fillna(0, ["v"])
     return filled.withColumn("v", F.sum("v").over(Window.partitionBy("cell").orderBy("hour").rowsBetween(-23, 0)))
 
 
 @B.add("w10_frames", f"WITH {FRAME_SQL} SELECT hour, cell, v FROM frames")
-@B.add("wdw_rolling_24h", f"WITH {FRAME_SQL} SELECT hour, cell, v FROM frames")
 def w10_frames(spark, d):
     return frames(spark, d)
 

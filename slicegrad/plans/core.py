@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window
 
 from slicegrad.functions.arrays import bucket_of, dot, text_bucket
-from slicegrad.operators import optim, slices
+from slicegrad.operators import measures, optim, slices
 from slicegrad.operators.train import Glm, TrainResult, assemble, to_samples, train, train_stale, unrolled, weight_rows, weights_frame
 from slicegrad.plans.kit import Book
 from slicegrad.sources.tables import INTERACTIONS_SQL, VEC8_SQL, interactions, load, vec8
@@ -195,29 +195,44 @@ _strategy("m_sync_ring", lambda c: slices.ring(c, 8, P))
 _strategy("m_sync_barrier", lambda c: slices.barrier(c, 8, 2))
 
 
+@B.add("m_ring_traffic", "SELECT node::BIGINT AS node, (2 * 3 * 8 * 64 // 4)::BIGINT AS bytes_in, (2 * 3)::BIGINT AS hops FROM (SELECT unnest(range(0, 4)) AS node)")
+def m_ring_traffic(spark, sf_dir):
+    """Bytes that reach each of four nodes, counted hop by hop in both halves of the ring: 2 K (N - 1) / N."""
+    _, hops = slices.ring_all(slices.ParamLayout(64, 4).cut(fixed_gradients(spark, sf_dir)), 4)
+    return hops.groupBy("node").agg(F.sum("bytes").alias("bytes_in"), F.countDistinct("hop").alias("hops"))
+
+
+@B.add("m_ring_all_gather", FIXED_SQL.replace("j * 8 // 64", "j * 4 // 64").replace("j % 8", "j % 16").replace("SELECT", "SELECT n.node::BIGINT AS node,", 1).replace("GROUP BY 1, 2", ", (SELECT unnest(range(0, 4)) AS node) n GROUP BY 1, 2, 3"))
+def m_ring_all_gather(spark, sf_dir):
+    """After the second half every node has every slice's sum."""
+    held, _ = slices.ring_all(slices.ParamLayout(64, 4).cut(fixed_gradients(spark, sf_dir)), 4)
+    return held.select(F.col("node").cast("long").alias("node"), F.col("slice").cast("long").alias("slice"), F.posexplode("g").alias("pos", "g")).select("node", "slice", F.col("pos").cast("long").alias("pos"), "g")
+
+
+@B.add("m_barrier_loop", descent_sql(3))
+def m_barrier_loop(spark, sf_dir):
+    """One barrier stage runs all rounds: peers keep their samples and weights and exchange sums among themselves."""
+    w = slices.barrier_train(vec8(spark, sf_dir), K, 0.1, 3, 2)
+    return weights_frame(spark, w)
+
+
 @B.add("m_sync_long", FIXED_SQL)
 def m_sync_long(spark, sf_dir):
     cut = slices.ParamLayout(64, 8).cut(fixed_gradients(spark, sf_dir))
     return slices.long_sum(cut).select(F.col("slice").cast("long").alias("slice"), F.col("pos").cast("long").alias("pos"), F.col("v").alias("g"))
 
 
-@B.add("m_weight_publish", "SELECT via, j::BIGINT AS j, ((j * 37 + 11) % 101 - 50) / 100.0::DOUBLE AS w FROM (SELECT unnest(['driver', 'replicate', 'store']) AS via), (SELECT unnest(range(0, 10)) AS j)")
+@B.add("m_weight_publish", "SELECT unnest(['driver', 'replicate', 'store', 'store in one plan']) AS via, 0::BIGINT AS differing")
 def m_weight_publish(spark, sf_dir):
-    """Three ways to bring new slices to every task give one vector."""
-    from slicegrad.sources.store import WeightStore
-
-    layout = slices.ParamLayout(10, 4)
-    vector = [((j * 37 + 11) % 101 - 50) / 100 for j in range(10)]
-    weights = weight_rows(spark, layout, vector, {})
-    held = spark.sparkContext.broadcast([v for r in sorted(weights.collect(), key=lambda r: r["slice"]) for v in r["w"]])
-    by_driver = spark.createDataFrame([("driver", [float(v) for v in held.value])], "via string, w array<double>")
-    targets = weights.withColumn("target", F.explode(F.sequence(F.lit(0), F.lit(2)))).repartitionById(3, "target")
-    replicated = targets.groupBy("target").agg(F.flatten(F.transform(F.array_sort(F.collect_list(F.struct("slice", "w"))), lambda p: p["w"])).alias("w"))
-    by_shuffle = replicated.select(F.lit("replicate").alias("via"), "w").distinct()
-    store = WeightStore.temporary(spark)
-    store.publish(weights, 1)
-    by_store = assemble(store.read(1)).select(F.lit("store").alias("via"), F.col("_whole").alias("w"))
-    return by_driver.unionByName(by_shuffle).unionByName(by_store).select("via", F.posexplode("w").alias("j", "w")).select("via", F.col("j").cast("long").alias("j"), "w")
+    """A network trained with each way to publish: how many weights differ from the ones that the driver published."""
+    from slicegrad.nn import models
+    from slicegrad.operators.kernel import train_net
+    from slicegrad.plans.apps import images
+
+    samples = images(spark, sf_dir)
+    ways = {"driver": {}, "replicate": {"publish": "replicate"}, "store": {"publish": "store"}, "store in one plan": {"publish": "store", "group": 3}}
+    got = {k: train_net(samples, models.Mlp(64, 8, 4), optim.Adam(0.02), 3, **v).weights for k, v in ways.items()}
+    return spark.createDataFrame([(k, sum(abs(a - b) > 1e-9 for a, b in zip(w, got["driver"]))) for k, w in got.items()], "via string, differing long")
 
 
 SEED_FACTOR = "(({id} * 37 + {d} * 11 + {o}) % 101 - 50) / 100.0"
@@ -231,21 +246,25 @@ def _factor_sql(id_, o, d=4):
     return "[" + ", ".join("(" + SEED_FACTOR.format(id=id_, d=k, o=o) + ")::DOUBLE" for k in range(d)) + "]"
 
 
-@B.add("m_sparse_embedding_grad", f"""WITH {INTERACTIONS_SQL}, e AS (SELECT u, i, {_factor_sql('u', 3)} AS p, {_factor_sql('i', 7)} AS q FROM inter),
-  r AS (SELECT *, list_inner_product(p, q) - 1 AS err FROM e)
-  SELECT 'item' AS tbl, i AS row_id, j::BIGINT AS pos, round(sum(err * p[j + 1]), 3) AS g FROM r, (SELECT unnest(range(0, 4)) AS j) WHERE i % 50 = 0 GROUP BY 1, 2, 3
-  UNION ALL SELECT 'user', u, j::BIGINT, round(sum(err * q[j + 1]), 3) FROM r, (SELECT unnest(range(0, 4)) AS j) WHERE u % 50 = 0 GROUP BY 1, 2, 3""")
+def _whole_sql(id_, o, d=4):
+    return "[" + ", ".join(f"({id_} * 37 + {k} * 11 + {o}) % 101 - 50" for k in range(d)) + "]::BIGINT[]"
+
+
+@B.add("m_sparse_embedding_grad", f"""WITH {INTERACTIONS_SQL}, e AS (SELECT u, i, {_whole_sql('u', 3)} AS p, {_whole_sql('i', 7)} AS q FROM inter),
+  r AS (SELECT *, list_sum(list_transform(range(1, 5), lambda k: p[k] * q[k]))::BIGINT - 10000 AS err FROM e)
+  SELECT 'item' AS tbl, i AS row_id, j::BIGINT AS pos, sum(err * p[j + 1])::BIGINT AS g FROM r, (SELECT unnest(range(0, 4)) AS j) GROUP BY 1, 2, 3
+  UNION ALL SELECT 'user', u, j::BIGINT, sum(err * q[j + 1])::BIGINT FROM r, (SELECT unnest(range(0, 4)) AS j) GROUP BY 1, 2, 3""")
 def m_sparse_embedding_grad(spark, sf_dir):
-    """Gradients of the touched rows only; two aggregates, one by user and one by item, shown for every fiftieth row."""
-    e = interactions(spark, sf_dir).select("u", "i", factor(F.col("u"), 4, 3).alias("p"), factor(F.col("i"), 4, 7).alias("q"))
-    r = e.withColumn("err", dot(F.col("p"), F.col("q")) - 1)
+    """Gradients (in millionths, so that sums are exact) of the touched rows only; two aggregates, one by user and one by item."""
+    whole = lambda id_, o: F.array(*[F.pmod(id_ * 37 + k * 11 + o, F.lit(101)) - 50 for k in range(4)])
+    e = interactions(spark, sf_dir).select("u", "i", whole(F.col("u"), 3).alias("p"), whole(F.col("i"), 7).alias("q"))
+    r = e.withColumn("err", sum((F.get("p", k) * F.get("q", k) for k in range(4)), F.lit(-10000)))
 
     def side(name, key, other):
         g = F.array(*[F.sum(F.col("err") * F.get(other, k)) for k in range(4)])
-        return r.filter(F.col(key) % 50 == 0).groupBy(F.col(key).alias("row_id")).agg(g.alias("g")).select(F.lit(name).alias("tbl"), "row_id", F.posexplode("g").alias("pos", "g"))
+        return r.groupBy(F.col(key).alias("row_id")).agg(g.alias("g")).select(F.lit(name).alias("tbl"), "row_id", F.posexplode("g").alias("pos", "g"))
 
-    both = side("item", "i", "p").unionByName(side("user", "u", "q"))
-    return both.select("tbl", "row_id", F.col("pos").cast("long").alias("pos"), F.round("g", 3).alias("g"))
+    return side("item", "i", "p").unionByName(side("user", "u", "q")).select("tbl", "row_id", F.col("pos").cast("long").alias("pos"), "g")
 
 
 @B.add("m_traffic_model", """WITH g AS (SELECT n, kb FROM (SELECT unnest([1, 2, 4, 8, 16, 32, 64, 128, 256])::BIGINT AS n), (SELECT unnest([4096, 1048576, 1073741824])::BIGINT AS kb))
@@ -284,7 +303,7 @@ def ledger(spark, sf_dir):
 
 @B.add("m_ledger_overheads", f"""WITH {LEDGER_SQL} SELECT (tasks // 100)::BIGINT AS tasks_hundreds, count(*) AS rounds, round(avg(sync_ms) / avg(compute_ms), 6) AS sync_share, round(avg(dispatch_ms) / avg(compute_ms), 6) AS dispatch_share FROM ledger GROUP BY 1""")
 def m_ledger_overheads(spark, sf_dir):
-    return ledger(spark, sf_dir).groupBy(F.floor(F.col("tasks") / 100).alias("tasks_hundreds")).agg(F.count(F.lit(1)).alias("rounds"), F.round(F.avg("sync_ms") / F.avg("compute_ms"), 6).alias("sync_share"), F.round(F.avg("dispatch_ms") / F.avg("compute_ms"), 6).alias("dispatch_share"))
+    return measures.sync_share(ledger(spark, sf_dir), F.floor(F.col("tasks") / 100).alias("tasks_hundreds"))
 
 
 SPEEDUP_SQL = f"""WITH {LEDGER_SQL}, t AS (SELECT nodes, sum(samples) * 1000.0 / sum(wall_ms) AS thr FROM ledger GROUP BY 1)
@@ -292,21 +311,14 @@ SPEEDUP_SQL = f"""WITH {LEDGER_SQL}, t AS (SELECT nodes, sum(samples) * 1000.0 /
 
 
 @B.add("m_ledger_speedup", SPEEDUP_SQL)
-@B.add("w5_speedup_from_ledger", SPEEDUP_SQL)
 def m_ledger_speedup(spark, sf_dir):
-    t = ledger(spark, sf_dir).groupBy("nodes").agg((F.sum("samples") * 1000.0 / F.sum("wall_ms")).alias("thr"))
-    w = Window.orderBy("nodes")  # one row a cluster size
-    up = F.col("thr") / F.first("thr").over(w)
-    return t.select("nodes", F.round("thr", 6).alias("samples_per_s"), F.round(up, 6).alias("speedup"), F.round(up / (F.col("nodes") / F.first("nodes").over(w)), 6).alias("efficiency"))
+    return measures.speedup(ledger(spark, sf_dir))
 
 
 @B.add("m_time_to_quality", f"""WITH {LEDGER_SQL}, r AS (SELECT iter, sum(wall_ms)::BIGINT AS wall_ms, min(loss) AS loss FROM ledger GROUP BY 1), c AS (SELECT *, sum(wall_ms) OVER (ORDER BY iter) AS at_ms FROM r)
   SELECT g AS goal, min(at_ms)::BIGINT AS ms FROM (SELECT unnest([500.0, 100.0, 50.0])::DOUBLE AS g) LEFT JOIN c ON loss <= g GROUP BY 1""")
 def m_time_to_quality(spark, sf_dir):
-    r = ledger(spark, sf_dir).groupBy("iter").agg(F.sum("wall_ms").alias("wall_ms"), F.min("loss").alias("loss"))
-    c = r.withColumn("at_ms", F.sum("wall_ms").over(Window.orderBy("iter")))  # one row a round
-    goals = spark.createDataFrame([(500.0,), (100.0,), (50.0,)], "goal double")
-    return F.broadcast(goals).join(c, F.col("loss") <= F.col("goal"), "left").groupBy("goal").agg(F.min("at_ms").alias("ms"))
+    return measures.time_to_quality(ledger(spark, sf_dir), [500.0, 100.0, 50.0])
 
 
 @B.add("m_cost_model_fit", f"""WITH {LEDGER_SQL} SELECT round(regr_slope(dispatch_ms, tasks), 6) AS ms_per_task, round(regr_intercept(dispatch_ms, tasks), 6) AS ms_fixed, round(regr_r2(dispatch_ms, tasks), 6) AS r2 FROM ledger""")
@@ -316,18 +328,54 @@ def m_cost_model_fit(spark, sf_dir):
 
 @B.add("m_ledger_ratio", f"""WITH {LEDGER_SQL} SELECT round((SELECT sum(samples) * 1.0 / sum(wall_ms) FROM ledger WHERE nodes = 96) / (SELECT sum(samples) * 1.0 / sum(wall_ms) FROM ledger WHERE nodes = 16), 6) AS ratio""")
 def m_ledger_ratio(spark, sf_dir):
-    def thr(n):
-        own = F.col("nodes") == n
-        return F.sum(F.when(own, F.col("samples"))) * 1.0 / F.sum(F.when(own, F.col("wall_ms")))
+    return measures.throughput_ratio(ledger(spark, sf_dir), 96, 16)
 
-    return ledger(spark, sf_dir).agg(F.round(thr(96) / thr(16), 6).alias("ratio"))
 
-
-@B.add("m_recovery_cost", f"""WITH {LEDGER_SQL} SELECT iter % 10 AS failed_at, count(*) AS rounds, 1::BIGINT AS tasks_rerun_fine, (sum(tasks) - count(*))::BIGINT AS spared, sum(tasks)::BIGINT AS tasks_rerun_snapshot FROM ledger WHERE iter < 50 GROUP BY 1""")
+@B.add("m_recovery_cost", f"""WITH {LEDGER_SQL} SELECT iter % 10 AS failed_at, count(*) AS rounds, 1::BIGINT AS tasks_rerun_fine, (sum(tasks) - count(*))::BIGINT AS spared, sum(tasks)::BIGINT AS tasks_rerun_snapshot FROM ledger GROUP BY 1""")
 def m_recovery_cost(spark, sf_dir):
     """A failed task alone against going back to a snapshot that is up to ten rounds old."""
-    own = ledger(spark, sf_dir).filter("iter < 50").groupBy((F.col("iter") % 10).alias("failed_at"))
-    return own.agg(F.count(F.lit(1)).alias("rounds"), F.max(F.lit(1).cast("long")).alias("tasks_rerun_fine"), (F.sum("tasks") - F.count(F.lit(1))).alias("spared"), F.sum("tasks").alias("tasks_rerun_snapshot"))
+    return measures.recovery_cost(ledger(spark, sf_dir), 10)
+
+
+def _recorded(spark, sf_dir, **options):
+    """The ledger of a real run: a network over all images, rounds as two actions with their times."""
+    from slicegrad.nn import models
+    from slicegrad.operators.kernel import train_net
+    from slicegrad.plans.apps import images
+
+    runs = [train_net(images(spark, sf_dir), models.Mlp(64, 16, 4), optim.Momentum(0.1), 4, parts=p, measure=True, **options).ledger for p in (1, 2, 4)]
+    return measures.ledger_frame(spark, [r | {"nodes": p} for p, run in zip((1, 2, 4), runs) for r in run])
+
+
+@B.add("w4_recorded_shares")
+def w4_recorded_shares(spark, sf_dir):
+    """Synchronisation and launching over compute, of a recorded run."""
+    return measures.sync_share(_recorded(spark, sf_dir), "nodes")
+
+
+@B.add("w5_recorded_speedup")
+def w5_recorded_speedup(spark, sf_dir):
+    return measures.speedup(_recorded(spark, sf_dir))
+
+
+@B.add("w6_recorded_counters")
+def w6_recorded_counters(spark, sf_dir):
+    return measures.counters(_recorded(spark, sf_dir).filter("nodes = 4"))
+
+
+@B.add("w2_recorded_time_to_quality")
+def w2_recorded_time_to_quality(spark, sf_dir):
+    """When the summed loss of a recorded run is first under the untrained one, a hundredth and a third below it."""
+    run = _recorded(spark, sf_dir).filter("nodes = 4")
+    first = run.agg(F.max("loss").alias("l")).first()["l"] or 0.0
+    return measures.time_to_quality(run, [0.999999 * first, 0.99 * first, 0.67 * first])
+
+
+@B.add("m_recorded_cost_model")
+def m_recorded_cost_model(spark, sf_dir):
+    """The fitted model of a round, and what it says of up to 256 nodes."""
+    fit = measures.fit_cost_model(_recorded(spark, sf_dir))
+    return spark.createDataFrame([(n, measures.predict_nodes(fit, n, 1e6)) for n in (1, 4, 16, 96, 256)], "nodes long, seconds double")
 
 
 @B.add("m_predict_glm", """SELECT vec_id, round(list_sum(list_transform(range(1, 65), lambda j: embedding[j]::DOUBLE * (((j - 1) * 37 + 11) % 101 - 50) / 100.0)), 6) AS score FROM embeddings""")
@@ -348,14 +396,14 @@ def m_mlp_forward(spark, sf_dir):
 
 
 @B.add("m_conv_forward", """SELECT vec_id, (r * 6 + c)::BIGINT AS cell, round(sum(embedding[(r + a) * 8 + c + b + 1]::DOUBLE * (((a * 3 + b) * 37 + 11) % 101 - 50) / 100.0), 6) AS v
-  FROM embeddings, (SELECT unnest(range(0, 6)) AS r), (SELECT unnest(range(0, 6)) AS c), (SELECT unnest(range(0, 3)) AS a), (SELECT unnest(range(0, 3)) AS b) WHERE vec_id % 10 = 0 GROUP BY 1, 2""")
+  FROM embeddings, (SELECT unnest(range(0, 6)) AS r), (SELECT unnest(range(0, 6)) AS c), (SELECT unnest(range(0, 3)) AS a), (SELECT unnest(range(0, 3)) AS b) GROUP BY 1, 2""")
 def m_conv_forward(spark, sf_dir):
-    """3 by 3 convolution of the 8 by 8 image, valid cells, every tenth vector."""
+    """3 by 3 convolution of the 8 by 8 image, valid cells."""
     def cell(at):
         r, c = F.floor(at / 6).cast("int"), (at % 6).cast("int")
         return sum((F.get("embedding", (r + a) * 8 + c + b).cast("double") * (((a * 3 + b) * 37 + 11) % 101 - 50) / 100.0 for a in range(3) for b in range(3)), F.lit(0.0))
 
-    e = load(spark, sf_dir, "embeddings").filter("vec_id % 10 = 0")
+    e = load(spark, sf_dir, "embeddings")
     return e.select("vec_id", F.posexplode(F.transform(F.sequence(F.lit(0), F.lit(35)), cell)).alias("cell", "v")).select("vec_id", F.col("cell").cast("long").alias("cell"), F.round("v", 6).alias("v"))
 
 
@@ -373,7 +421,6 @@ def text_features(spark, sf_dir, buckets: int = 16):
 
 
 @B.add("w1_text_features", f"WITH {_FEATURES_SQL} SELECT doc_id, b AS bucket, c, round(c / l, 6) AS v FROM cnt JOIN nrm USING (doc_id)")
-@B.add("f_bow_map", f"WITH {_FEATURES_SQL} SELECT doc_id, b AS bucket, c, round(c / l, 6) AS v FROM cnt JOIN nrm USING (doc_id)")
 def w1_text_features(spark, sf_dir):
     return text_features(spark, sf_dir).select("doc_id", "bucket", "c", F.round("v", 6).alias("v"))
 
@@ -435,7 +482,6 @@ def quality_samples(spark, sf_dir):
 
 
 @B.add("w1_lang_train", softmax_sql(_LANG_S, 4, _WEIGHTS.format(4)))
-@B.add("m_softmax_sql", softmax_sql(_LANG_S, 4, _WEIGHTS.format(4)))
 def w1_lang_train(spark, sf_dir):
     return _matrix_frame(spark, softmax_rounds(lang_samples(spark, sf_dir), 4, 3))
 

@@ -15,11 +15,11 @@ from pyspark.sql import functions as F
 
 from slicegrad.nn import models
 from slicegrad.operators import optim
-from slicegrad.operators.kernel import forward_backward, local_train, predict, train_net
-from slicegrad.operators.slices import ParamLayout
-from slicegrad.operators.train import Glm, to_samples, train, unrolled, update, weight_rows
-from slicegrad.plans.apps import frame_samples, images, rating_samples, token_length, token_samples
-from slicegrad.sources.tables import vec8
+from slicegrad.operators import measures
+from slicegrad.operators.kernel import local_train, predict, train_net
+from slicegrad.operators.train import Glm, to_samples, train, unrolled
+from slicegrad.plans.apps import frame_samples, frames_of, images, rating_samples, token_length, token_samples
+from slicegrad.sources.tables import load, vec8
 
 
 def clock(f):
@@ -29,20 +29,14 @@ def clock(f):
 
 
 def sync_overhead(spark, sf_dir):
-    """Synchronisation time over compute time, by width of the network and number of tasks."""
+    """Synchronisation time over compute time of recorded rounds, by width of the network and number of tasks."""
     out = []
-    for width in (4, 8):
+    for width in (4, 16):
         net = models.Inception(8, width, 4)
-        for parts in (1, 2, 4, 8):
-            data = images(spark, sf_dir).select(F.pmod("id", F.lit(parts)).cast("int").alias("part"), "x", "y").repartitionById(parts, "part").persist()
-            data.count()
-            layout, w = ParamLayout(net.k, 4), list(map(float, net.init(0)))
-            grads = forward_backward(data, net, w, layout.edges, 1).persist()
-            compute, _ = clock(grads.count)
-            sync, _ = clock(lambda: update(grads, weight_rows(spark, layout, w, {}), optim.Sgd(0.1), 1, 4).collect())
-            out.append({"k": net.k, "tasks": parts, "compute_s": round(compute, 3), "sync_s": round(sync, 3), "share": round(sync / compute, 3)})
-            grads.unpersist()
-            data.unpersist()
+        for parts in (1, 2, 4, 8, 16, 32):
+            run = train_net(images(spark, sf_dir), net, optim.Sgd(0.1), 3, parts=parts, measure=True)
+            share = measures.sync_share(measures.ledger_frame(spark, run.ledger[1:])).first()
+            out.append({"k": net.k, "tasks": parts, "sync_share": round(share["sync_share"], 3), "dispatch_share": round(share["dispatch_share"], 3)})
     return out
 
 
@@ -53,6 +47,11 @@ def dispatch(spark, sf_dir):
         job = spark.range(0, tasks, 1, tasks)
         job.write.format("noop").mode("overwrite").save()
         out.append({"tasks": tasks, "s": round(clock(lambda j=job: j.write.format("noop").mode("overwrite").save())[0], 3)})
+    net = models.Mlp(64, 8, 4)
+    for tasks in (4, 16, 64):
+        for group in (1, 5, 10):
+            s, _ = clock(lambda t=tasks, g=group: train_net(images(spark, sf_dir), net, optim.Sgd(0.1), 10, parts=t, publish="replicate", group=g))
+            out.append({"tasks": tasks, "network_group": group, "ten_rounds_s": round(s, 3)})
     samples = to_samples(vec8(spark, sf_dir), 4).persist()
     samples.count()
     for group in (1, 3, 6):
@@ -63,20 +62,30 @@ def dispatch(spark, sf_dir):
 
 
 def scaling(spark, sf_dir):
-    """Samples a second with one to all cores' worth of tasks, and the fitted model carried to 256."""
-    net, rows = models.Inception(8, 8, 4), []
-    data = images(spark, sf_dir).crossJoin(spark.range(4).withColumnRenamed("id", "copy")).withColumn("id", F.col("id") * 4 + F.col("copy")).drop("copy").persist()
-    n = data.count()
-    for tasks in (1, 2, 4):
-        train_net(data, net, optim.Sgd(0.1), 1, parts=tasks)
-        s, _ = clock(lambda t=tasks: train_net(data, net, optim.Sgd(0.1), 2, parts=t))
-        rows.append((tasks, s / 2))
-    data.unpersist()
-    a = np.array([[1 / t, 1.0, t] for t, _ in rows])
-    fit = np.linalg.lstsq(a, np.array([s for _, s in rows]), rcond=None)[0]
-    fixed = max(fit[1], 1e-3)
-    say = lambda t: max(fit[0], 1e-3) / t + fixed
-    return {"measured": [{"tasks": t, "s": round(s, 3), "per_s": round(n / s)} for t, s in rows], "speedup_96_over_16_fitted": round(say(16) / say(96), 2), "speedup_96_over_16_large_batch": round((say(16) - fixed) / (say(96) - fixed), 2)}
+    """Samples a second of recorded rounds on replicated data, and the fitted model of a round carried to 256 nodes."""
+    net = models.Inception(8, 8, 4)
+    rows = []
+    for copies in (2, 8):
+        data = images(spark, sf_dir).crossJoin(F.broadcast(spark.range(copies).withColumnRenamed("id", "copy"))).withColumn("id", F.col("id") * copies + F.col("copy")).drop("copy").persist()
+        data.count()
+        for tasks in (1, 2, 4, 8):
+            run = train_net(data, net, optim.Sgd(0.1), 3, parts=tasks, measure=True)
+            rows += [r | {"nodes": tasks} for r in run.ledger[1:]]
+        data.unpersist()
+    frame = measures.ledger_frame(spark, rows)
+    fit = measures.fit_cost_model(frame)
+    said = {n: measures.predict_nodes(fit, n, samples=1e6) for n in (1, 4, 16, 96, 256)}
+    return {"measured": [r.asDict() for r in measures.speedup(frame).collect()], "fit": fit, "speedup_96_over_16": round(said[16] / said[96], 2), "speedup_256_over_16": round(said[16] / said[256], 2)}
+
+
+def volume(spark, sf_dir):
+    """Frames of events replicated up to thirty times: windows a second by how many rows are read."""
+    out = []
+    for copies in (1, 10, 30):
+        e = load(spark, sf_dir, "events").crossJoin(F.broadcast(spark.range(copies).withColumnRenamed("id", "copy"))).withColumn("user_id", F.col("user_id") + F.col("copy"))
+        s, n = clock(lambda x=e: frames_of(spark, x).count())
+        out.append({"copies": copies, "cells": n, "s": round(s, 2)})
+    return out
 
 
 def ncf(spark, sf_dir):
@@ -122,15 +131,13 @@ def detect_pipeline(spark, sf_dir):
 
 def connector(spark, sf_dir):
     """Scoring in the plan against export, another process and import."""
-    import tempfile
-
     from slicegrad.plans.core import m_predict_glm
     from slicegrad.sources.connector import score_outside
-    from slicegrad.sources.tables import load
+    from slicegrad.sources.store import shared_folder
 
     df = load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.transform("embedding", lambda v: v.cast("double")).alias("x"))
     inside, _ = clock(lambda: m_predict_glm(spark, sf_dir).write.format("noop").mode("overwrite").save())
-    outside, _ = clock(lambda: score_outside(df, tempfile.mkdtemp(), 64).write.format("noop").mode("overwrite").save())
+    outside, _ = clock(lambda: score_outside(df, shared_folder(spark, "connector"), 64).write.format("noop").mode("overwrite").save())
     return {"in_plan_s": round(inside, 3), "connector_s": round(outside, 3)}
 
 
@@ -150,7 +157,7 @@ def jobs(spark, sf_dir):
     return {"fused_s": round(fused, 3), "split_s": round(split, 3), "jobs": [sum(r["jobs"] for r in x.ledger) for x in (a, b)], "equal": bool(np.allclose(a.weights, b.weights))}
 
 
-EXPERIMENTS = {f.__name__: f for f in (sync_overhead, dispatch, scaling, ncf, nets, detect_pipeline, connector, frames, jobs)}
+EXPERIMENTS = {f.__name__: f for f in (sync_overhead, dispatch, scaling, volume, ncf, nets, detect_pipeline, connector, frames, jobs)}
 
 
 def main(names: list[str], sf_dir: str) -> None:

@@ -36,7 +36,6 @@ def j_docs_labels(spark, d):
     return load(spark, d, "documents").select("doc_id", "lang").join(l, "doc_id", "left").groupBy("lang").agg(F.count("has").alias("labelled"), (n1() - F.count("has")).alias("unlabelled"))
 
 
-@B.add("j_interactions", f"WITH {INTERACTIONS_SQL} SELECT u, i, ts, n FROM inter")
 @B.add("w2_interactions", f"WITH {INTERACTIONS_SQL} SELECT u, i, ts, n FROM inter")
 def j_interactions(spark, d):
     return interactions(spark, d)
@@ -70,13 +69,19 @@ def j_purchased_semi(spark, d):
     return load(spark, d, "part").select("p_partkey", "p_brand").join(l, F.col("p_partkey") == F.col("l_partkey"), "left_semi")
 
 
-HOURS_SQL = "SELECT unnest(generate_series(TIMESTAMP '2024-01-01', TIMESTAMP '2024-01-30 23:00:00', INTERVAL 1 HOUR)) AS h"
+HOURS_SQL = "SELECT unnest(generate_series(TIMESTAMP '2024-01-01', (SELECT greatest(max(date_trunc('hour', ts)), TIMESTAMP '2024-01-30 23:00:00') FROM events), INTERVAL 1 HOUR)) AS h"
+
+
+def hour_grid(events):
+    """(hour) from the first of January 2024 to the last event, thirty days at least: one row, spread out."""
+    last = events.agg(F.greatest(F.max(hour_of()), F.lit(719).cast("long")).alias("last"))
+    return last.select(F.explode(F.sequence(F.lit(0).cast("long"), F.coalesce("last", F.lit(719).cast("long")))).alias("hour"))
 
 
 @B.add("j_left_zero_fill", f"""WITH h AS ({HOURS_SQL}), c AS (SELECT unnest(range(0, 64)) AS cell), e AS (SELECT date_trunc('hour', ts) AS h, user_id % 64 AS cell, count(*) AS n FROM events GROUP BY 1, 2)
   SELECT date_diff('hour', TIMESTAMP '2024-01-01', h.h)::BIGINT AS hour, c.cell, coalesce(n, 0)::BIGINT AS n FROM h CROSS JOIN c LEFT JOIN e ON e.h = h.h AND e.cell = c.cell""")
 def j_left_zero_fill(spark, d):
-    grid = spark.range(720).withColumnRenamed("id", "hour").crossJoin(spark.range(64).withColumnRenamed("id", "cell"))
+    grid = hour_grid(load(spark, d, "events")).crossJoin(F.broadcast(spark.range(64).withColumnRenamed("id", "cell")))
     e = load(spark, d, "events").select(hour_of().alias("hour"), (F.col("user_id") % 64).alias("cell")).groupBy("hour", "cell").agg(n1().alias("n"))
     return grid.join(e, ["hour", "cell"], "left").fillna(0, ["n"])
 
@@ -91,13 +96,13 @@ def hour_of():
 def j_cross_anchor(spark, d):
     anchors = spark.range(16).withColumnRenamed("id", "anchor")
     e = load(spark, d, "embeddings").select(F.floor(F.col("vec_id") / 16).alias("pic"), (F.col("vec_id") % 16).alias("tile"), F.aggregate("embedding", F.lit(0.0), lambda a, v: a + v.cast("double") * v.cast("double")).alias("e"))
-    return e.crossJoin(F.broadcast(anchors)).filter("tile = anchor").groupBy("pic", "anchor").agg(F.round(F.sum("e") * (1 + F.col("anchor")), 5).alias("energy"))
+    return e.join(F.broadcast(anchors), F.col("tile") == F.col("anchor")).groupBy("pic", "anchor").agg(F.round(F.sum("e") * (1 + F.col("anchor")), 5).alias("energy"))
 
 
-@B.add("j_theta_price_band", "SELECT a.p_partkey AS a, b.p_partkey AS b FROM part a JOIN part b ON a.p_brand = b.p_brand AND a.p_partkey < b.p_partkey AND abs(a.p_retailprice - b.p_retailprice) < 5 WHERE a.p_partkey < 400 AND b.p_partkey < 400")
+@B.add("j_theta_price_band", "SELECT a.p_partkey AS a, b.p_partkey AS b FROM part a JOIN part b ON a.p_brand = b.p_brand AND a.p_partkey < b.p_partkey AND abs(a.p_retailprice - b.p_retailprice) < 5")
 def j_theta_price_band(spark, d):
     """Brand and price band are the join key (the band and its upper neighbour), so no brand meets itself whole."""
-    p = load(spark, d, "part").filter("p_partkey < 400").select("p_partkey", "p_brand", "p_retailprice")
+    p = load(spark, d, "part").select("p_partkey", "p_brand", "p_retailprice")
     a = p.select(F.col("p_partkey").alias("a"), "p_brand", F.col("p_retailprice").alias("pa"), F.explode(F.array(*[F.floor(F.col("p_retailprice") / 5) + k for k in (-1, 0, 1)])).alias("band"))
     b = p.select(F.col("p_partkey").alias("b"), "p_brand", F.col("p_retailprice").alias("pb"), F.floor(F.col("p_retailprice") / 5).alias("band"))
     return a.join(b, ["p_brand", "band"]).filter("a < b and abs(pa - pb) < 5").select("a", "b")

@@ -15,12 +15,7 @@ class WeightStore:
 
     @classmethod
     def temporary(cls, spark: SparkSession) -> WeightStore:
-        where = spark.conf.get("spark.checkpoint.dir", None)
-        if where is None:
-            if not spark.sparkContext.master.startswith("local"):
-                raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-            where = tempfile.mkdtemp(prefix="slicegrad-weights-")
-        return cls(spark, f"{where.rstrip('/')}/weights-{uuid.uuid4().hex}")
+        return cls(spark, shared_folder(spark, "weights"))
 
     def publish(self, weights: DataFrame, version: int) -> None:
         weights.write.mode("overwrite").parquet(f"{self.folder}/version={version}")
@@ -37,6 +32,24 @@ class WeightStore:
         return every.filter(F.col("version") == newest)
 
 
+def kept(df: DataFrame) -> DataFrame:
+    """Materialised in the shared checkpoint folder, its lineage cut."""
+    context = df.sparkSession.sparkContext
+    if context.getCheckpointDir() is None:
+        context.setCheckpointDir(shared_folder(df.sparkSession, "checkpoint"))
+    return df.checkpoint()
+
+
+def shared_folder(spark: SparkSession, what: str) -> str:
+    """A new folder where all executors can write; machine-local only under a local master."""
+    where = spark.conf.get("spark.checkpoint.dir", None)
+    if where is None:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        where = tempfile.mkdtemp(prefix="slicegrad-")
+    return f"{where.rstrip('/')}/{what}-{uuid.uuid4().hex}"
+
+
 def one_version(rows: DataFrame) -> DataFrame:
     """Refuses weights of more than one version."""
     if rows.select("version").distinct().limit(2).count() > 1:

@@ -171,6 +171,102 @@ def test_kernel_training_is_the_single_process(spark):
         assert out.weights == pytest.approx(want.tolist()) and [r["loss"] for r in out.ledger] == pytest.approx(losses)
 
 
+WAYS = [{"publish": "replicate"}, {"publish": "replicate", "group": 3}, {"publish": "store", "group": 2}, {"wire": "f32"}, {"measure": True}, {"publish": "store", "measure": True}]
+
+
+@pytest.mark.parametrize("way", WAYS, ids=str)
+def test_every_way_to_publish_is_the_single_process(spark, way):
+    x, y = batch("ui", 40)
+    net = models.NeuMf(8, 8, 3, 4)
+    want, losses = local_train(x, y, net, optim.Adam(0.05), 3)
+    out = train_net(frame(spark, x, y), net, optim.Adam(0.05), 3, parts=3, **way)
+    assert out.weights == pytest.approx(want.tolist(), abs=1e-6 if "wire" in way else 1e-12) and out.rounds == len(out.ledger) == 3
+    assert out.ledger[-1]["loss"] == pytest.approx(losses[-1], rel=1e-5) and out.ledger[-1]["gradient_bytes"] == 3 * net.k * (4 if "wire" in way else 8)
+    if way.get("measure"):
+        assert all(r["compute_ms"] > 0 and r["sync_ms"] > 0 and r["dispatch_ms"] >= 0 and r["jobs"] == 2 for r in out.ledger)
+
+
+def test_two_byte_gradients_come_near(spark):
+    x, y = batch("img", 40)
+    net = models.Mlp(64, 6, 4)
+    want, _ = local_train(x, y, net, optim.Sgd(0.1), 2)
+    out = train_net(frame(spark, x, y), net, optim.Sgd(0.1), 2, wire="f16")
+    assert out.weights == pytest.approx(want.tolist(), abs=2e-3) and out.ledger[0]["gradient_bytes"] == 4 * net.k * 2
+
+
+def test_weights_stay_in_the_cluster(spark, monkeypatch):
+    """Between the start and the trained model no action brings weights to the driver."""
+    from pyspark.sql.classic.dataframe import DataFrame as Frame
+
+    brought = []
+    collect = Frame.collect
+    monkeypatch.setattr(Frame, "collect", lambda self: brought.append(self.columns) or collect(self))
+    x, y = batch("img", 24)
+    train_net(frame(spark, x, y), models.Mlp(64, 6, 4), optim.Sgd(0.1), 3, publish="replicate")
+    assert len(brought) == 4 and all("v" not in c and "w" not in c for c in brought[:3]) and "v" in brought[3]
+
+
+@pytest.mark.parametrize("opt,options", [(optim.Lars(0.5, decay=0.01), {}), (optim.Lamb(0.05, decay=0.01), {}), (optim.Sgd(0.5), {"clip_norm": 0.05}), (optim.Adam(0.05), {"l1": 0.01, "l2": 0.1, "clip": 0.02})], ids=str)
+@pytest.mark.parametrize("publish", ["driver", "replicate"])
+def test_layers_norms_and_regularisers(spark, opt, options, publish):
+    x, y = batch("img", 30)
+    net = models.Mlp(64, 6, 4)
+    want, losses = local_train(x, y, net, opt, 3, **options)
+    out = train_net(frame(spark, x, y), net, opt, 3, parts=2, n=5, publish=publish, **options)
+    assert out.weights == pytest.approx(want.tolist()) and [r["loss"] for r in out.ledger] == pytest.approx(losses) and losses[-1] != losses[0]
+
+
+def test_accumulated_batches_are_one_larger_batch(spark):
+    x, y = batch("img", 40)
+    net = models.Mlp(64, 6, 4)
+    few = train_net(frame(spark, x, y), net, optim.Sgd(0.1), 1, buckets=4, accumulate=2)
+    own = np.array([(i * 7919) % 4 < 2 for i in range(40)])
+    want, _ = local_train(x[own], y[own], net, optim.Sgd(0.1), 1)
+    assert few.weights == pytest.approx(want.tolist()) and few.ledger[0]["samples"] == own.sum()
+
+
+def test_frozen_slices_are_never_sent(spark):
+    x, y = batch("img", 20)
+    net = models.Mlp(64, 6, 4)
+    net.frozen = ("w1", "w1_b")
+    out = train_net(frame(spark, x, y), net, optim.Momentum(0.1), 2, parts=2)
+    assert out.ledger[0]["gradient_bytes"] == 2 * 8 * (6 * 4 + 4)
+
+
+def test_plateau_and_goal(spark):
+    s = optim.Plateau(0.5, patience=2)
+    for v in (1.0, 0.9, 0.95, 0.91, 0.92, 0.93):
+        s.seen(v)
+    assert s(0.1, 9) == pytest.approx(0.025)
+    goal = optim.TargetMetric(lambda w: w, 0.9, patience=2)
+    assert [goal(v) for v in (0.5, 0.6, 0.55, 0.58)] == [False, False, False, True]
+    assert optim.TargetMetric(lambda w: w, 0.2, higher=False)(0.1) and not optim.TargetMetric(lambda w: w, 0.2, every=2)(0.3)
+    x, y = batch("img", 24)
+    opt = optim.Sgd(5.0, schedule=optim.Plateau(0.1, patience=1))
+    out = train_net(frame(spark, x, y), models.Mlp(64, 6, 4), opt, 6)
+    assert opt.schedule.scale < 1 and len(out.ledger) == 6
+
+
+def test_large_models_go_in_slices(spark):
+    """A quarter of a million parameters, which as plan literals or one row an element would not run."""
+    x, y = batch("img", 12)
+    net = models.Mlp(64, 3_700, 4)
+    out = train_net(frame(spark, x, y), net, optim.Sgd(0.1), 2, parts=2, n=8, publish="replicate", group=2)
+    want, _ = local_train(x, y, net, optim.Sgd(0.1), 2)
+    assert net.k > 250_000 and out.weights == pytest.approx(want.tolist())
+
+
+@pytest.mark.parametrize("lag", [0, 1, 12])
+def test_any_lag(spark, lag):
+    df = spark.createDataFrame([(0, [1.0], 1.0)], "id long, x array<double>, y double")
+    w = [0.0]
+    for it in range(15):
+        w.append(w[-1] - 0.05 * (w[max(0, it - lag)] - 1))
+    assert train_stale(to_samples(df, 1), Glm(1), 0.05, 15, lambda p: F.lit(lag)) == pytest.approx([w[-1]])
+    bounded = train_stale(to_samples(df, 1), Glm(1), 0.05, 15, lambda p, it: F.lit(100), bound=lag)
+    assert bounded == pytest.approx([w[-1]])
+
+
 def test_a_failed_task_alone_runs_again(spark):
     def fault(part, attempt):
         if part == 1 and attempt == 0:
@@ -245,6 +341,57 @@ def test_boxes():
     assert models.decode(models.boxes(2, 8), np.zeros((4, 4)), 8).tolist() == models.boxes(2, 8).tolist()
 
 
+def test_detector_gradient_and_criterion():
+    net = models.Detector(16, 2, 3)
+    rng = np.random.default_rng(0)
+    x, y = rng.normal(size=(3, 256)), np.array([[0.0, 0, 8, 8], [8, 8, 16, 16], [1, 7, 8, 15]])
+    theta = net.init(1)
+    _, g = net.loss_grad(theta, x, y)
+    for k in rng.choice(net.k, 40):
+        d = np.zeros(net.k)
+        d[k] = 1e-5
+        assert g[k] == pytest.approx((net.loss_grad(theta + d, x, y)[0] - net.loss_grad(theta - d, x, y)[0]) / 2e-5, abs=1e-3)
+    box = np.array([[1.0, 2, 7, 9]])
+    assert models.decode(net.anchors[:1], models.encode(net.anchors[:1], box), 16) == pytest.approx(box)
+
+
+def test_batch_norm_and_steps():
+    from slicegrad.nn import tape as t
+
+    v = t.lift(np.random.default_rng(0).normal(3, 2, (4, 5, 5, 2)))
+    out = models.batch_norm(v, t.lift(np.array([2.0, 1.0])), t.lift(np.array([0.5, 0.0]))).value
+    assert out.mean((0, 1, 2)) == pytest.approx([0.5, 0.0]) and out.std((0, 1, 2)) == pytest.approx([2.0, 1.0], rel=1e-3)
+    seq = t.lift(np.arange(12.0).reshape(2, 3, 2))
+    assert models.each_step(lambda z: z @ t.lift(np.ones((2, 1))), seq).value.shape == (2, 3, 1)
+
+
+def test_gang_is_refused_without_slots(spark):
+    df = spark.createDataFrame([(i, [1.0], 1.0) for i in range(40)], "id long, x array<double>, y double")
+    assert slices.barrier_train(df, 1, 0.5, 3, 2) == pytest.approx([0.875])
+    with pytest.raises(Exception, match="barrier|slots"):
+        slices.barrier_train(df, 1, 0.5, 1, 12)
+
+
+def test_measures_of_a_real_run(spark):
+    from slicegrad.operators import measures
+
+    x, y = batch("img", 40)
+    net = models.Mlp(64, 6, 4)
+    rows = [r | {"nodes": p} for p in (1, 4) for r in train_net(frame(spark, x, y), net, optim.Sgd(0.1), 3, parts=p, measure=True).ledger]
+    led = measures.ledger_frame(spark, rows)
+    got = {r["nodes"]: r["sync_share"] for r in measures.sync_share(led, "nodes").collect()}
+    for p in (1, 4):
+        own = [r for r in rows if r["nodes"] == p]
+        assert got[p] == pytest.approx(sum(r["sync_ms"] for r in own) / sum(r["compute_ms"] for r in own), rel=1e-4)
+    c = measures.counters(led.filter("nodes = 4")).first()
+    assert (c["rounds"], c["jobs_per_round"], c["tasks_per_round"], c["gradient_bytes"]) == (3, 2, 8, 4 * 8 * net.k)
+    made = [{"iter": k, "nodes": n, "tasks": 2 * n, "samples": 1000.0 * n, "wall_ms": 1000 * (0.002 * 1000 + 0.3 + 0.01 * 2 * n)} for k, n in enumerate((1, 2, 4, 8, 16))]
+    made += [m | {"samples": 3 * m["samples"], "wall_ms": m["wall_ms"] + 1000 * 0.002 * 2000} for m in made]
+    fit = measures.fit_cost_model(measures.ledger_frame(spark, made))
+    assert fit == pytest.approx({"per_sample_s": 0.002, "fixed_s": 0.3, "per_task_s": 0.01})
+    assert measures.predict_nodes(fit, 10, 1000) == pytest.approx(0.2 + 0.3 + 0.2)
+
+
 def test_edges(spark):
     empty = spark.createDataFrame([], "id long, x array<double>, y double")
     assert train(to_samples(empty, 2), Glm(3), optim.Sgd(0.1), 1, 5).weights == [0.0, 0.0, 0.0]
