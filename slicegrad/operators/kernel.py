@@ -28,6 +28,8 @@ ship_by_value(__name__)
 
 WIRE = {"f64": np.float64, "f32": np.float32, "f16": np.float16}
 GRADIENT = "producer int, slice int, n double, loss double, ms double, v binary"
+TAGGED = "slice int, kind int, n double, loss double, ms double, v binary"
+TAGGED_COLUMNS = [c.split()[0] for c in TAGGED.split(", ")]
 STATE = "slice int, n double, loss double, ms double, bytes long, v binary"
 
 
@@ -106,20 +108,29 @@ def forward_backward(samples: DataFrame, worker: Worker, w: np.ndarray, it: int)
 
 
 def paired_gradients(samples: DataFrame, state: DataFrame, worker: Worker, parts: int, slots: int, it: int) -> DataFrame:
-    """The same with weights from ``state``: a replica of each slice goes to every task and meets the samples that are there."""
-    replicas = state.select("slice", "v").withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(parts - 1)))).repartitionById(parts, "part")
+    """The same with weights from ``state``: a replica of each slice goes to every task and meets the samples that are there.
+
+    Each slice's slots go along to one of the tasks, which hands the slice's state on beside its gradient, so that a
+    round reads the one before once and a plan of several rounds grows in line. Returns ``tagged`` rows.
+    """
+    owner = F.pmod("slice", F.lit(parts)) == F.col("part")
+    weights = F.expr(f"substring(v, 1, cast(length(v) / {1 + slots} as int))")
+    replicas = state.select("slice", "v").withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))))
+    replicas = replicas.select("part", "slice", owner.alias("own"), F.when(owner, F.col("v")).otherwise(weights).alias("v")).repartitionById(parts, "part")
 
     def run(key, rows: pd.DataFrame, pieces: pd.DataFrame) -> pd.DataFrame:
         from pyspark import TaskContext
 
-        if not len(rows):
-            return pd.DataFrame(columns=[c.split()[0] for c in GRADIENT.split(", ")])
-        w = np.concatenate([np.frombuffer(v).reshape(1 + slots, -1)[0] for v in pieces.sort_values("slice")["v"]])
-        frames = (rows.iloc[a : a + 10_000] for a in range(0, len(rows), 10_000))
-        out = list(worker.gradient(frames, w, it, int(key[0]), TaskContext.get().attemptNumber()))
-        return out[0]
+        pieces = pieces.sort_values("slice")
+        own = pieces[pieces["own"].astype(bool)]
+        out = [pd.DataFrame({"slice": own["slice"], "kind": 0, "n": 0.0, "loss": 0.0, "ms": 0.0, "v": own["v"]})]
+        if len(rows):
+            w = np.concatenate([np.frombuffer(v).reshape(1 + slots if mine else 1, -1)[0] for v, mine in zip(pieces["v"], pieces["own"])])
+            frames = (rows.iloc[a : a + 10_000] for a in range(0, len(rows), 10_000))
+            out += [g.drop(columns="producer").assign(kind=1) for g in worker.gradient(frames, w, it, int(key[0]), TaskContext.get().attemptNumber())]
+        return pd.concat(out, ignore_index=True)[TAGGED_COLUMNS]
 
-    return samples.select("part", "x", "y").groupBy("part").cogroup(replicas.groupBy("part")).applyInPandas(run, GRADIENT)
+    return samples.select("part", "x", "y").groupBy("part").cogroup(replicas.groupBy("part")).applyInPandas(run, TAGGED)
 
 
 class Owner:
@@ -157,24 +168,28 @@ class Owner:
             yield finish(*now)
 
 
-def tagged(grads: DataFrame, state: DataFrame, n: int) -> DataFrame:
+def tagged(grads: DataFrame, state: DataFrame) -> DataFrame:
     """Gradient and state rows as one union, so that one exchange brings both to the slice's owner."""
     zero = F.lit(0.0)
     own = state.select("slice", F.lit(0).alias("kind"), zero.alias("n"), zero.alias("loss"), zero.alias("ms"), "v")
-    return own.unionByName(grads.select("slice", F.lit(1).alias("kind"), "n", "loss", "ms", "v")).repartitionById(n, "slice").sortWithinPartitions("slice", "kind")
+    return own.unionByName(grads.select("slice", F.lit(1).alias("kind"), "n", "loss", "ms", "v"))
+
 
+def at_owner(rows: DataFrame, n: int) -> DataFrame:
+    return rows.repartitionById(n, "slice").sortWithinPartitions("slice", "kind")
 
-def update_packed(grads: DataFrame, state: DataFrame, owner: Owner, it: int, n: int) -> DataFrame:
+
+def update_packed(rows: DataFrame, owner: Owner, it: int, n: int) -> DataFrame:
     def run(frames):
         def finish(s, held, total, count, loss, ms, size):
             return pd.DataFrame({"slice": [s], "n": [count], "loss": [loss], "ms": [ms], "bytes": [size], "v": [owner.moved(held, total, count, it).tobytes()]})
 
         yield from owner.settle(frames, finish)
 
-    return tagged(grads, state, n).mapInPandas(run, STATE)
+    return at_owner(rows, n).mapInPandas(run, STATE)
 
 
-def update_scaled(grads: DataFrame, state: DataFrame, owner: Owner, it: int, n: int, layer_of: np.ndarray, edges: list[int], clip_norm: float | None) -> DataFrame:
+def update_scaled(rows: DataFrame, owner: Owner, it: int, n: int, layer_of: np.ndarray, edges: list[int], clip_norm: float | None) -> DataFrame:
     """For what needs norms across slices: sums first, then norms (a few numbers a slice) at the driver, then the step."""
     count_layers = int(layer_of.max()) + 1 if len(layer_of) else 1
     wise = isinstance(owner.optim, LayerWise)
@@ -190,7 +205,7 @@ def update_scaled(grads: DataFrame, state: DataFrame, owner: Owner, it: int, n:
 
         yield from owner.settle(frames, finish)
 
-    added = kept(tagged(grads, state, n).mapInPandas(add, STATE + ", g binary, norms array<double>"))
+    added = kept(at_owner(rows, n).mapInPandas(add, STATE + ", g binary, norms array<double>"))
     norms = np.sum([r["norms"] for r in added.select("norms").collect()], axis=0)
     w_norm, u_norm = np.sqrt(norms[:count_layers]), np.sqrt(norms[count_layers:])
     shrink = 1.0 if clip_norm is None else min(1.0, clip_norm / max(float(np.sqrt((u_norm**2).sum())), 1e-300))
@@ -250,12 +265,15 @@ def train_net(samples: DataFrame, net, optim: Optimizer, rounds: int, parts: int
                 if buckets > 1:
                     turns = {((it - 1) * accumulate + j) % buckets for j in range(accumulate)}
                     batch = held.filter(F.col("bucket").isin(*turns))
-                grads = forward_backward(batch, worker, w, it) if publish == "driver" else paired_gradients(batch, pending, worker, parts, len(names), it)
+                if publish == "driver":
+                    sent = tagged(forward_backward(batch, worker, w, it), pending)
+                else:
+                    sent = paired_gradients(batch, pending, worker, parts, len(names), it)
                 if measure:
-                    grads = grads.persist()
-                    grads.count()
+                    sent = sent.persist()
+                    sent.count()
                     gradient_s = time.time() - began
-                pending = update_scaled(grads, pending, owner, it, n, layer_of, layout.edges, clip_norm) if across else update_packed(grads, pending, owner, it, n)
+                pending = update_scaled(sent, owner, it, n, layer_of, layout.edges, clip_norm) if across else update_packed(sent, owner, it, n)
                 noted.append(it)
             if publish == "store":
                 store.publish(pending, it)
@@ -268,7 +286,7 @@ def train_net(samples: DataFrame, net, optim: Optimizer, rounds: int, parts: int
                 state = packed_state(spark, layout, w, slots, names)
             wall = 1000 * (time.time() - began)
             if measure:
-                grads.unpersist()
+                sent.unpersist()
             said = next(iter(rows))
             for k in noted:
                 last = k == noted[-1]

@@ -390,3 +390,132 @@ def w15_connector(spark, d):
 
     df = load(spark, d, "embeddings").select(F.col("vec_id").alias("id"), F.transform("embedding", lambda v: v.cast("double")).alias("x"))
     return score_outside(df, WeightStore.temporary(spark).folder, 64).select("id", F.round("score", 6).alias("score"))
+
+
+# ---- the recommender to a goal: true ids, drawn negatives, the trained model ranked
+
+
+def taste_samples(spark, d, drawn: int = 4):
+    """Every taste but each user's held-out one as 1, and ``drawn`` seeded items a taste that the user never had as 0."""
+    own = taste(spark, d).select("u", "i").join(holdout(spark, d), ["u", "i"], "left_anti")
+    items = F.broadcast(load(spark, d, "part").agg(F.count(F.lit(1)).alias("items")))  # one row
+    other = own.withColumn("k", F.explode(F.sequence(F.lit(1), F.lit(drawn)))).crossJoin(items)
+    other = other.select("u", ((F.col("i") * 7 + F.col("u") * 13 + F.col("k") * 1009 + F.col("k")) % F.col("items")).alias("i")).distinct()
+    other = other.join(interactions(spark, d).select("u", "i"), ["u", "i"], "left_anti")
+    both = own.withColumn("y", F.lit(1.0)).unionByName(other.withColumn("y", F.lit(0.0)))
+    return both.select((F.col("u") * 1_000_003 + F.col("i")).alias("id"), F.array(F.col("u").cast("double"), F.col("i").cast("double")).alias("x"), F.array("y").alias("y"))
+
+
+def ranked(spark, d, net, theta, k: int = 10):
+    """Where the model puts each user's held-out item among 99 seeded ones that the user never had."""
+    h = holdout(spark, d)
+    every = h.select("u", "i", F.lit(True).alias("own")).unionByName(negatives(spark, d, 99).select("u", "i").distinct().withColumn("own", F.lit(False)))
+    scored = predict(every.withColumn("x", F.array(F.col("u").cast("double"), F.col("i").cast("double"))), net, theta).select("u", "i", "own", F.get("scores", 0).alias("s"))
+    mine = F.max(F.when(F.col("own"), F.col("s")))
+    per_user = scored.groupBy("u").agg(mine.alias("mine"), F.collect_list(F.when(~F.col("own"), F.col("s"))).alias("others"))  # 99 numbers a user
+    above = F.size(F.filter("others", lambda v: v >= F.col("mine")))
+    gain = per_user.select(above.alias("above"))
+    return gain.agg(F.count(F.lit(1)).alias("users"), F.avg((F.col("above") < k).cast("double")).alias("hr"), F.avg(F.when(F.col("above") < k, 1 / F.log2(F.col("above") + 2.0)).otherwise(0.0)).alias("ndcg"))
+
+
+def recommender(spark, d, kind: str = "neumf", width: int = 8):
+    users = load(spark, d, "customer").agg(F.max("c_custkey")).first()[0] or 0
+    items = load(spark, d, "part").agg(F.max("p_partkey")).first()[0] or 0
+    return models.NeuMf(users + 1, items + 1, width, 8, kind)
+
+
+@B.add("w2_trained_ranking")
+def w2_trained_ranking(spark, d):
+    """The joint model over all tastes with true ids, its weights published by tasks; hits and gain of the held-out items before and after."""
+    net = recommender(spark, d)
+    samples = taste_samples(spark, d)
+    before = ranked(spark, d, net, net.init(0)).withColumn("rounds", F.lit(0).cast("long"))
+    out = train_net(samples, net, optim.Adam(0.05), 15, publish="replicate", group=5)
+    return before.unionByName(ranked(spark, d, net, out.weights).withColumn("rounds", F.lit(out.rounds).cast("long")))
+
+
+def train_to_goal(spark, d, goal: float, most: int = 60, every: int = 5, **options):
+    """Rounds until HR@10 of the held-out items reaches the goal: (result, history)."""
+    net = recommender(spark, d)
+    stop = optim.TargetMetric(lambda w: ranked(spark, d, net, w).first()["hr"], goal, patience=4)
+    return train_net(taste_samples(spark, d), net, optim.Adam(0.05), most, publish="replicate", group=every, stop=stop, **options), stop.history
+
+
+# ---- the detector and the descriptor as networks
+
+
+def boxed_pictures(spark, d):
+    """Whole pictures, and the true box of the bright tile."""
+    tile = F.col("pic") % 16
+    corner = [tile % 4 * 8, F.floor(tile / 4) * 8, tile % 4 * 8 + 8, F.floor(tile / 4) * 8 + 8]
+    return pictures(spark, d).select(F.col("pic").alias("id"), F.col("px").alias("x"), F.array(*[c.cast("double") for c in corner]).alias("y"))
+
+
+def mean_iou(found):
+    """(id, y, scores: x0, y0, x1, y1, score) to the mean overlap and the share at a half or more."""
+    g = lambda c, k: F.get(c, k)
+    side = lambda k: F.greatest(F.lit(0.0), F.least(g("y", k + 2), g("scores", k + 2)) - F.greatest(g("y", k), g("scores", k)))
+    area = lambda c: (g(c, 2) - g(c, 0)) * (g(c, 3) - g(c, 1))
+    inter = side(0) * side(1)
+    iou = inter / (area("y") + area("scores") - inter)
+    return found.agg(F.count(F.lit(1)).alias("pictures"), F.avg(iou).alias("mean_iou"), F.avg((iou >= 0.5).cast("double")).alias("found"))
+
+
+@B.add("w8_detector_trained")
+def w8_detector_trained(spark, d):
+    """The detector trained on the boxes: overlap of its best box with the true one, before and after."""
+    net, data = models.Detector(32, 4), boxed_pictures(spark, d)
+    out = train_net(data, net, optim.Adam(0.05), 30, publish="replicate", group=10)
+    rows = [mean_iou(predict(data, net, w)).withColumn("rounds", F.lit(k).cast("long")) for k, w in ((0, net.init(0)), (out.rounds, out.weights))]
+    return rows[0].unionByName(rows[1])
+
+
+@B.add("w8_network_pipeline")
+def w8_network_pipeline(spark, d):
+    """Detect, best box, crop to eight by eight, describe in bits: two trained networks, one pass over the pictures."""
+    data = boxed_pictures(spark, d)
+    detector, describer = models.Detector(32, 4), models.BitDescriptor(8, 16)
+    found = train_net(data, detector, optim.Adam(0.05), 30, publish="replicate", group=10).weights
+    told = train_net(images(spark, d).withColumn("y", F.array(F.lit(0.0))), describer, optim.Adam(0.01), 6, publish="replicate", group=3).weights
+    boxes = predict(data, detector, found)
+    at = lambda k: F.greatest(F.lit(0), F.least(F.lit(24), F.round(F.get("scores", k)))).cast("int")
+    crop = F.transform(F.sequence(F.lit(0), F.lit(63)), lambda j: F.get("x", ((F.col("y0") + F.floor(j / 8)) * 32 + F.col("x0") + j % 8).cast("int")))
+    crops = boxes.withColumn("x0", at(0)).withColumn("y0", at(1)).select(F.col("id").alias("pic"), "x0", "y0", crop.alias("px"))
+    bits = F.aggregate(F.transform("scores", lambda v: (v > 0).cast("long")), F.lit(0).cast("long"), lambda a, v: a * 2 + v)
+    return predict(crops, describer, told, "px").select("pic", F.col("x0").cast("long").alias("x0"), F.col("y0").cast("long").alias("y0"), bits.alias("bits"))
+
+
+@B.add("f_resize_bilinear", """WITH p AS (SELECT vec_id, embedding, r, c, r * 7.0 / 3 AS y, c * 7.0 / 3 AS x FROM embeddings, (SELECT unnest(range(0, 4)) AS r), (SELECT unnest(range(0, 4)) AS c)),
+  q AS (SELECT *, least(floor(y), 6)::INTEGER AS i, least(floor(x), 6)::INTEGER AS j FROM p)
+  SELECT vec_id, (r * 4 + c)::BIGINT AS cell, round((1 - (y - i)) * ((1 - (x - j)) * embedding[i * 8 + j + 1]::DOUBLE + (x - j) * embedding[i * 8 + j + 2]::DOUBLE) + (y - i) * ((1 - (x - j)) * embedding[i * 8 + j + 9]::DOUBLE + (x - j) * embedding[i * 8 + j + 10]::DOUBLE), 5) AS v FROM q""")
+def f_resize_bilinear(spark, d):
+    """Eight by eight to four by four, corners on corners, each pixel from its four neighbours."""
+    def pixel(at):
+        y, x = F.floor(at / 4) * 7.0 / 3, (at % 4) * 7.0 / 3
+        i, j = F.least(F.floor(y), F.lit(6)).cast("int"), F.least(F.floor(x), F.lit(6)).cast("int")
+        e = lambda a, b: F.get("embedding", (i + a) * 8 + j + b).cast("double")
+        dy, dx = y - i, x - j
+        return (1 - dy) * ((1 - dx) * e(0, 0) + dx * e(0, 1)) + dy * ((1 - dx) * e(1, 0) + dx * e(1, 1))
+
+    p = load(spark, d, "embeddings").select("vec_id", F.posexplode(F.transform(F.sequence(F.lit(0), F.lit(15)), pixel)).alias("cell", "v"))
+    return p.select("vec_id", F.col("cell").cast("long").alias("cell"), F.round("v", 5).alias("v"))
+
+
+@B.add("f_normalize", """WITH s AS (SELECT vec_id, list_transform(embedding, lambda v: v::DOUBLE) AS x FROM embeddings), m AS (SELECT vec_id, x, list_sum(x) / 64 AS mean FROM s), d AS (SELECT *, sqrt(list_sum(list_transform(x, lambda v: (v - mean) * (v - mean))) / 64) AS dev FROM m)
+  SELECT vec_id, j::BIGINT AS pos, round((x[j + 1] - mean) / dev, 5) AS v FROM d, (SELECT unnest(range(0, 64)) AS j)""")
+def f_normalize(spark, d):
+    """A channel brought to mean 0 and spread 1, picture by picture."""
+    e = load(spark, d, "embeddings").select("vec_id", F.transform("embedding", lambda v: v.cast("double")).alias("x"))
+    m = e.withColumn("mean", F.aggregate("x", F.lit(0.0), lambda a, v: a + v) / 64)
+    s = m.withColumn("dev", F.sqrt(F.aggregate("x", F.lit(0.0), lambda a, v: a + (v - F.col("mean")) * (v - F.col("mean"))) / 64))
+    p = s.select("vec_id", F.posexplode(F.transform("x", lambda v: (v - F.col("mean")) / F.col("dev"))).alias("pos", "v"))
+    return p.select("vec_id", F.col("pos").cast("long").alias("pos"), F.round("v", 5).alias("v"))
+
+
+@B.add("j_asof_click", """WITH p AS (SELECT event_id, user_id, ts FROM events WHERE event_type = 'purchase'), c AS (SELECT event_id, user_id, ts FROM events WHERE event_type = 'click')
+  SELECT p.event_id AS purchase, c.event_id AS click FROM p ASOF LEFT JOIN c ON p.user_id = c.user_id AND p.ts >= c.ts""")
+def j_asof_click(spark, d):
+    """Each purchase with its user's last click not after it: one union, one window by user, no pairs."""
+    e = load(spark, d, "events").filter("event_type in ('purchase', 'click')").select("event_id", "user_id", "ts", (F.col("event_type") == "click").alias("seen"))
+    last = Window.partitionBy("user_id").orderBy("ts", F.desc("seen"), "event_id").rowsBetween(Window.unboundedPreceding, 0)
+    return e.withColumn("click", F.last(F.when(F.col("seen"), F.col("event_id")), ignorenulls=True).over(last)).filter("not seen").select(F.col("event_id").alias("purchase"), "click")

@@ -8,7 +8,8 @@ from pyspark.sql import functions as F
 
 from slicegrad.operators import slices
 from slicegrad.operators.train import Glm, to_samples
-from slicegrad.plans.core import _FEATURES_SQL, _SCORES_SQL, K, P, predicted_langs
+from slicegrad.plans.core import _PREDICTED, K, P, predicted_langs
+from slicegrad.plans.apps import _BITS_SQL, descriptors
 from slicegrad.plans.kit import Book
 from slicegrad.sources.tables import VEC8_SQL, load, vec8
 
@@ -34,16 +35,16 @@ def m_log_loss(spark, d):
     return load(spark, d, "labels").agg(F.round(-F.avg(F.col("quality") * F.log(p) + (1 - F.col("quality")) * F.log(1 - p)), 6).alias("log_loss"))
 
 
-@B.add("m_class_metrics", f"""WITH {_FEATURES_SQL}, {_SCORES_SQL}, c AS (SELECT l AS class, sum(CASE WHEN lang = l AND predicted = l THEN 1 ELSE 0 END) AS tp, sum(CASE WHEN lang <> l AND predicted = l THEN 1 ELSE 0 END) AS fp, sum(CASE WHEN lang = l AND predicted <> l THEN 1 ELSE 0 END) AS fn
+@B.add("m_class_metrics", f"""WITH best AS ({_PREDICTED}), c AS (SELECT l AS class, sum(CASE WHEN lang = l AND predicted = l THEN 1 ELSE 0 END) AS tp, sum(CASE WHEN lang <> l AND predicted = l THEN 1 ELSE 0 END) AS fp, sum(CASE WHEN lang = l AND predicted <> l THEN 1 ELSE 0 END) AS fn
     FROM best, (SELECT unnest(['de', 'en', 'es', 'fr']) AS l) GROUP BY 1)
-  SELECT class, tp::BIGINT AS tp, fp::BIGINT AS fp, fn::BIGINT AS fn, round(2.0 * tp / (2 * tp + fp + fn), 6) AS f1, round(2.0 * sum(tp) OVER () / (2 * sum(tp) OVER () + sum(fp) OVER () + sum(fn) OVER ()), 6) AS micro_f1, round(avg(2.0 * tp / (2 * tp + fp + fn)) OVER (), 6) AS macro_f1 FROM c""")
+  SELECT class, tp::BIGINT AS tp, fp::BIGINT AS fp, fn::BIGINT AS fn, round(2.0 * tp / greatest(2 * tp + fp + fn, 1), 6) AS f1, round(2.0 * sum(tp) OVER () / (2 * sum(tp) OVER () + sum(fp) OVER () + sum(fn) OVER ()), 6) AS micro_f1, round(avg(2.0 * tp / greatest(2 * tp + fp + fn, 1)) OVER (), 6) AS macro_f1 FROM c""")
 def m_class_metrics(spark, d):
     p = predicted_langs(spark, d).groupBy("lang", "predicted").agg(F.count(F.lit(1)).alias("n"))
     per = p.withColumn("class", F.explode(F.array(*map(F.lit, ["de", "en", "es", "fr"]))))
     t, g = F.col("lang") == F.col("class"), F.col("predicted") == F.col("class")
     c = per.groupBy("class").agg(*[F.sum(F.when(x, F.col("n")).otherwise(0)).alias(k) for k, x in (("tp", t & g), ("fp", ~t & g), ("fn", t & ~g))])
     all_ = Window.partitionBy(F.lit(0))  # one row a class
-    f1 = 2.0 * F.col("tp") / (2 * F.col("tp") + F.col("fp") + F.col("fn"))
+    f1 = 2.0 * F.col("tp") / F.greatest(2 * F.col("tp") + F.col("fp") + F.col("fn"), F.lit(1))
     s = lambda k: F.sum(k).over(all_)
     return c.select("class", "tp", "fp", "fn", F.round(f1, 6).alias("f1"), F.round(2.0 * s("tp") / (2 * s("tp") + s("fp") + s("fn")), 6).alias("micro_f1"), F.round(F.avg(f1).over(all_), 6).alias("macro_f1"))
 
@@ -130,3 +131,16 @@ def m_cluster_cost(spark, d):
     c = spark.createDataFrame([(5,), (10,), (20,), (40,)], "cards long")
     n = F.col("cards")
     return c.select("cards", F.round(0.5 * 20 / n + 0.5 * 20 / n, 6).alias("tied"), F.round(0.5 * 20 / 1200 + 0.5 * 20 / n, 6).alias("free_reading"))
+
+
+@B.add("m_descriptor_retrieval", f"""WITH {_BITS_SQL}, r AS (SELECT q.pic AS q, x.pic, x.pic % 16 = q.pic % 16 AS hit, row_number() OVER (PARTITION BY q.pic ORDER BY bit_count(xor(q.bits, x.bits)), x.pic) AS rk FROM bits q JOIN bits x ON x.pic <> q.pic WHERE q.pic % 10 = 0),
+  h AS (SELECT *, sum(hit::INTEGER) OVER (PARTITION BY q ORDER BY rk) AS hits FROM r)
+  SELECT q, count(*) FILTER (hit AND rk <= 10) AS hits10, round(coalesce(avg(hits * 1.0 / rk) FILTER (hit), 0), 6) AS ap FROM h GROUP BY 1""")
+def m_descriptor_retrieval(spark, d):
+    """Pictures whose number is divisible by ten ask for those with the same planted tile, by Hamming distance: average precision, hits in ten."""
+    x = descriptors(spark, d)
+    q = F.broadcast(x.filter("pic % 10 = 0").select(F.col("pic").alias("q"), F.col("bits").alias("qb")))
+    pairs = x.join(q, F.col("pic") != F.col("q")).select("q", "pic", F.bit_count(F.col("bits").bitwiseXOR(F.col("qb"))).alias("d"), (F.col("pic") % 16 == F.col("q") % 16).alias("hit"))
+    w = Window.partitionBy("q").orderBy("d", "pic")
+    r = pairs.select("q", "hit", F.row_number().over(w).alias("rk"), F.sum(F.col("hit").cast("int")).over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("hits"))
+    return r.groupBy("q").agg(F.count(F.when(F.col("hit") & (F.col("rk") <= 10), 1)).alias("hits10"), F.round(F.coalesce(F.avg(F.when(F.col("hit"), F.col("hits") * 1.0 / F.col("rk"))), F.lit(0.0)), 6).alias("ap"))

@@ -1,19 +1,19 @@
 """Streams: windows, sessions, state, joins and routed classification over files that arrive.
 
-Each query runs all that is available into a table in memory and returns it. Append mode leaves windows out that the
+Each query runs all that is available into files of the shared folder and returns them. Append mode leaves windows out that the
 last watermark has not closed.
 """
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from slicegrad.functions.arrays import dot
+from slicegrad.plans.core import _LANG_S, LANGS, lang_samples, softmax_rounds, softmax_sql, word_counts
 from slicegrad.plans.kit import Book
+from slicegrad.sources.store import shared_folder
 from slicegrad.sources.tables import load
 
 B = Book()
@@ -33,13 +33,23 @@ def timed(spark, sf_dir, delay: str = "1 hour") -> DataFrame:
 
 
 def drained(df: DataFrame, mode: str = "append") -> DataFrame:
-    """Run all that is available and return what came out."""
+    """Run all that is available and return what came out, from files in the shared folder.
+
+    An appending stream writes files itself; one that updates or completes writes each batch's rows, and the last row or
+    table counts: an update keeps every batch's, a complete one the last only.
+    """
     spark = df.sparkSession
-    name = f"sg_{uuid.uuid4().hex}"
-    where = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="slicegrad-stream-")
-    query = df.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", f"{where.rstrip('/')}/{name}").trigger(availableNow=True).start()
-    query.awaitTermination()
-    return spark.table(name)
+    where = shared_folder(spark, "stream")
+    out = df.writeStream.outputMode(mode).option("checkpointLocation", f"{where}/check").trigger(availableNow=True)
+    if mode == "append":
+        out.format("parquet").start(f"{where}/out").awaitTermination()
+        return spark.read.schema(df.schema).parquet(f"{where}/out")
+
+    def write(batch: DataFrame, epoch: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{where}/out/{epoch if mode == 'update' else 0}")
+
+    out.foreachBatch(write).start().awaitTermination()
+    return spark.read.schema(df.schema).option("recursiveFileLookup", True).parquet(f"{where}/out")
 
 
 def hours(c):
@@ -50,7 +60,6 @@ CLOSED = "(SELECT max(ts) - INTERVAL 1 HOUR FROM events)"
 
 
 @B.add("st_tumbling", f"SELECT date_diff('hour', {EPOCH}, date_trunc('hour', ts))::BIGINT AS hour, count(*) AS n FROM events GROUP BY date_trunc('hour', ts) HAVING date_trunc('hour', ts) + INTERVAL 1 HOUR <= {CLOSED}")
-@B.add("w12_windowed_load", f"SELECT date_diff('hour', {EPOCH}, date_trunc('hour', ts))::BIGINT AS hour, count(*) AS n FROM events GROUP BY date_trunc('hour', ts) HAVING date_trunc('hour', ts) + INTERVAL 1 HOUR <= {CLOSED}")
 def st_tumbling(spark, d):
     out = drained(timed(spark, d).groupBy(F.window("ts", "1 hour")).agg(F.count(F.lit(1)).alias("n")))
     return out.select(hours(F.col("window.start")).alias("hour"), "n")
@@ -68,7 +77,6 @@ SESSION_SQL = f"""WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PA
 
 
 @B.add("st_session", SESSION_SQL)
-@B.add("w12_sessions", SESSION_SQL)
 def st_session(spark, d):
     out = drained(timed(spark, d).groupBy("user_id", F.session_window("ts", "2 hours")).agg(F.count(F.lit(1)).alias("n")))
     return out.select("user_id", "n")
@@ -82,7 +90,6 @@ def st_dedup(spark, d):
 
 
 @B.add("st_late_rows", "SELECT count(*) AS kept FROM events")
-@B.add("w12_late", "SELECT count(*) AS kept FROM events")
 def st_late_rows(spark, d):
     """In order, nothing is late."""
     out = drained(timed(spark, d).groupBy(F.window("ts", "1 hour")).agg(F.count(F.lit(1)).alias("n")), "update")
@@ -137,37 +144,54 @@ def st_online_weights(spark, d):
     return drained(rows.groupBy("event_type").applyInPandasWithState(step, "event_type string, w0 double, w1 double, n long", "w0 double, w1 double, n long", "update", GroupStateTimeout.NoTimeout), "update")
 
 
-#: Frequent words by language: routes go to the language with most of them, ties to the first by name.
-STOP = {"de": ["der", "die", "und", "ist"], "en": ["the", "and", "of", "to"], "es": ["el", "que", "los", "una"], "fr": ["le", "les", "des", "est"]}
+def trained_routes(spark, sf_dir) -> DataFrame:
+    """One row: the weights that the text pipeline learns, to go with every call."""
+    w = softmax_rounds(lang_samples(spark, sf_dir), 4, 3)
+    return spark.createDataFrame([([[float(v) for v in r] for r in w],)], "w array<array<double>>")
 
 
-def routed(calls: DataFrame) -> DataFrame:
-    words = F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))
-    count = lambda own: F.size(F.filter(words, lambda w: w.isin(own)))
-    best = F.array_max(F.array(*[F.struct(count(own).alias("n"), F.lit(-k).alias("k"), F.lit(lang).alias("route")) for k, (lang, own) in enumerate(STOP.items())]))
-    return calls.filter("role = 'user'").select("conv_id", "turn", best["route"].alias("route"), best["n"].cast("long").alias("score"))
+def routed(calls: DataFrame, weights: DataFrame) -> DataFrame:
+    """Calls of users, each to the language that the trained model gives it; calls without a word go to the first."""
+    said = calls.filter("role = 'user'").select("conv_id", "turn", word_counts(F.col("text")).alias("c")).crossJoin(F.broadcast(weights))
+    z = said.withColumn("z", F.transform("w", lambda r: dot(r, F.col("c"))))
+    best = F.when(F.aggregate("c", F.lit(0.0), lambda a, v: a + v) > 0, F.array_position("z", F.array_max("z")) - 1).otherwise(0).cast("int")
+    return z.select("conv_id", "turn", F.get(F.array(*map(F.lit, LANGS)), best).alias("route"))
 
 
-_ROUTE_SQL = "WITH t AS (SELECT conv_id, turn, regexp_extract_all(lower(text), '[a-z]+') AS w FROM conversations WHERE role = 'user'), s AS (" + " UNION ALL ".join(
-    f"SELECT conv_id, turn, '{lang}' AS route, {k} AS k, len(list_filter(w, lambda x: x IN ({', '.join(repr(x) for x in own)})))::BIGINT AS score FROM t" for k, (lang, own) in enumerate(STOP.items())
-) + "), b AS (SELECT conv_id, turn, route, score FROM s QUALIFY row_number() OVER (PARTITION BY conv_id, turn ORDER BY score DESC, k) = 1)"
+_ROUTE_SQL = softmax_sql(_LANG_S, 4, """SELECT conv_id, turn, ['de', 'en', 'es', 'fr'][CASE WHEN list_sum(n) > 0 THEN list_position(z, list_max(z)) ELSE 1 END] AS route FROM (
+    SELECT conv_id, turn, n, list_transform(range(0, 4), lambda c: list_inner_product(t.w[c * 16 + 1:c * 16 + 16], n)) AS z FROM t, (
+      SELECT conv_id, turn, list_transform(range(0, 16), lambda b: len(list_filter(own, lambda v: v = b))::DOUBLE) AS n FROM (
+        SELECT conv_id, turn, list_transform(regexp_extract_all(text, '[A-Za-z]+'), lambda w: ('0x' || substr(md5(lower(w)), 1, 8))::BIGINT % 16) AS own FROM conversations WHERE role = 'user')) WHERE it = 3)""")
 
 
-@B.add("w12_stream_classify", _ROUTE_SQL + " SELECT conv_id, turn, route, score FROM b")
+@B.add("w12_stream_classify", _ROUTE_SQL)
 def w12_stream_classify(spark, d):
-    """No state and no shuffle: what a batch would say, as calls arrive."""
-    return drained(routed(stream(spark, d, "conversations")))
+    """No state and no shuffle: what the trained model says in a batch, as calls arrive."""
+    return drained(routed(stream(spark, d, "conversations"), trained_routes(spark, d)))
 
 
-@B.add("w12_route_counts", _ROUTE_SQL + " SELECT route, count(*) AS n FROM b GROUP BY 1")
+@B.add("w12_route_counts", f"SELECT route, count(*) AS n FROM ({_ROUTE_SQL}) GROUP BY 1")
 def w12_route_counts(spark, d):
-    return drained(routed(stream(spark, d, "conversations")).groupBy("route").agg(F.count(F.lit(1)).alias("n")), "complete")
+    return drained(routed(stream(spark, d, "conversations"), trained_routes(spark, d)).groupBy("route").agg(F.count(F.lit(1)).alias("n")), "complete")
+
+
+@B.add("w12_stream_rates")
+def w12_stream_rates(spark, d):
+    """Rows, rows a second, seconds a batch and late rows that went, as the stream's own progress tells."""
+    where = shared_folder(spark, "stream")
+    counted = timed(spark, d).groupBy(F.window("ts", "1 hour")).agg(F.count(F.lit(1)).alias("n"))
+    query = counted.writeStream.outputMode("append").format("parquet").option("checkpointLocation", f"{where}/check").trigger(availableNow=True).start(f"{where}/out")
+    query.awaitTermination()
+    seen = [p for p in query.recentProgress]
+    late = [sum(int(o["numRowsDroppedByWatermark"]) for o in p["stateOperators"]) for p in seen]
+    rows = [(int(p["batchId"]), int(p["numInputRows"]), float(p["processedRowsPerSecond"] or 0.0), p["durationMs"].get("triggerExecution", 0) / 1000, n) for p, n in zip(seen, late)]
+    return spark.createDataFrame(rows, "batch long, n_rows long, rows_per_s double, seconds double, late long")
 
 
-def route_sink(spark: SparkSession, sf_dir: str, folder: str, checkpoint: str) -> None:
+def route_sink(spark: SparkSession, sf_dir: str, folder: str, checkpoint: str, weights: DataFrame) -> None:
     """Calls to one folder a route; a batch that is tried again writes over its own files."""
     def write(batch: DataFrame, epoch: int) -> None:
         batch.write.mode("overwrite").partitionBy("route").parquet(f"{folder}/epoch={epoch}")
 
-    query = routed(stream(spark, sf_dir, "conversations")).writeStream.foreachBatch(write).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    query = routed(stream(spark, sf_dir, "conversations"), weights).writeStream.foreachBatch(write).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     query.awaitTermination()

@@ -36,10 +36,11 @@ def test_late_rows_go(spark, tmp_path):
 
 
 def test_routes_are_stored_once(spark, tmp_path):
+    weights = streams.trained_routes(spark, SF)
     for _ in range(2):  # the second start finds nothing new
-        streams.route_sink(spark, SF, str(tmp_path / "out"), str(tmp_path / "check"))
+        streams.route_sink(spark, SF, str(tmp_path / "out"), str(tmp_path / "check"), weights)
     stored = spark.read.parquet(str(tmp_path / "out"))
-    batch = streams.routed(spark.read.parquet(f"{SF}/conversations.parquet"))
+    batch = streams.routed(spark.read.parquet(f"{SF}/conversations.parquet"), weights)
     assert stored.count() == batch.count()
     assert stored.select("conv_id", "turn", "route").exceptAll(batch.select("conv_id", "turn", "route")).isEmpty()
 
