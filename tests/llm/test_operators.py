@@ -398,7 +398,7 @@ def test_vectors_are_brute_force(spark, monkeypatch):
         rows.append((i, rng.normal(size=16).tolist(), int(rng.integers(0, 2))))
     for i in range(120, 220):  # one crowd, some equal
         rows.append((i, (np.array(rows[0][1]) + rng.normal(size=16) * (0.08 if i % 3 else 0)).tolist(), rows[0][2]))
-    odd = [(300, None, 1), (301, [0.0] * 16, 1), (302, [float("nan")] + [1.0] * 15, 1), (303, [None] + [1.0] * 15, 1), (304, [1.0] * 16, None), (305, [], 1), (306, [1.0, 2.0, 3.0], 1), (307, [2.0, 4.0, 6.0], 1), (None, rows[1][1], rows[1][2]), (308, [1e200] * 16, 0), (309, [1e-200] * 16, 0)]
+    odd = [(300, None, 1), (301, [0.0] * 16, 1), (302, [float("nan")] + [1.0] * 15, 1), (303, [None] + [1.0] * 15, 1), (304, [1.0] * 16, None), (305, [], 1), (306, [1.0, 2.0, 3.0], 1), (307, [2.0, 4.0, 6.0], 1), (None, rows[1][1], rows[1][2]), (308, [1e200] * 16, 0), (309, [1e-200] * 16, 0), (310, [0.0] * 15 + [1.0], 1), (311, [-0.0] * 15 + [1.0], 1)]
     df = spark.createDataFrame(rows + odd, "vec_id long, embedding array<double>, label int")
     got = {r["vec_id"]: tuple(r) for r in vectors.near_vectors(df.withColumn("cid", F.lit(1)).withColumn("copies", F.lit(2))).collect()}
     good = [r for r in rows + odd if r[1] and r[2] is not None and all(v is not None and np.isfinite(v) for v in r[1]) and any(r[1])]
@@ -424,7 +424,7 @@ def test_vectors_are_brute_force(spark, monkeypatch):
         assert got[r[0]][1] <= links[k]
     assert found >= 0.9 * total
     assert all(got[i][1] == 0 and got[i][2] == i and got[i][3] for i in range(300, 306))
-    assert got[306][1] == got[307][1] == 1 and got[308][1] == 1
+    assert got[306][1] == got[307][1] == 1 and got[308][1] == 1 and got[310][1] == got[311][1] == 1 and got[311][2] == 310
     assert got[None][2] == 1 and not got[None][3]
 
 
