@@ -4,10 +4,10 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from slicegrad.plans import apps, core, metrics, relational
+from slicegrad.plans import apps, core, files, metrics, relational
 from slicegrad.streaming import queries as streams
 
-_MODULES: list = [core, relational, apps, metrics, streams]
+_MODULES: list = [core, relational, apps, metrics, files, streams]
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
