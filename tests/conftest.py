@@ -16,6 +16,8 @@ def spark(tmp_path_factory):
         .config("spark.sql.session.timeZone", "UTC")
         .config("spark.ui.enabled", "false")
         .config("spark.driver.memory", "4g")
+        .config("spark.scheduler.barrier.maxConcurrentTasksCheck.interval", "1s")  # asked 40 times in 10 minutes by default
+        .config("spark.scheduler.barrier.maxConcurrentTasksCheck.maxFailures", "3")
         .config("spark.checkpoint.dir", str(tmp_path_factory.mktemp("checkpoints")))
         .getOrCreate()
     )
