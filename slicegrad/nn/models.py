@@ -242,12 +242,15 @@ class ConvLstm(Net):
 
 
 class NeuMf(Net):
-    """x: (user, item). gmf: weighed product of vectors; mlp: tower on both; neumf: both with vectors of their own."""
+    """x: (user, item). gmf: weighed product of vectors; mlp: tower on both; neumf: both with vectors of their own.
+
+    Vectors start within ``start`` of zero: with large ones the model learns pairs by heart before it learns what is common.
+    """
 
     loss = "bce"
 
-    def __init__(self, users, items, d, tower=8, kind="neumf"):
-        self.kind = kind
+    def __init__(self, users, items, d, tower=8, kind="neumf", start=1.0):
+        self.kind, self.start = kind, start
         self.shapes = {}
         if kind in ("gmf", "neumf", "mf"):
             self.shapes |= {"emb_gu": (users, d), "emb_gi": (items, d)}
@@ -256,6 +259,11 @@ class NeuMf(Net):
         width = {"gmf": d, "mlp": tower, "neumf": d + tower, "mf": 0}[kind]
         self.shapes |= {"bu_b": (users, 1), "bi_b": (items, 1)} if kind == "mf" else {"w": (width, 1), "w_b": (1,)}
 
+    def init(self, seed=0):
+        size = [int(np.prod(s)) for s in self.shapes.values()]
+        scale = [self.start if name.startswith("emb") else 1.0 for name in self.shapes]
+        return super().init(seed) * np.repeat(scale, size)
+
     def forward(self, p, x, rng=None):
         u, i = x[:, 0].astype(int), x[:, 1].astype(int)
         parts = []

@@ -395,12 +395,18 @@ def w15_connector(spark, d):
 # ---- the recommender to a goal: true ids, drawn negatives, the trained model ranked
 
 
+SHRINK = 1e-5  # of the recommender's weights, a round
+
+
 def taste_samples(spark, d, drawn: int = 4):
-    """Every taste but each user's held-out one as 1, and ``drawn`` seeded items a taste that the user never had as 0."""
+    """Every taste but each user's held-out one as 1, and ``drawn`` seeded items a taste that the user never had as 0.
+
+    Drawn by a hash of user, item and number, so that every item is as likely: items that are only ever drawn, or never, would teach their number.
+    """
     own = taste(spark, d).select("u", "i").join(holdout(spark, d), ["u", "i"], "left_anti")
     items = F.broadcast(load(spark, d, "part").agg(F.count(F.lit(1)).alias("items")))  # one row
     other = own.withColumn("k", F.explode(F.sequence(F.lit(1), F.lit(drawn)))).crossJoin(items)
-    other = other.select("u", ((F.col("i") * 7 + F.col("u") * 13 + F.col("k") * 1009 + F.col("k")) % F.col("items")).alias("i")).distinct()
+    other = other.select("u", F.pmod(F.xxhash64("u", "i", "k"), F.col("items")).alias("i")).distinct()
     other = other.join(interactions(spark, d).select("u", "i"), ["u", "i"], "left_anti")
     both = own.withColumn("y", F.lit(1.0)).unionByName(other.withColumn("y", F.lit(0.0)))
     return both.select((F.col("u") * 1_000_003 + F.col("i")).alias("id"), F.array(F.col("u").cast("double"), F.col("i").cast("double")).alias("x"), F.array("y").alias("y"))
@@ -421,7 +427,7 @@ def ranked(spark, d, net, theta, k: int = 10):
 def recommender(spark, d, kind: str = "neumf", width: int = 8):
     users = load(spark, d, "customer").agg(F.max("c_custkey")).first()[0] or 0
     items = load(spark, d, "part").agg(F.max("p_partkey")).first()[0] or 0
-    return models.NeuMf(users + 1, items + 1, width, 8, kind)
+    return models.NeuMf(users + 1, items + 1, width, 8, kind, start=0.1)
 
 
 @B.add("w2_trained_ranking")
@@ -430,7 +436,7 @@ def w2_trained_ranking(spark, d):
     net = recommender(spark, d)
     samples = taste_samples(spark, d)
     before = ranked(spark, d, net, net.init(0)).withColumn("rounds", F.lit(0).cast("long"))
-    out = train_net(samples, net, optim.Adam(0.05), 15, publish="replicate", group=5)
+    out = train_net(samples, net, optim.Adam(0.05), 40, publish="replicate", group=5, l2=SHRINK)
     return before.unionByName(ranked(spark, d, net, out.weights).withColumn("rounds", F.lit(out.rounds).cast("long")))
 
 
@@ -438,7 +444,7 @@ def train_to_goal(spark, d, goal: float, most: int = 60, every: int = 5, **optio
     """Rounds until HR@10 of the held-out items reaches the goal: (result, history)."""
     net = recommender(spark, d)
     stop = optim.TargetMetric(lambda w: ranked(spark, d, net, w).first()["hr"], goal, patience=4)
-    return train_net(taste_samples(spark, d), net, optim.Adam(0.05), most, publish="replicate", group=every, stop=stop, **options), stop.history
+    return train_net(taste_samples(spark, d), net, optim.Adam(0.05), most, publish="replicate", group=every, stop=stop, l2=SHRINK, **options), stop.history
 
 
 # ---- the detector and the descriptor as networks

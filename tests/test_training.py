@@ -372,6 +372,22 @@ def test_gang_is_refused_without_slots(spark):
         slices.barrier_train(df, 1, 0.5, 1, 12)
 
 
+def test_drawn_items_favour_no_group(spark):
+    from slicegrad.plans import apps
+    from slicegrad.sources.tables import interactions
+
+    d = "/root/testdata/sf0.001"
+    had = {(r["u"], r["i"]) for r in interactions(spark, d).select("u", "i").collect()}
+    drawn = [(int(r["x"][0]), int(r["x"][1])) for r in apps.taste_samples(spark, d).filter("y[0] = 0").select("x").collect()]
+    assert drawn and not had & set(drawn)
+    share = np.bincount([(i - u) % 4 for u, i in drawn], minlength=4) / len(drawn)
+    assert (share > 0.2).all() and (share < 0.3).all()
+    net = apps.recommender(spark, d)
+    wide = models.NeuMf(net.shapes["emb_gu"][0], net.shapes["emb_gi"][0], 8, 8)
+    n = sum(int(np.prod(s)) for k, s in net.shapes.items() if k.startswith("emb_g"))
+    assert np.allclose(net.init(0)[:n], 0.1 * wide.init(0)[:n])
+
+
 def test_measures_of_a_real_run(spark):
     from slicegrad.operators import measures
 
