@@ -117,7 +117,7 @@ def barrier_train(samples: DataFrame, k: int, lr: float, rounds: int, tasks: int
     """Long-running peers, without the driver between rounds: (id, x, y) least squares, all rounds in one gang.
 
     Each peer adds up its own samples' gradient, gathers the others' sums (k numbers a peer and round) and moves its copy of the
-    weights. If a peer is lost, the whole gang starts again. Spark refuses a gang that finds too few slots.
+    weights. If a peer is lost, the whole gang starts again. Spark refuses a gang that finds too few slots (by default after 40 looks in 10 minutes).
     """
     import json
 
