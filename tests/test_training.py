@@ -428,3 +428,22 @@ def test_training_reads_whole_tables(spark):
     hours = {r["hour"] for r in apps.frames(spark, d).select("hour").distinct().collect()}
     windows = apps.frame_samples(spark, d).collect()
     assert {r["id"] for r in windows} == {h for h in hours if hours >= set(range(h, h + 9))} and {(len(r["x"]), len(r["y"])) for r in windows} == {(6 * 64, 3 * 64)}
+
+
+@pytest.mark.parametrize("net", [models.Recurrent(64, 386, 6, 8, 2, "lstm"), models.Recurrent(64, 386, 6, 8, 2, "rnn"), models.TextConv(64, 386, 6, 8, 3, 2)], ids=["lstm", "rnn", "textconv"])
+def test_memory_of_a_batch_is_bounded(net):
+    """A task's batch goes through in pieces: the sums are those of its halves, and the memory doesn't grow with the rows."""
+    import tracemalloc
+
+    rng = np.random.default_rng(0)
+    x, y = rng.integers(0, 64, (1600, 386)).astype(np.float64), rng.integers(0, 2, (1600, 1)).astype(np.float64)
+    theta = net.init(0)
+    tracemalloc.start()
+    loss, g = net.loss_grad(theta, x, y)
+    said = net.outputs(theta, x)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 250e6
+    halves = [net.loss_grad(theta, x[a : a + 100], y[a : a + 100]) for a in range(0, 1600, 100)]
+    assert loss == pytest.approx(sum(h[0] for h in halves)) and np.allclose(g, sum(h[1] for h in halves))
+    assert np.allclose(said[-100:], net.outputs(theta, x[-100:])) and len(said) == 1600
