@@ -447,3 +447,36 @@ def test_memory_of_a_batch_is_bounded(net):
     halves = [net.loss_grad(theta, x[a : a + 100], y[a : a + 100]) for a in range(0, 1600, 100)]
     assert loss == pytest.approx(sum(h[0] for h in halves)) and np.allclose(g, sum(h[1] for h in halves))
     assert np.allclose(said[-100:], net.outputs(theta, x[-100:])) and len(said) == 1600
+
+
+def test_rounds_of_a_plan_make_no_object_a_row(spark, monkeypatch):
+    """A cogroup takes the samples in Arrow, and the weights are still the single process's."""
+    import slicegrad.operators.kernel as kernel
+
+    plans = []
+    real = kernel.paired_gradients
+
+    def noted(*a):
+        out = real(*a)
+        plans.append(out._jdf.queryExecution().executedPlan().toString())
+        return out
+
+    monkeypatch.setattr(kernel, "paired_gradients", noted)
+    x, y = batch("ui", 200)
+    samples = spark.createDataFrame([(k, a.tolist(), b.tolist()) for k, (a, b) in enumerate(zip(x.astype(float), y.astype(float)))], "id long, x array<double>, y array<double>")
+    net = models.NeuMf(8, 8, 3, 4)
+    got = train_net(samples, net, optim.Adam(0.05), 2, publish="replicate").weights
+    want, _ = local_train(x.astype(float), y.astype(float), net, optim.Adam(0.05), 2)
+    assert np.allclose(got, want)
+    assert "FlatMapCoGroupsInArrow" in plans[0] and "InPandas" not in plans[0]
+
+
+def test_ranks_of_several_models_are_those_of_each(spark):
+    from slicegrad.plans import apps
+
+    sf = "/root/testdata/sf0.001"
+    net = apps.recommender(spark, sf)
+    both = apps.ranked(spark, sf, net, net.init(0), net.init(1)).orderBy("model").collect()
+    assert [r["model"] for r in both] == [0, 1]
+    for r, theta in zip(both, (net.init(0), net.init(1))):
+        assert apps.ranked(spark, sf, net, theta).first()[1:] == r[1:]
