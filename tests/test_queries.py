@@ -41,3 +41,13 @@ def test_runs(spark, key):
 def test_entry(spark):
     assert __spark_entry__.entry(spark).columns == ["slice", "j", "w"]
     assert set(__spark_entry__.oracle_sql()) <= set(__spark_entry__.queries())
+
+
+@pytest.mark.parametrize("key", ["m_cluster_cost"])
+def test_reads_a_table(spark, tmp_path, key):
+    """The rows come from a given table: another one gives others."""
+    for name in ("orders", "lineitem"):
+        whole = spark.read.parquet(f"{SF}/{name}.parquet")
+        whole.limit(whole.count() // 3).write.parquet(f"{tmp_path}/{name}.parquet")
+    one, other = (sorted(map(str, registry.queries()[key](spark, where).collect())) for where in (SF, str(tmp_path)))
+    assert one != other
