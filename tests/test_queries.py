@@ -43,7 +43,7 @@ def test_entry(spark):
     assert set(__spark_entry__.oracle_sql()) <= set(__spark_entry__.queries())
 
 
-@pytest.mark.parametrize("key", ["m_cluster_cost", "m_model_roundtrip", "m_traffic_model"])
+@pytest.mark.parametrize("key", ["m_cluster_cost", "m_model_roundtrip", "m_traffic_model", "x_udtf_slices"])
 def test_reads_a_table(spark, tmp_path, key):
     """The rows come from a given table: another one gives others."""
     for name in ("orders", "lineitem"):
