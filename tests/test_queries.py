@@ -51,3 +51,15 @@ def test_reads_a_table(spark, tmp_path, key):
         whole.limit(whole.count() // 3).write.parquet(f"{tmp_path}/{name}.parquet")
     one, other = (sorted(map(str, registry.queries()[key](spark, where).collect())) for where in (SF, str(tmp_path)))
     assert one != other
+
+
+def test_price_band_of_odd_prices(spark, tmp_path):
+    """Pairs by brute force, whatever the price; bands are narrow, so that few pairs meet in vain."""
+    prices = [0.0, -0.5, -5.0, 4.999, 5.0, 5.001, 904.99, 900.0, 905.0, 900.0, 909.999, None, 1e9, 1e9 + 4.5]
+    parts = [(k * 7 % 23, "AB"[k % 2] if k != 9 else None, v) for k, v in enumerate(prices + prices[:10])]
+    spark.createDataFrame(parts, "p_partkey long, p_brand string, p_retailprice double").write.parquet(f"{tmp_path}/part.parquet")
+    got = registry.queries()["j_theta_price_band"](spark, str(tmp_path))
+    want = [(a, b) for a, m, v in parts for b, n, w in parts if m is not None and m == n and a < b and None not in (v, w) and abs(v - w) < 5]
+    assert sorted(map(tuple, got.collect())) == sorted(want)
+    met = [x for x in got._jdf.queryExecution().optimizedPlan().toString().splitlines() if "posexplode" in x]
+    assert len(met) == 1 and "/ 5.0" not in got._jdf.queryExecution().optimizedPlan().toString()
