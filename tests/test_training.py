@@ -430,7 +430,7 @@ def test_training_reads_whole_tables(spark):
     assert {r["id"] for r in windows} == {h for h in hours if hours >= set(range(h, h + 9))} and {(len(r["x"]), len(r["y"])) for r in windows} == {(6 * 64, 3 * 64)}
 
 
-@pytest.mark.parametrize("net", [models.Recurrent(64, 386, 6, 8, 2, "lstm"), models.Recurrent(64, 386, 6, 8, 2, "rnn"), models.TextConv(64, 386, 6, 8, 3, 2)], ids=["lstm", "rnn", "textconv"])
+@pytest.mark.parametrize("net", [models.Recurrent(64, 386, 6, 8, 2, "lstm"), models.Recurrent(64, 386, 6, 8, 2, "gru"), models.Recurrent(64, 386, 6, 8, 2, "rnn"), models.TextConv(64, 386, 6, 8, 3, 2)], ids=["lstm", "gru", "rnn", "textconv"])
 def test_memory_of_a_batch_is_bounded(net):
     """A task's batch goes through in pieces: the sums are those of its halves, and the memory doesn't grow with the rows."""
     import tracemalloc
