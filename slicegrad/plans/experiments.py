@@ -106,7 +106,7 @@ def nets(spark, sf_dir):
     out = []
     for name, data, net in (("cnn", images, models.Inception(8, 8, 4)), ("factored", images, models.Inception(8, 8, 4, "factored")), ("residual", images, models.Inception(8, 8, 4, "residual")), ("lstm", token_samples, models.Recurrent(64, token_length(spark, sf_dir), 6, 16, 2))):
         own = data(spark, sf_dir).limit(500).toPandas()
-        x, y = np.stack(own["x"]), np.stack(own["y"])
+        x, y = net.filled(net.gathered(own["x"].to_numpy())), np.stack(own["y"])
         theta = net.init(0)
         net.loss_grad(theta, x, y)
         s, _ = clock(lambda: net.loss_grad(theta, x, y))

@@ -480,3 +480,58 @@ def test_ranks_of_several_models_are_those_of_each(spark):
     assert [r["model"] for r in both] == [0, 1]
     for r, theta in zip(both, (net.init(0), net.init(1))):
         assert apps.ranked(spark, sf, net, theta).first()[1:] == r[1:]
+
+
+@pytest.mark.parametrize("kind", ["gru", "lstm", "rnn"])
+def test_memory_of_a_long_sequence_is_bounded(kind):
+    """Of sequences longer than a span the steps between are run again: hundreds of long rows fit beside each other, and the gradient is the one kept whole."""
+    import tracemalloc
+
+    from slicegrad.nn import tape
+
+    rng = np.random.default_rng(0)
+    net = models.Recurrent(64, 4000, 6, 8, 2, kind)
+    x, y = rng.integers(0, 64, (190, 4000)).astype(np.float64), rng.integers(0, 2, (190, 1)).astype(np.float64)
+    theta = net.init(0)
+    assert net.rows >= 190
+    tracemalloc.start()
+    net.loss_grad(theta, x, y)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 150e6  # every step kept: 190 * 4000 * (2 to 6) * 64 bytes
+    x, y = x[:7, :50], y[:7]
+    net = models.Recurrent(64, 50, 6, 8, 2, kind)
+    want = net.loss_grad(theta, x, y)
+    with pytest.MonkeyPatch.context() as patch:
+        patch.setattr(tape, "SPAN", 16)
+        got = net.loss_grad(theta, x, y)
+    assert got[0] == pytest.approx(want[0]) and np.allclose(got[1], want[1])
+
+
+@pytest.mark.parametrize("publish", ["driver", "replicate"])
+@pytest.mark.parametrize("net", [models.Recurrent(20, 40, 4, 5, 4, "gru"), models.TextConv(20, 40, 4, 5, 3, 4)], ids=["gru", "textconv"])
+def test_sequences_keep_their_own_length(spark, net, publish):
+    """One long turn doesn't widen the others: rows come as they are, and the weights are those of rows filled up with zeros."""
+    rng = np.random.default_rng(0)
+    rows = [rng.integers(1, 20, n).astype(float).tolist() for n in (40, 0, 1, 3, 3, 17, 2, 5)]
+    y = rng.integers(0, 4, (len(rows), 1)).astype(float)
+    samples = spark.createDataFrame([(k, r, y[k].tolist()) for k, r in enumerate(rows)], "id long, x array<double>, y array<double>")
+    got = train_net(samples, net, optim.Adam(0.05), 2, 2, publish=publish).weights
+    x = np.array([r + [0.0] * (40 - len(r)) for r in rows])
+    want, _ = local_train(x, y, net, optim.Adam(0.05), 2)
+    assert np.allclose(got, want)
+    said = {r["id"]: r["scores"] for r in predict(samples, net, got).collect()}
+    assert np.allclose([said[k] for k in range(len(rows))], net.outputs(want, x))
+
+
+def test_turns_have_no_more_ids_than_words(spark, tmp_path):
+    """One long turn, one without text: no row of another turn grows."""
+    from slicegrad.plans import apps
+
+    turns = [(1, 0, "user", "word " * 5000), (1, 1, "user", None), (2, 0, "user", ""), (2, 1, "user", "Two words"), (3, 0, "user", "12 !")]
+    spark.createDataFrame(turns, "conv_id long, turn long, role string, text string").write.parquet(f"{tmp_path}/conversations.parquet")
+    rows = {r["id"]: r for r in apps.token_samples(spark, str(tmp_path)).collect()}
+    assert {k: len(r["x"]) for k, r in rows.items()} == {1000: 5000, 1001: 0, 2000: 0, 2001: 2, 3000: 0}
+    assert {k: r["y"] for k, r in rows.items()} == {1000: [1.0], 1001: [0.0], 2000: [0.0], 2001: [0.0], 3000: [0.0]}
+    said = apps.QUERIES["w7_gru_train"](spark, str(tmp_path)).collect()
+    assert [r["samples"] for r in said] == [5.0] * 3 and all(np.isfinite(r["mean_loss"]) for r in said)
